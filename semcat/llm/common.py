@@ -150,10 +150,10 @@ def fold(column: str, modulus: int):
 FILTER_BITS = 1 << 22
 
 
-def membership_filter(keys: DataFrame, column: str) -> np.ndarray:
-    """A bitmap of FILTER_BITS bits with the hashes of a long column. Its size does not depend on the data: with very
+def membership_filter(keys: DataFrame, column: str, hashed: bool = False) -> np.ndarray:
+    """A bitmap of FILTER_BITS bits with the hashes of a long column (or the column itself, if it is a hash already). Its size does not depend on the data: with very
     many keys it fills up and lets everything pass, which costs time but never changes a result."""
-    h = F.pmod(F.xxhash64(F.col(column)), F.lit(FILTER_BITS))
+    h = F.pmod(F.col(column) if hashed else F.xxhash64(F.col(column)), F.lit(FILTER_BITS))
     rows = keys.select(h.alias("h")).groupBy(F.floor(F.col("h") / 32768).cast("int").alias("part")).agg(F.bitmap_construct_agg(F.col("h") % 32768).alias("bits")).collect()
     out = np.zeros(FILTER_BITS, bool)
     for r in rows:
