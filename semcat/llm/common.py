@@ -69,7 +69,7 @@ def utf8(col: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0], nulls
 
 
-def blocks(offsets: np.ndarray, most: int = 1 << 22) -> Iterator[tuple[int, int]]:
+def blocks(offsets: np.ndarray, most: int = 1 << 19) -> Iterator[tuple[int, int]]:
     """Runs of documents of about ``most`` bytes, so that temporary arrays stay small; a longer document is its own run."""
     i, n = 0, len(offsets) - 1
     while i < n:

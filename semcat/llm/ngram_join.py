@@ -22,7 +22,7 @@ from .components import components
 #: Slots of the frequency sketch that orders shingles from rare to common: 2 MiB whatever the input.
 SKETCH_BITS = 18
 #: Members of a tile's block; a tile compares two blocks.
-TILE = 64
+TILE = 512
 
 
 def shingle_sets(col: pa.Array, width: int) -> Iterator[np.ndarray]:
@@ -108,13 +108,13 @@ def frequency_sketch(docs: DataFrame, width: int) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """One row per text: (id, n, h1, h2, bitmap, tokens); h1 and h2 name the set, tokens are its rarest shingles."""
+    """One row per text: (id, n, h1, h2, bitmap, tokens, early); h1 and h2 name the set, tokens are its rarest shingles."""
     sketch = frequency_sketch(docs, width)
     mean = max(1.0, sketch.mean())
-    level = np.clip(np.log2(np.maximum(sketch, 1) / mean), 2, 200).astype(np.uint8)  # common slots come last, the rest by hash
+    level = np.clip(4 * np.log2(np.maximum(sketch, 1) / mean), 2, 250).astype(np.uint8)  # common slots come last, the rest by hash
 
     def sign(b: pa.RecordBatch) -> pa.RecordBatch:
-        n, h1, h2, maps, tokens = [], [], [], [], []
+        n, h1, h2, maps, tokens, early = [], [], [], [], [], []
         for s in shingle_sets(b.column("text"), width):
             n.append(len(s))
             if len(s):
@@ -124,24 +124,26 @@ def signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
                 keep = len(s) - (percent * len(s) + 99) // 100 + 1
                 lv = level[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
                 tokens.append(s[np.argsort(lv, kind="stable")[:keep]].view(np.int64))
+                # a pair over the threshold shares a token that stands within this many of its smaller set
+                early.append(len(s) - -(-2 * percent * len(s) // (100 + percent)) + 1)
             else:
-                h1.append(None), h2.append(None), maps.append(None), tokens.append(None)
+                h1.append(None), h2.append(None), maps.append(None), tokens.append(None), early.append(None)
         return pa.RecordBatch.from_arrays(
-            [b.column("id").cast(pa.int64()), pa.array(n, pa.int64()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(maps, pa.binary()), pa.array(tokens, pa.list_(pa.int64()))],
-            ["id", "n", "h1", "h2", "bitmap", "tokens"],
+            [b.column("id").cast(pa.int64()), pa.array(n, pa.int64()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(maps, pa.binary()), pa.array(tokens, pa.list_(pa.int64())), pa.array(early, pa.int32())],
+            ["id", "n", "h1", "h2", "bitmap", "tokens", "early"],
         )
 
-    return materialise(map_batches(docs, sign, "id long, n long, h1 long, h2 long, bitmap binary, tokens array<long>"), "signatures")
+    return materialise(map_batches(docs, sign, "id long, n long, h1 long, h2 long, bitmap binary, tokens array<long>, early int"), "signatures")
 
 
 def _shared_tokens(owners: DataFrame, percent: int) -> DataFrame:
-    """(token, id, n, leader) of tokens that two or more classes hold. Members of a token, by size, follow a leader of
+    """(token, id, n, early, leader) of tokens that two or more classes hold; early: the token counts for the smaller set. Members of a token, by size, follow a leader of
     nearly their size; the leaders' pairs connect most of each group in the first round."""
 
     def runs(batches):
         rest = None
         for b in batches:
-            t = np.column_stack([b.column(i).to_numpy() for i in range(3)])
+            t = np.column_stack([b.column(i).to_numpy() for i in range(4)])
             t = t if rest is None else np.concatenate([rest, t])
             cut = int(np.searchsorted(t[:, 0], t[-1, 0], "left"))
             rest = t[cut:]
@@ -154,7 +156,7 @@ def _shared_tokens(owners: DataFrame, percent: int) -> DataFrame:
             return
         first = np.flatnonzero(np.r_[True, t[1:, 0] != t[:-1, 0]])
         size = np.diff(np.r_[first, len(t)])
-        t = t[np.repeat(size, size) > 1]
+        t = t[(np.repeat(size, size) > 1) & (np.repeat(np.add.reduceat(t[:, 3], first), size) > 0)]
         if not len(t):
             return
         t = t[np.lexsort((t[:, 1], t[:, 2], t[:, 0]))]
@@ -164,12 +166,12 @@ def _shared_tokens(owners: DataFrame, percent: int) -> DataFrame:
             if at is None or tok[i] != tok[at] or 100 * n[at] < percent * n[i]:
                 at = i
             lead[i] = at
-        yield pa.RecordBatch.from_arrays([pa.array(t[:, 0]), pa.array(t[:, 1]), pa.array(t[:, 2]), pa.array(t[lead, 1])], ["token", "id", "n", "leader"])
+        yield pa.RecordBatch.from_arrays([pa.array(t[:, 0]), pa.array(t[:, 1]), pa.array(t[:, 2]), pa.array(t[:, 3] > 0), pa.array(t[lead, 1])], ["token", "id", "n", "early", "leader"])
 
-    tokens = owners.select(F.explode("tokens").alias("token"), "id", "n")
+    tokens = owners.select("id", "n", "early", F.posexplode("tokens").alias("at", "token")).select("token", "id", "n", (F.col("at") < F.col("early")).cast("long").alias("early"))
     parts = int(owners.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = tokens.repartition(parts, "token").sortWithinPartitions("token")
-    return materialise(map_stream(dealt, runs, "token long, id long, n long, leader long"), "tiles")
+    return materialise(map_stream(dealt, runs, "token long, id long, n long, early boolean, leader long"), "tiles")
 
 
 def _verified(docs: DataFrame, owners: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -218,14 +220,12 @@ def _verified(docs: DataFrame, owners: DataFrame, pairs: DataFrame, width: int,
 
 def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
     """Pairs of a tile that are not connected yet and that their bitmaps admit. A token with many members is cut into
-    blocks by hash; each tile meets two blocks of one size band and its lower neighbour."""
-    rows = tiles.select("token", "id", "n").join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", F.coalesce("label", "id").alias("label"))
+    blocks by hash; a tile meets two blocks, by size, and ends where sizes are too far apart to reach the threshold."""
+    rows = tiles.select("token", "id", "n", "early").join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", "early", F.coalesce("label", "id").alias("label"))
     mixed = rows.groupBy("token").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("m")).where("lo < hi").select("token", F.ceil(F.col("m") / TILE).cast("int").alias("k"))
-    rows = rows.join(mixed, "token").select("token", "id", "n", "label", "k", F.pmod(F.xxhash64("id"), F.col("k")).cast("int").alias("block"))
-    band = F.floor(F.log(100.0 / percent, F.col("n").cast("double")) + 1e-9).cast("int")
-    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1))).withColumn("home", band).withColumn("band", F.explode(F.array(F.col("home"), F.col("home") + 1)))
-    tile = F.xxhash64("token", "band", F.least("block", "other"), F.greatest("block", "other"))
-    rows = rows.join(owners.select("id", "bitmap"), "id").select(tile.alias("tile"), (F.col("block") == F.col("other")).alias("inner"), "block", "id", "n", "label", "bitmap", (F.col("home") == F.col("band")).alias("resident"))
+    rows = rows.join(mixed, "token").withColumn("block", F.pmod(F.xxhash64("id"), F.col("k")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
+    tile = F.xxhash64("token", F.least("block", "other"), F.greatest("block", "other"))
+    rows = rows.join(owners.select("id", "bitmap"), "id").select(tile.alias("tile"), (F.col("block") == F.col("other")).alias("inner"), "block", "id", "n", "early", "label", "bitmap")
     parts = int(owners.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def tiles_of(batches):
@@ -240,23 +240,22 @@ def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame, percent
         if rest is not None:
             yield from _compare(rest, percent)
 
-    dealt = rows.repartition(parts, "tile").sortWithinPartitions("tile")
+    dealt = rows.repartition(parts, "tile").sortWithinPartitions("tile", "n", "id")
     return map_stream(dealt, tiles_of, "a long, b long").distinct()
 
 
 def _compare(t: pa.Table, percent: int) -> Iterator[pa.RecordBatch]:
     """The pairs of whole tiles (rows of a tile stand together) that are still open and that sizes and bitmaps admit."""
     tile, ids, n, label, block = (t.column(c).to_numpy() for c in ("tile", "id", "n", "label", "block"))
-    inner, res, maps = t.column("inner").to_numpy(), t.column("resident").to_numpy(), t.column("bitmap").to_pylist()
+    inner, early, maps = t.column("inner").to_numpy(), t.column("early").to_numpy(), t.column("bitmap").to_pylist()
     size = np.array([len(x) for x in maps])
     flat = {}
     for d in range(1, len(ids)):
-        a = np.flatnonzero(tile[:-d] == tile[d:])
+        a = np.flatnonzero((tile[:-d] == tile[d:]) & (100 * n[:-d] >= percent * n[d:]))  # sizes rise within a tile
         if not len(a):
             break
         b = a + d
-        ok = (label[a] != label[b]) & (res[a] | res[b]) & (ids[a] != ids[b]) & (inner[a] | (block[a] != block[b]))
-        ok &= 100 * np.minimum(n[a], n[b]) >= percent * np.maximum(n[a], n[b])
+        ok = (label[a] != label[b]) & (inner[a] | (block[a] != block[b])) & early[a] & (early[b] | (n[a] < n[b]))
         a, b = a[ok], b[ok]
         least = np.minimum(size[a], size[b])
         for z in np.unique(least):
@@ -285,7 +284,7 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     named = sig.where("n > 0 and id is not null")
     classes = materialise(named.groupBy("h1", "h2", "n").agg(F.min("id").alias("rep")), "classes")
     owners = named.join(classes.select("h1", "h2", "n", F.col("rep").alias("id")), ["h1", "h2", "n", "id"], "left_semi").dropDuplicates(["id", "h1", "h2"])
-    owners = materialise(owners.select("id", "n", "bitmap", "tokens"), "owners")
+    owners = materialise(owners.select("id", "n", "bitmap", "tokens", "early"), "owners")
     tiles = _shared_tokens(owners, percent)
     star = tiles.where("leader <> id").select(F.least("leader", "id").alias("a"), F.greatest("leader", "id").alias("b")).distinct()
     first = _verified(docs, owners, star, width, percent)
