@@ -137,8 +137,9 @@ def signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
 
 
 def _shared_tokens(owners: DataFrame, percent: int) -> DataFrame:
-    """(token, id, n, early, leader) of tokens that two or more classes hold; early: the token counts for the smaller set. Members of a token, by size, follow a leader of
-    nearly their size; the leaders' pairs connect most of each group in the first round."""
+    """(token, id, n, early, leader, partner) of tokens that two or more classes hold; early: the token counts for the smaller set. Members of a token, by size, follow a leader of
+    nearly their size, and each is paired with one more member in an order that every token shuffles anew: as many pairs
+    as rows, which connect most of each group in the first round."""
 
     def runs(batches):
         rest = None
@@ -159,19 +160,23 @@ def _shared_tokens(owners: DataFrame, percent: int) -> DataFrame:
         t = t[(np.repeat(size, size) > 1) & (np.repeat(np.add.reduceat(t[:, 3], first), size) > 0)]
         if not len(t):
             return
-        t = t[np.lexsort((t[:, 1], t[:, 2], t[:, 0]))]
+        t = np.ascontiguousarray(t[np.lexsort((t[:, 1], t[:, 2], t[:, 0]))].T).T
         lead, at = np.empty(len(t), np.int64), None
         tok, n = t[:, 0].tolist(), t[:, 2].tolist()
         for i in range(len(t)):
             if at is None or tok[i] != tok[at] or 100 * n[at] < percent * n[i]:
                 at = i
             lead[i] = at
-        yield pa.RecordBatch.from_arrays([pa.array(t[:, 0]), pa.array(t[:, 1]), pa.array(t[:, 2]), pa.array(t[:, 3] > 0), pa.array(t[lead, 1])], ["token", "id", "n", "early", "leader"])
+        order = np.lexsort((mix(t[:, 1].view(np.uint64) ^ mix(t[:, 0].view(np.uint64))), t[:, 0]))
+        partner = t[:, 1].copy()
+        same = t[order[1:], 0] == t[order[:-1], 0]
+        partner[order[:-1][same]] = t[order[1:][same], 1]
+        yield pa.RecordBatch.from_arrays([pa.array(t[:, 0]), pa.array(t[:, 1]), pa.array(t[:, 2]), pa.array(t[:, 3] > 0), pa.array(t[lead, 1]), pa.array(partner)], ["token", "id", "n", "early", "leader", "partner"])
 
     tokens = owners.select("id", "n", "early", F.posexplode("tokens").alias("at", "token")).select("token", "id", "n", (F.col("at") < F.col("early")).cast("long").alias("early"))
     parts = int(owners.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = tokens.repartition(parts, "token").sortWithinPartitions("token")
-    return materialise(map_stream(dealt, runs, "token long, id long, n long, early boolean, leader long"), "tiles")
+    return materialise(map_stream(dealt, runs, "token long, id long, n long, early boolean, leader long, partner long"), "tiles")
 
 
 def _verified(docs: DataFrame, owners: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -286,7 +291,8 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     owners = named.join(classes.select("h1", "h2", "n", F.col("rep").alias("id")), ["h1", "h2", "n", "id"], "left_semi").dropDuplicates(["id", "h1", "h2"])
     owners = materialise(owners.select("id", "n", "bitmap", "tokens", "early"), "owners")
     tiles = _shared_tokens(owners, percent)
-    star = tiles.where("leader <> id").select(F.least("leader", "id").alias("a"), F.greatest("leader", "id").alias("b")).distinct()
+    star = tiles.select("id", F.explode(F.array("leader", "partner")).alias("to")).where("to <> id")
+    star = star.select(F.least("to", "id").alias("a"), F.greatest("to", "id").alias("b")).distinct()
     first = _verified(docs, owners, star, width, percent)
     labels = components(first)
     more = _verified(docs, owners, _cross_pairs(tiles, owners, labels, percent), width, percent)
