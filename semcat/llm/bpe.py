@@ -21,8 +21,8 @@ from pyspark.sql import functions as F
 
 from .common import map_batches
 
-#: Most distinct words whose tokens a worker keeps; beyond it the store starts afresh.
-CACHE = 250_000
+#: A worker keeps the tokens of the words it met lately, in two generations of at most this many words each.
+CACHE = 350_000
 #: White space of the pre-tokenizer (Unicode White_Space).
 WHITE = "\t-\r \x85\xa0  -     　"
 _SPLIT = regex.compile(f"[{WHITE}]+")
@@ -63,6 +63,7 @@ class WordBpe:
         self.pairs: dict[int, bool] = {}
         self.alone: dict[int, bool] = {}
         self.known: dict[str, tuple[str, int, str]] = {}
+        self.older: dict[str, tuple[str, int, str]] = {}
         self.merged = 0
         self.cut = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
 
@@ -140,7 +141,7 @@ class WordBpe:
 
     def _learn(self, words: list[str]) -> None:
         """Fill the store with words (no white space inside)."""
-        if len(self.pairs) > 4 * CACHE:
+        if len(self.pairs) > 2 * CACHE:
             self.pairs.clear()
         units: dict[str, int] = {}
         cut = []
@@ -171,10 +172,15 @@ class WordBpe:
         """(number of tokens, decimal ids joined by a space, decoded text) of each text."""
         cut = [self.words(t) for t in texts]
         need = {w for c in cut for w in c}
-        new = [w for w in need if w not in self.known]
-        if len(self.known) + len(new) > CACHE:
-            self.known.clear()
-            new = list(need)
+        if len(self.known) + len(need) > CACHE:
+            self.known, self.older = {}, self.known
+        new = []
+        for w in need:
+            if w not in self.known:
+                if (got := self.older.get(w)) is not None:
+                    self.known[w] = got
+                else:
+                    new.append(w)
         plain = [w for w in new if w not in self.special]
         if plain:
             self._learn(plain)
