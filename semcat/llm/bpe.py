@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from .common import map_batches
 
 #: A worker keeps the tokens of the words it met lately, in two generations of at most this many words each.
-CACHE = 350_000
+CACHE = 600_000
 #: White space of the pre-tokenizer (Unicode White_Space).
 WHITE = "\t-\r \x85\xa0  -     　"
 _SPLIT = regex.compile(f"[{WHITE}]+")
