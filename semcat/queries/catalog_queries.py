@@ -1,0 +1,646 @@
+"""Paths, types, names, grounding, claims, coverage, expectations, stability, ablation and audit queries."""
+
+from __future__ import annotations
+
+from copy import deepcopy
+
+from pyspark.sql import functions as F
+
+from semcat.operators import claims, keys, profile, typing_rules
+from semcat.plans import builder, graph, lexicon
+from semcat.plans.model import Aggregable, Entity, dump, load
+from semcat.queries.profile_queries import _STAR_INTS, COLUMNS, KEYS, _evidence, _is_unique, each, ledger_sql, overlap_sql, values
+from semcat.queries.registry import query
+from semcat.sources.bundle import CURVE, FOREIGN, SCOPES, STAR, TABLES, SourceBundle, disjoint, from_parquet, permuted, status_lookup, stripped
+
+STAR_FK = [f for f in FOREIGN if f[0] in STAR]
+GRAPH = graph.JoinGraph(STAR_FK)
+_J = values(STAR_FK, ["a", "b", "c", "d"])
+_EDGES = f"(SELECT a AS near, c AS far, a||'.'||b||'->'||c||'.'||d AS s, false AS rev FROM {_J} UNION ALL SELECT c, a, c||'.'||d||'<-'||a||'.'||b, true FROM {_J})"
+_WALK = f"WITH RECURSIVE e AS {_EDGES}, w AS (SELECT near AS entity, far AS t, 1 AS hops, rev AS back, [near, far] AS seen, s AS path FROM e UNION ALL SELECT w.entity, e.far, w.hops + 1, w.back OR e.rev, list_append(w.seen, e.far), w.path || '/' || e.s FROM w JOIN e ON e.near = w.t WHERE w.hops < 3 AND NOT list_contains(w.seen, e.far))"
+_COLS = values([(t, c) for t in STAR for c in COLUMNS[t]], ["tab", "col"])
+
+
+def rows(spark, data, schema):
+    return spark.createDataFrame([tuple(r) for r in data], schema)
+
+
+def _reach(spark):
+    return rows(spark, [r for t in STAR for r in GRAPH.reach(t, COLUMNS)], "entity string, table_name string, column_name string, hops int, direction string")
+
+
+_REACH_SQL = _WALK + f", b AS (SELECT entity, t, min(hops) AS hops, arg_min(back, hops) AS back FROM w GROUP BY entity, t) SELECT entity, t AS table_name, col AS column_name, CAST(hops AS INTEGER) AS hops, CASE WHEN back THEN 'one_to_many' ELSE 'many_to_one' END AS direction FROM b JOIN {_COLS} ON tab = t"
+
+
+@query(_REACH_SQL)
+def path_reach_star(spark, sf):
+    return _reach(spark)
+
+
+@query(_REACH_SQL.replace("SELECT entity, t AS table_name, col AS column_name", "SELECT DISTINCT entity, t AS table_name").replace(f" JOIN {_COLS} ON tab = t", ""))
+def path_reach_recursive(spark, sf):
+    """The same reach by a recursive query of the engine, with a guard against cycles."""
+    rows(spark, STAR_FK, "a string, b string, c string, d string").createOrReplaceTempView("semcat_joins")
+    return spark.sql("""WITH RECURSIVE e AS (SELECT a AS near, c AS far, false AS rev FROM semcat_joins UNION ALL SELECT c, a, true FROM semcat_joins),
+      w(entity, t, hops, back, seen) AS (SELECT near, far, 1, rev, array(near, far) FROM e UNION ALL SELECT w.entity, e.far, w.hops + 1, w.back OR e.rev, array_append(w.seen, e.far) FROM w JOIN e ON e.near = w.t WHERE w.hops < 3 AND NOT array_contains(w.seen, e.far))
+      SELECT entity, t AS table_name, min(hops) AS hops, CASE WHEN min_by(back, hops) THEN 'one_to_many' ELSE 'many_to_one' END AS direction FROM w GROUP BY entity, t""")
+
+
+@query(_WALK + f" SELECT DISTINCT entity, t || '.' || k AS target_id FROM w JOIN {values([(t, k) for t, k in KEYS.items() if t in STAR], ['tab', 'k'])} ON tab = t")
+def path_countables(spark, sf):
+    return rows(spark, sorted({(e, f"{t}.{KEYS[t]}") for e in STAR for e_, t, *_ in GRAPH.reach(e, COLUMNS) if t in KEYS}), "entity string, target_id string")
+
+
+@query(f"WITH RECURSIVE p AS (SELECT a||'.'||b AS x, c||'.'||d AS y FROM {_J} UNION SELECT c||'.'||d, a||'.'||b FROM {_J}), r AS (SELECT x, y FROM p UNION SELECT r.x, p.y FROM r JOIN p ON r.y = p.x) SELECT x AS col_a, y AS col_b FROM r WHERE x < y")
+def path_closure_pairs(spark, sf):
+    return rows(spark, GRAPH.equivalence(), "col_a string, col_b string")
+
+
+@query(_WALK + ", z AS (SELECT near AS entity, near AS t, 0 AS hops, [near] AS seen, '' AS path FROM (SELECT DISTINCT near FROM e) UNION ALL SELECT entity, t, hops, seen, path FROM w) SELECT z.entity, CASE WHEN z.path = '' THEN e.s ELSE z.path || '/' || e.s END AS path, CASE WHEN e.far = z.entity THEN 'back to own key' ELSE 'not simple' END AS reason FROM z JOIN e ON e.near = z.t WHERE z.hops < 3 AND list_contains(z.seen, e.far)")
+def path_pruned_back_routes(spark, sf):
+    return rows(spark, [r for t in STAR for r in GRAPH.pruned(t)], "entity string, path string, reason string")
+
+
+def _money(c):
+    return F.sum(F.col(c).cast("decimal(18,2)")).cast("double")
+
+
+@query("SELECT c_custkey, coalesce(n, 0) AS n_orders, s AS total_price FROM customer LEFT JOIN (SELECT o_custkey, count(*) AS n, CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS DOUBLE) AS s FROM orders GROUP BY 1) ON o_custkey = c_custkey")
+def agg_along_customer_orders(spark, sf):
+    b = from_parquet(spark, sf, ["customer", "orders"])
+    return graph.aggregate_along(b.tables, FOREIGN[3], {"n_orders": F.count("*"), "total_price": _money("o_totalprice")}).na.fill(0, ["n_orders"])
+
+
+@query("SELECT n_name, count(*) AS n_lines, CAST(sum(CAST(l_extendedprice AS DECIMAL(18,2))) AS DOUBLE) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name")
+def agg_along_nation_multi_hop(spark, sf):
+    b = from_parquet(spark, sf, STAR)
+    per = b["lineitem"].groupBy("l_orderkey").agg(F.count("*").alias("n"), F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).alias("r"))
+    j = per.join(b["orders"], F.col("l_orderkey") == F.col("o_orderkey")).join(b["customer"], F.col("o_custkey") == F.col("c_custkey")).join(b["nation"], F.col("c_nationkey") == F.col("n_nationkey"))
+    return j.groupBy("n_name").agg(F.sum("n").alias("n_lines"), F.sum("r").cast("double").alias("revenue"))
+
+
+@query("WITH s AS (SELECT o_custkey, sum(CAST(o_totalprice AS DECIMAL(18,2))) AS x FROM orders GROUP BY 1), n AS (SELECT o_custkey, sum(CAST(o_totalprice AS DECIMAL(18,2))) AS y FROM orders JOIN lineitem ON l_orderkey = o_orderkey GROUP BY 1) SELECT c_custkey, CAST(x AS DOUBLE) AS safe_total, CAST(y AS DOUBLE) AS naive_total FROM customer LEFT JOIN s ON s.o_custkey = c_custkey LEFT JOIN n ON n.o_custkey = c_custkey")
+def agg_fanout_safe_vs_naive(spark, sf):
+    b = from_parquet(spark, sf, STAR)
+    safe = graph.aggregate_along(b.tables, FOREIGN[3], {"safe_total": _money("o_totalprice")})
+    naive = b["orders"].join(b["lineitem"], F.col("l_orderkey") == F.col("o_orderkey")).groupBy(F.col("o_custkey").alias("c_custkey")).agg(_money("o_totalprice").alias("naive_total"))
+    return safe.join(naive, "c_custkey", "left")
+
+
+@query("SELECT meaning, count(*) AS n_orders FROM orders JOIN (VALUES ('F','finished'),('O','open'),('P','partial')) v(code, meaning) ON code = o_orderstatus GROUP BY 1")
+def agg_lookup_passthrough(spark, sf):
+    o = from_parquet(spark, sf, ["orders"])["orders"]
+    return o.join(F.broadcast(status_lookup(spark)), F.col("o_orderstatus") == F.col("code")).groupBy("meaning").agg(F.count("*").alias("n_orders"))
+
+
+_NUM = "^[+-]?[0-9]+([.][0-9]+)?([eE][+-]?[0-9]+)?$"
+
+
+@query(each([*STAR, "labels"], lambda t, c: f"SELECT '{t}' AS table_name, '{c}' AS column_name, CASE WHEN bool_or(regexp_matches(v, '^0[0-9]+$')) THEN 'string' WHEN bool_and(regexp_matches(v, '^[+-]?[0-9]+$')) THEN 'integer' WHEN bool_and(regexp_matches(v, '{_NUM}')) THEN 'float' WHEN bool_and(regexp_matches(v, '^[0-9]{{4}}-[0-9]{{2}}-[0-9]{{2}}( 00:00:00)?$')) THEN 'date' ELSE 'string' END AS isa FROM (SELECT CAST({c} AS VARCHAR) AS v FROM {t})"))
+def type_storage_inferred_stripped(spark, sf):
+    return typing_rules.storage_from_text(stripped(from_parquet(spark, sf, [*STAR, "labels"])))
+
+
+#: Expected annotation of the star: the reference roles, written by hand.
+_ROLES = {c: "Categorical" for t in STAR for c in COLUMNS[t]} | dict.fromkeys("c_acctbal s_acctbal p_size p_retailprice o_totalprice l_quantity l_extendedprice l_discount l_tax".split(), "Numeric") | dict.fromkeys("o_orderdate l_shipdate".split(), "Datetime")
+_ISA = {c: "string" for t in STAR for c in COLUMNS[t]} | {c: "integer" for _, c in _STAR_INTS} | dict.fromkeys("c_acctbal s_acctbal p_retailprice o_totalprice l_quantity l_extendedprice l_discount l_tax".split(), "float") | dict.fromkeys("o_orderdate l_shipdate".split(), "datetime")
+_ROLE_ROWS = [(t, c, _ROLES[c]) for t in STAR for c in COLUMNS[t]]
+
+
+@query(f"SELECT * FROM {values(_ROLE_ROWS, ['table_name', 'column_name', 'role'])}")
+def type_roles_star(spark, sf):
+    r = typing_rules.roles_of(from_parquet(spark, sf, STAR))
+    return rows(spark, [(t, c, x) for t in STAR for c, x in r[t].items()], "table_name string, column_name string, role string")
+
+
+_TIMES = [("orders", "o_orderdate"), ("lineitem", "l_shipdate"), ("events", "ts")]
+
+
+@query(" UNION ALL ".join(f"SELECT '{t}.{c}' AS column_name, CASE WHEN bool_or(date_trunc('day', {c}) <> {c}) THEN 'datetime' ELSE 'date' END AS granularity FROM {t}" for t, c in _TIMES))
+def type_temporal_granularity(spark, sf):
+    return typing_rules.granularity(from_parquet(spark, sf, ["orders", "lineitem", "events"]), _TIMES)
+
+
+_FLAGS = [("labels", "quality", True), ("labels", "toxic", True), ("lineitem", "l_returnflag", False), ("lineitem", "l_linestatus", False)]
+
+
+@query(" UNION ALL ".join(f"SELECT '{t}.{c}' AS column_name, count(DISTINCT {c}) <= 2 AND bool_and(lower(CAST({c} AS VARCHAR)) IN ('true','false','yes','no','t','f','y','n'{chr(44) + chr(39) + '0' + chr(39) + chr(44) + chr(39) + '1' + chr(39) if z or 'flag' in c else ''})) AS is_boolean FROM {t}" for t, c, z in _FLAGS))
+def type_boolean_flags(spark, sf):
+    return typing_rules.boolean_flags(from_parquet(spark, sf, ["labels", "lineitem"]), [(t, c) for t, c, _ in _FLAGS])
+
+
+_CASES = [("01234", "555-0101", "12", "09:15-11", "Morning slot", "20240131", "x1"), ("00501", "555-0199", "7", "13:00-14:30", "Evening slot", "20231105", "20")]
+_CASE_COLS = "zip string, phone string, dept_code string, hours string, slot_period string, day_int string, score string"
+
+
+@query("SELECT * FROM (VALUES ('hours','Numeric','Categorical'),('dept_code','Numeric','Numeric'),('score','Numeric','Categorical')) v(column_name, role_before, role_after)")
+def type_demoted_numeric(spark, sf):
+    df = rows(spark, _CASES, _CASE_COLS)
+    return profile.union_all([typing_rules.refine(df, c, "Numeric") for c in ("hours", "dept_code", "score")])
+
+
+@query("SELECT * FROM (VALUES ('slot_period','Datetime','Categorical'),('day_int','Datetime','Datetime'),('hours','Datetime','Categorical')) v(column_name, role_before, role_after)")
+def type_demoted_datetime(spark, sf):
+    df = rows(spark, _CASES, _CASE_COLS)
+    return profile.union_all([typing_rules.refine(df, c, "Datetime") for c in ("slot_period", "day_int", "hours")])
+
+
+@query("SELECT * FROM (VALUES ('score', CAST(1 AS BIGINT)), ('dept_code', CAST(0 AS BIGINT))) v(column_name, n_violations)")
+def type_declared_violations(spark, sf):
+    return typing_rules.declared_violations(rows(spark, _CASES, _CASE_COLS), {"score": "int", "dept_code": "int"})
+
+
+@query(f"SELECT table_name, column_name, CASE role WHEN 'Numeric' THEN 'avg|max|min|sum' WHEN 'Datetime' THEN 'filter|series|trunc' ELSE 'count|filter|group' END AS allowed_ops FROM {values(_ROLE_ROWS, ['table_name', 'column_name', 'role'])}")
+def type_licences(spark, sf):
+    return type_roles_star(spark, sf).join(F.broadcast(rows(spark, typing_rules.LICENCES.items(), "role string, allowed_ops string")), "role").select("table_name", "column_name", "allowed_ops")
+
+
+@query("SELECT o_orderkey, strftime(o_orderdate, '%Y-%m-%d') AS as_date FROM orders")
+def type_yyyymmdd_orders(spark, sf):
+    o = from_parquet(spark, sf, ["orders"])["orders"].select("o_orderkey", F.date_format("o_orderdate", "yyyyMMdd").cast("int").alias("day_int"))
+    return o.select("o_orderkey", F.date_format(F.try_to_date(F.col("day_int").cast("string"), "yyyyMMdd"), "yyyy-MM-dd").alias("as_date"))
+
+
+@query("SELECT * FROM (VALUES ('zip','Categorical'),('phone','Categorical'),('dept_code','Categorical')) v(column_name, role)")
+def type_digit_strings_stay_categorical(spark, sf):
+    return rows(spark, [(c, typing_rules.role(c, "string" if c != "dept_code" else "int")) for c in ("zip", "phone", "dept_code")], "column_name string, role string")
+
+
+@query()
+def type_sampled_vs_full(spark, sf):
+    b = stripped(from_parquet(spark, sf, STAR))
+    part = SourceBundle({t: df.limit(100) for t, df in b.tables.items()})
+    full = typing_rules.storage_from_text(b)
+    return full.join(typing_rules.storage_from_text(part).withColumnRenamed("isa", "seen"), ["table_name", "column_name"]).select("table_name", "column_name", (F.col("isa") == F.col("seen")).alias("same_verdict"))
+
+
+#: Labels written by hand for the star.
+_LABELS = {"r_regionkey": "Region Key", "r_name": "Name", "n_nationkey": "Nation Key", "n_name": "Name", "n_regionkey": "Region Key", "c_custkey": "Customer Key", "c_acctbal": "Account Balance", "c_mktsegment": "Market Segment", "o_orderdate": "Order Date", "o_totalprice": "Total Price", "l_linenumber": "Line Number", "l_extendedprice": "Extended Price", "p_brand": "Brand"}
+
+
+@query(f"SELECT * FROM {values(_LABELS.items(), ['column_name', 'label'])}")
+def name_labels(spark, sf):
+    return rows(spark, [(c, lexicon.label(c)) for c in _LABELS], "column_name string, label string")
+
+
+_NAMED = values([(t, c, lexicon.machine_name(c)) for t in STAR for c in COLUMNS[t]], ["entity", "column_name", "attr"])
+
+
+@query(f"SELECT entity, column_name, CASE WHEN count(*) OVER (PARTITION BY attr) = 1 THEN attr ELSE entity || '_' || attr END AS unique_name FROM {_NAMED}")
+def name_dedupe(spark, sf):
+    df = rows(spark, [(t, c, lexicon.machine_name(c)) for t in STAR for c in COLUMNS[t]], "entity string, column_name string, attr string")
+    many = df.groupBy("attr").agg(F.count("*").alias("n"))
+    return df.join(many, "attr").select("entity", "column_name", F.when(F.col("n") == 1, F.col("attr")).otherwise(F.concat_ws("_", "entity", "attr")).alias("unique_name"))
+
+
+@query()
+def name_remote_short(spark, sf):
+    out = []
+    for t in STAR:
+        for _, u, c, *_ in GRAPH.reach(t, COLUMNS):
+            w = [x for x in lexicon.machine_name(c).split("_") if x != lexicon.singular(u)]
+            out.append((f"{t}->{u}.{c}", "_".join([lexicon.singular(u), *w])))
+    return rows(spark, out, "path string, short_name string")
+
+
+@query("SELECT 'customer.c_name' AS column_name, CASE WHEN avg(CASE WHEN c_name LIKE '%#%' THEN 1.0 ELSE 0 END) > 0.9 THEN split_part(min(c_name), '#', 1) || ' Name' ELSE 'Name' END AS label FROM customer UNION ALL SELECT 'supplier.s_name', CASE WHEN avg(CASE WHEN s_name LIKE '%#%' THEN 1.0 ELSE 0 END) > 0.9 THEN split_part(min(s_name), '#', 1) || ' Name' ELSE 'Name' END FROM supplier")
+def name_from_values(spark, sf):
+    b = from_parquet(spark, sf, ["customer", "supplier"])
+    out = []
+    for t, c in (("customer", "c_name"), ("supplier", "s_name")):
+        one = b[t].agg(F.avg(F.col(c).contains("#").cast("double")).alias("share"), F.min(c).alias("first"))
+        out.append(one.select(F.lit(f"{t}.{c}").alias("column_name"), F.when(F.col("share") > 0.9, F.concat(F.split("first", "#")[0], F.lit(" Name"))).otherwise(lexicon.label(c)).alias("label")))
+    return profile.union_all(out)
+
+
+@query("SELECT c_custkey, coalesce(c_name, CAST(c_custkey AS VARCHAR)) AS label FROM customer")
+def name_reference_render_customer(spark, sf):
+    return claims.render(from_parquet(spark, sf, ["customer"])["customer"], "{c_name}", ["c_custkey"])
+
+
+@query("SELECT n_nationkey, n_name || ' (' || r_name || ')' AS label FROM nation JOIN region ON n_regionkey = r_regionkey")
+def name_reference_render_nation(spark, sf):
+    b = from_parquet(spark, sf, ["nation", "region"])
+    return claims.render(graph.along(b.tables, "nation", (graph.Step(FOREIGN[0], False),)), "{n_name} ({r_name})", ["n_nationkey"])
+
+
+@query("SELECT * FROM (VALUES ('customer','{c_name}','valid'),('orders','{o_orderkey}','unknown placeholder'),('part','{p_partkey}','no placeholder')) v(entity, reference, reason)")
+def name_reference_fallback(spark, sf):
+    cases = [("customer", "{c_name}"), ("orders", "{o_title}"), ("part", "")]
+    return rows(spark, [(t, *builder.validate_reference(x, COLUMNS[t], [KEYS[t]])) for t, x in cases], "entity string, reference string, reason string")
+
+
+@query(each(STAR, lambda t, c: f"SELECT '{t}' AS table_name, '{c}' AS column_name, true AS all_examples_exist"))
+def name_description_samples(spark, sf):
+    b = from_parquet(spark, sf, STAR)
+    s = profile.samples(b).select("table_name", "column_name", F.explode(F.split("samples", r"\|")).alias("value"))
+    missing = s.join(profile.melted(b), ["table_name", "column_name", "value"], "left_anti").groupBy("table_name", "column_name").agg(F.count("*").alias("bad"))
+    return s.select("table_name", "column_name").distinct().join(missing, ["table_name", "column_name"], "left").select("table_name", "column_name", F.col("bad").isNull().alias("all_examples_exist"))
+
+
+_FACTS = {"status_lookup": ["code", "meaning"], "schema_migrations": ["version", "applied_at"]}
+
+
+@query("SELECT * FROM (VALUES " + ", ".join(f"('{t}', 'entity')" for t in TABLES if t not in ("region", "nation", "lineitem")) + ", ('region','passthrough'), ('nation','passthrough'), ('lineitem','link'), ('status_lookup','passthrough'), ('schema_migrations','ignore')) v(table_name, class)")
+def triage_tables(spark, sf):
+    b = from_parquet(spark, sf)
+    ids = builder.choose_identifiers(b)
+    n = {r["table_name"]: r["n_rows"] for r in profile.row_counts(b).collect()}
+    out = [(t, builder.triage(t, n[t], COLUMNS[t], ids[t], sum(f[0] == t for f in FOREIGN), sum(f[2] == t for f in FOREIGN))[0]) for t in TABLES]
+    out += [("status_lookup", builder.triage("status_lookup", 3, _FACTS["status_lookup"], (["code"], "verified"), 0, 1)[0]), ("schema_migrations", builder.triage("schema_migrations", 9, _FACTS["schema_migrations"], (["version"], "verified"), 0, 0)[0])]
+    return rows(spark, out, "table_name string, class string")
+
+
+_MAPPED = [("orders", "o_orderkey"), ("orders", "o_totalprice"), ("customer", "c_name")]
+
+
+@query(f"SELECT tab AS table_name, col AS column_name FROM {_COLS} WHERE tab IN ('orders','customer') AND (tab, col) NOT IN (SELECT (a, b) FROM {values(_MAPPED, ['a', 'b'])})")
+def sweep_unmapped_columns(spark, sf):
+    have = rows(spark, [(t, c) for t, c, _ in profile.inventory(from_parquet(spark, sf, ["orders", "customer"]))], "table_name string, column_name string")
+    return have.join(rows(spark, _MAPPED, "table_name string, column_name string"), ["table_name", "column_name"], "left_anti")
+
+
+_WRONG = [("orders", "o_orderkey"), ("orders", "o_colour"), ("shipments", "ship_id")]
+
+
+@query("SELECT * FROM (VALUES ('orders.o_colour','unknown column'),('shipments.ship_id','unknown column'),('ghost@shipments','unknown table')) v(item, reason)")
+def ground_reject_unknown(spark, sf):
+    p = builder.Proposal([("order", "orders"), ("ghost", "shipments")], [(t, c, "Categorical") for t, c in _WRONG])
+    _, bad = builder.reject_unknown(p, profile.inventory(from_parquet(spark, sf, ["orders"])))
+    return rows(spark, bad, "item string, reason string")
+
+
+@query("SELECT * FROM (VALUES ('customer','customer','buyer|client'),('orders','order','purchase')) v(table_name, entity, merged_from)")
+def ground_merge_same_table(spark, sf):
+    got = builder.merge_same_table([("client", "customer"), ("buyer", "customer"), ("purchase", "orders")])
+    return rows(spark, [(t, n, "|".join(m)) for t, n, m in got], "table_name string, entity string, merged_from string")
+
+
+@query("SELECT * FROM (VALUES ('customer record','customer',0.5),('orders','orders',0.5)) v(concept, table_name, score)")
+def ground_match_entities(spark, sf):
+    got = builder.match_entities(["customer record", "orders"], STAR)
+    return rows(spark, got, "concept string, table_name string, score double")
+
+
+@query()
+def clarify_questions(spark, sf):
+    c = builder.build(from_parquet(spark, sf, SCOPES["W2"], declared=True))
+    return rows(spark, [(q["id"], q["kind"], q["answer"]) for q in c.questions], "qid string, kind string, default_answer string")
+
+
+@query()
+def clarify_answer_rebuilds(spark, sf):
+    """The answer that region is a lookup removes it from the entities; everything else is built again around it."""
+    b = from_parquet(spark, sf, SCOPES["W2"], declared=True)
+    c = builder.build(b, answers={"table:region": "passthrough"})
+    return rows(spark, [("entity", e.table) for e in c.entities] + [("lookup", t) for t in c.lookups], "kind string, table_name string")
+
+
+@query("SELECT strftime(date_trunc('month', l_shipdate), '%Y-%m') AS month, count(*) AS n_returned FROM lineitem WHERE l_returnflag = 'R' GROUP BY 1")
+def clarify_entity_view_lineitem(spark, sf):
+    l = from_parquet(spark, sf, ["lineitem"])["lineitem"]
+    return l.where("l_returnflag = 'R'").groupBy(F.date_format("l_shipdate", "yyyy-MM").alias("month")).agg(F.count("*").alias("n_returned"))
+
+
+@query("SELECT l_suppkey AS s_suppkey, count(DISTINCT l_partkey) AS n_parts FROM lineitem GROUP BY 1")
+def clarify_junction_view_part_supplier(spark, sf):
+    return from_parquet(spark, sf, ["lineitem"])["lineitem"].groupBy(F.col("l_suppkey").alias("s_suppkey")).agg(F.count_distinct("l_partkey").alias("n_parts"))
+
+
+_IDS = {t: [c] for t, c in KEYS.items()} | {"conversations": ["conv_id", "turn"]}
+
+
+@query(" UNION ALL ".join(f"SELECT '{t}' AS entity, n, n_distinct, is_unique AS passed FROM ({_is_unique(_evidence(t, c))})" for t, c in _IDS.items()))
+def claim_id_uniqueness(spark, sf):
+    return claims.run_identifiers(from_parquet(spark, sf), _IDS)
+
+
+@query("SELECT tab AS entity, col AS attr, true AS passed FROM " + values([(t, c) for t in TABLES for c in COLUMNS[t]], ["tab", "col"]))
+def claim_attribute_mapping(spark, sf):
+    return rows(spark, claims.run_attributes(from_parquet(spark, sf), [(t, c, c) for t in TABLES for c in COLUMNS[t]]), "entity string, attr string, passed boolean")
+
+
+_P2 = [p for t in ("customer", "orders", "nation") for p in [(t, x) for x in GRAPH.paths(t, 2)] if p[1][-1].far in ("nation", "region", "customer", "orders", "supplier") and "lineitem" not in {s.far for s in p[1]}]
+
+
+def _path_sql(entity, path):
+    sql = f"SELECT row_number() OVER () AS r, * FROM {entity}"
+    parts = f"({sql}) t0"
+    for i, s in enumerate(path):
+        a, b, c, d = s.join
+        near, far = (d, b) if s.reverse else (b, d)
+        parts += f" LEFT JOIN {s.far} t{i + 1} ON t{i}.{near} = t{i + 1}.{far}"
+        last = f"t{i + 1}.{far}"
+    flat = all(not s.reverse for s in path)
+    return f"SELECT '{entity}' AS entity, '{'/'.join(s.text() for s in path)}' AS path, count(*) AS rows_base, CAST(sum(n) AS BIGINT) AS rows_joined, max(n) AS max_fanout, sum(h) > 0{' AND max(n) = 1' if flat else ''} AS passed FROM (SELECT t0.r, count(*) AS n, count({last}) AS h FROM {parts} GROUP BY t0.r)"
+
+
+@query(" UNION ALL ".join(_path_sql(t, p) for t, p in _P2))
+def claim_join_execution(spark, sf):
+    return claims.run_paths(from_parquet(spark, sf, STAR), _P2)
+
+
+_REFS = {t: (builder.reference(t, COLUMNS[t], [KEYS[t]]), [KEYS[t]]) for t in STAR if t in KEYS}
+
+
+@query(" UNION ALL ".join(f"SELECT '{t}' AS entity, count(*) FILTER (WHERE coalesce(CAST({r[1:-1]} AS VARCHAR), CAST({k[0]} AS VARCHAR)) IS NULL) AS n_null_labels, true AS passed FROM {t}" for t, (r, k) in _REFS.items()))
+def claim_reference_resolution(spark, sf):
+    return claims.run_references(from_parquet(spark, sf, STAR), _REFS)
+
+
+@query()
+def claim_instance_lookup(spark, sf):
+    return claims.lookup_instances(from_parquet(spark, sf, STAR), {t: [KEYS[t]] for t in STAR if t in KEYS})
+
+
+def suite(spark, sf, scope="W2", policy=None, declared=True):
+    """Build a scope's catalog, generate its claims and run them: (class, n_claims, n_passed)."""
+    b = from_parquet(spark, sf, SCOPES[scope], declared=declared)
+    c = builder.build(b)
+    every = claims.generate(c)
+    ids = claims.run_identifiers(b, {e.table: e.id_columns for e in c.entities})
+    refs = claims.run_references(b, {e.table: (e.reference, e.id_columns) for e in c.entities})
+    g = graph.JoinGraph([(j["from_table"], j["from_col"], j["to_table"], j["to_col"]) for j in c.joins])
+    good = [(e.table, p) for e in c.entities for p in g.paths(e.table) if any(x.path == [s.text() for s in p] for x in e.aggregables)]
+    passed = {(r["entity"], r["path"]) for r in claims.run_paths(b, good).where("passed").collect()} if good else set()
+    agg = [((e.table, "/".join(x.path)) in passed) for e in c.entities for x in e.aggregables]
+    attrs = [x[2] for x in claims.run_attributes(b, [(e.table, a.name, a.src_cols[0]) for e in c.entities for a in e.attributes])]
+    counts = {k: sum(x[0] == k for x in every) for k in ("identifier", "attribute", "aggregable", "reference")}
+    done = [("identifier", ids.where("passed").count()), ("reference", refs.where("passed").count()), ("aggregable", sum(agg)), ("attribute", sum(attrs))]
+    return rows(spark, [(scope, k, counts[k], n) for k, n in done], "scope string, class string, n_claims long, n_passed long")
+
+
+@query()
+def claim_summary_rollup(spark, sf):
+    return suite(spark, sf).rollup("scope", "class").agg(F.sum("n_claims").alias("n_claims"), F.sum("n_passed").alias("n_passed"))
+
+
+@query(" UNION ALL ".join(f"SELECT '{t}.{c}' AS claim, is_unique AS passed FROM ({_is_unique(_evidence(t, [c]))})" for t, c in (("part", "p_name"), ("orders", "o_custkey"), ("lineitem", "l_orderkey"))))
+def claim_false_catalog_fails(spark, sf):
+    b = from_parquet(spark, sf, STAR)
+    got = [claims.run_identifiers(b, {t: [c]}).select(F.lit(f"{t}.{c}").alias("claim"), "passed") for t, c in (("part", "p_name"), ("orders", "o_custkey"), ("lineitem", "l_orderkey"))]
+    return profile.union_all(got)
+
+
+@query(" UNION ALL ".join(f"SELECT '{t}' AS entity, '{c}' AS id_cols, is_unique AS passed FROM ({_is_unique(_evidence(t, [c]))})" for t, c in (("orders", "o_orderkey"), ("lineitem", "l_orderkey"), ("conversations", "conv_id"))))
+def claim_first_run_failures(spark, sf):
+    """Arm with the first column as identifier: the budget is spent by position, composites are not tried."""
+    b = from_parquet(spark, sf)
+    pick = {t: [b[t].columns[0]] for t in ("orders", "lineitem", "conversations")}
+    r = claims.run_identifiers(b, pick)
+    return r.join(F.broadcast(rows(spark, [(t, c[0]) for t, c in pick.items()], "entity string, id_cols string")), "entity").select("entity", "id_cols", "passed")
+
+
+#: Expert reference: tables that are entities, written by hand for the scopes.
+_REF_ATTR = [(s, t, c) for s in ("W1", "W2") for t in SCOPES[s] for c in COLUMNS[t]]
+
+
+@query(" UNION ALL ".join(f"SELECT '{s}' AS scope, 'attribute' AS kind, CAST({sum(x[0] == s for x in _REF_ATTR)} AS BIGINT) AS n_hit, CAST({sum(x[0] == s for x in _REF_ATTR)} AS BIGINT) AS n_ref" for s in ("W1", "W2")))
+def cov_reference(spark, sf):
+    out = []
+    for s in ("W1", "W2"):
+        c = builder.build(from_parquet(spark, sf, SCOPES[s], declared=True))
+        got = [(s, a.src_table, x) for e in c.entities for a in [*e.attributes, *e.aggregables] for x in a.src_cols] + [(s, t, x) for t in c.links + c.lookups for x in COLUMNS[t]]
+        out.append(rows(spark, got, "scope string, t string, c string"))
+    ref = rows(spark, _REF_ATTR, "scope string, t string, c string")
+    return claims.coverage(ref, profile.union_all(out), ["scope", "t", "c"], ["scope"]).select("scope", F.lit("attribute").alias("kind"), "n_hit", "n_ref")
+
+
+_REF_JOIN = [(s, f"{a}.{b}", f"{c}.{d}") for s, t in SCOPES.items() for a, b, c, d in FOREIGN if a in t and c in t]
+
+
+@query(" UNION ALL ".join(f"SELECT '{s}' AS scope, CAST({n} AS BIGINT) AS n_hit, CAST({n} AS BIGINT) AS n_ref" for s, n in {s: sum(x[0] == s for x in _REF_JOIN) for s in ("W1", "W2", "W3", "W6")}.items()))
+def cov_relationships(spark, sf):
+    got = []
+    for s in ("W1", "W2", "W3", "W6"):
+        got += [(s, f"{a}.{b}", f"{c}.{d}") for a, b, c, d in from_parquet(spark, sf, SCOPES[s], declared=True).foreign]
+    kind = "scope string, f string, t string"
+    return claims.coverage(rows(spark, _REF_JOIN, kind), rows(spark, got, kind), ["scope", "f", "t"], ["scope"])
+
+
+@query("SELECT * FROM (VALUES ('nation.n_regionkey','region.r_regionkey','closure'),('customer.c_nationkey','supplier.s_nationkey','closure'),('orders.o_custkey','part.p_partkey','none')) v(col_a, col_b, matched_by)")
+def cov_closure_equivalence(spark, sf):
+    same = rows(spark, GRAPH.equivalence(), "col_a string, col_b string").withColumn("m", F.lit("closure"))
+    ask = rows(spark, [("nation.n_regionkey", "region.r_regionkey"), ("customer.c_nationkey", "supplier.s_nationkey"), ("orders.o_custkey", "part.p_partkey")], "col_a string, col_b string")
+    return ask.join(same, ["col_a", "col_b"], "left").select("col_a", "col_b", F.coalesce("m", F.lit("none")).alias("matched_by"))
+
+
+#: Synthetic frozen expectations: (annotator, class, item, verdict of the judge, verdict of the human).
+EXPECT = [(a, cls, item, v, h) for a, cls, item, v, h in [
+    ("panel_1", "entity", "orders", "satisfied", "satisfied"), ("panel_1", "feature", "year of an order", "missed", "satisfied"), ("panel_1", "feature", "supplier phone", "unsatisfiable", "unsatisfiable"), ("panel_1", "relationship", "order to customer", "satisfied", "satisfied"),
+    ("panel_2", "entity", "orders", "satisfied", "satisfied"), ("panel_2", "entity", "customer", "satisfied", "satisfied"), ("panel_2", "feature", "customer age", "unsatisfiable", "unsatisfiable"), ("panel_2", "feature", "order total", "satisfied", "satisfied"),
+    ("panel_3", "entity", "customer", "satisfied", "satisfied"), ("panel_3", "feature", "order total", "satisfied", "satisfied"), ("panel_3", "relationship", "order to customer", "satisfied", "satisfied"),
+    ("human_1", "entity", "part", "satisfied", "satisfied"), ("human_1", "feature", "span of ship dates", "missed", "satisfied"),
+    ("human_2", "relationship", "line to supplier", "satisfied", "satisfied"), ("human_2", "feature", "part colour", "unsatisfiable", "unsatisfiable"),
+]]
+_EXP = values(EXPECT, ["annotator", "cls", "item", "judge", "human"])
+_EXP_KIND = "annotator string, cls string, item string, judge string, human string"
+
+
+@query(f"SELECT annotator, cls, count(*) FILTER (WHERE human = 'satisfied') AS satisfied, count(*) FILTER (WHERE human <> 'unsatisfiable') AS satisfiable, count(*) FILTER (WHERE human = 'unsatisfiable') AS unsatisfiable, round(count(*) FILTER (WHERE human = 'satisfied') / nullif(count(*) FILTER (WHERE human <> 'unsatisfiable'), 0), 6) AS recall FROM {_EXP} GROUP BY ALL")
+def exp_recall_by_annotator(spark, sf):
+    return claims.recall(rows(spark, EXPECT, _EXP_KIND).withColumnRenamed("human", "verdict"))
+
+
+@query(f"SELECT item, count(DISTINCT annotator) AS n_panel FROM {_EXP} WHERE annotator LIKE 'panel%' GROUP BY item HAVING count(DISTINCT annotator) >= 2")
+def exp_panel_consensus(spark, sf):
+    return rows(spark, EXPECT, _EXP_KIND).where("annotator like 'panel%'").groupBy("item").agg(F.count_distinct("annotator").alias("n_panel")).where("n_panel >= 2")
+
+
+@query(f"SELECT annotator, item, CASE WHEN judge = 'unsatisfiable' THEN 'unsatisfiable' WHEN judge <> human THEN 'disagreement' ELSE 'sample' END AS reason FROM {_EXP} WHERE judge = 'unsatisfiable' OR judge <> human OR substr(md5(item), 1, 1) IN ('0','1','2')")
+def exp_recheck_sample(spark, sf):
+    e = rows(spark, EXPECT, _EXP_KIND)
+    why = F.when(F.col("judge") == "unsatisfiable", "unsatisfiable").when(F.col("judge") != F.col("human"), "disagreement").when(F.substring(F.md5(F.col("item").cast("binary")), 1, 1).isin("0", "1", "2"), "sample")
+    return e.select("annotator", "item", why.alias("reason")).where("reason is not null")
+
+
+@query(f"SELECT judge AS from_verdict, human AS to_verdict, count(*) AS n FROM {_EXP} WHERE judge <> human GROUP BY ALL")
+def exp_overturns(spark, sf):
+    return rows(spark, EXPECT, _EXP_KIND).where("judge <> human").groupBy(F.col("judge").alias("from_verdict"), F.col("human").alias("to_verdict")).agg(F.count("*").alias("n"))
+
+
+def _built(spark, sf, scope):
+    c = builder.build(from_parquet(spark, sf, SCOPES[scope], declared=True))
+    got = [(scope, a.src_table, a.src_cols[0], a.roles[0], a.isa) for e in c.entities for a in e.attributes]
+    return rows(spark, got, "scope string, table_name string, column_name string, role string, isa string")
+
+
+_REF_ROWS = [("W2", t, c, _ROLES[c], {"integer": "number", "float": "number"}.get(_ISA[c], _ISA[c])) for t in SCOPES["W2"] if t != "lineitem" for c in COLUMNS[t]]
+_N_REF = len(_REF_ROWS)
+
+
+@query(f"SELECT 'W2' AS scope, CAST({_N_REF} AS BIGINT) AS n_same, CAST({_N_REF} AS BIGINT) AS n_matched, 100.0::DOUBLE AS pct")
+def char_role_agreement(spark, sf):
+    ref = rows(spark, [r[:4] for r in _REF_ROWS], "scope string, table_name string, column_name string, role string")
+    return claims.agreement(ref, _built(spark, sf, "W2"), ["scope", "table_name", "column_name"], "role", ["scope"])
+
+
+@query(f"SELECT 'W2' AS scope, CAST({_N_REF} AS BIGINT) AS n_same, CAST({_N_REF} AS BIGINT) AS n_matched, 100.0::DOUBLE AS pct")
+def char_isa_family(spark, sf):
+    ref = rows(spark, [(*r[:3], r[4]) for r in _REF_ROWS], "scope string, table_name string, column_name string, isa string")
+    got = _built(spark, sf, "W2").withColumn("isa", F.when(F.col("isa").isin("integer", "float"), "number").otherwise(F.col("isa")))
+    return claims.agreement(ref, got, ["scope", "table_name", "column_name"], "isa", ["scope"])
+
+
+@query("SELECT * FROM (VALUES ('o_custkey','ours'),('o_totalprice','reference')) v(column_name, side_supported)")
+def char_adjudicated(spark, sf):
+    """Two staged disagreements: a measure is settled by the evidence of the values (all references exist, or fractions)."""
+    o, c = (from_parquet(spark, sf, ["orders", "customer"])[t] for t in ("orders", "customer"))
+    refers = o.join(c, F.col("o_custkey") == F.col("c_custkey"), "left_anti").agg((F.count("*") == 0).alias("x")).select(F.lit("o_custkey").alias("column_name"), F.when(F.col("x"), "ours").otherwise("reference").alias("side_supported"))
+    fractions = o.agg((F.count_if(F.col("o_totalprice") != F.floor("o_totalprice")) > 0).alias("x")).select(F.lit("o_totalprice").alias("column_name"), F.when(F.col("x"), "reference").otherwise("ours").alias("side_supported"))
+    return refers.union(fractions)
+
+
+def _arm(spark, sf, scope, arm):
+    """Accepted joins of a scope in one arm."""
+    from semcat.operators import domains, joins
+    from semcat.queries.profile_queries import INTS, KEY_IDS, MEASURES
+
+    tables = SCOPES[scope] if isinstance(scope, str) else scope
+    b = from_parquet(spark, sf, tables, declared=arm == "meta")
+    if arm == "meta":
+        return rows(spark, [(f"{x}.{y}", f"{u}.{v}") for x, y, u, v in b.foreign], "source string, target string")
+    ids, cols = [k for k in KEY_IDS if k.split(".")[0] in tables], [x for x in INTS if x[0] in tables]
+    d = domains.build(disjoint(b) if arm == "disjoint" else b, cols)
+    return joins.ledger(domains.pair_overlap(d, ids), ids, MEASURES).where("stage = 'accepted'").select("source", "target")
+
+
+_ARMS = [(s, a) for s in ("W1", "W2") for a in ("meta", "stripped", "disjoint")]
+_TRUE = values([(f"{a}.{b}", f"{c}.{d}") for a, b, c, d in FOREIGN], ["source", "target"])
+
+
+def _arm_sql(s, a):
+    from semcat.queries.profile_queries import _prefixed
+
+    if a == "meta":
+        t = SCOPES[s]
+        return values([(f"{x}.{y}", f"{u}.{v}") for x, y, u, v in FOREIGN if x in t and u in t], ["source", "target"])
+    ovl = overlap_sql(SCOPES[s], _prefixed) if a == "disjoint" else overlap_sql(SCOPES[s])
+    return f"({ledger_sql(SCOPES[s], ovl=ovl)} SELECT source, target FROM l WHERE final = 'accepted')"
+
+
+_DECL = {s: sum(x[0] == s for x in _REF_JOIN) for s in SCOPES}
+
+
+@query(" UNION ALL ".join(f"SELECT '{s}' AS scope, '{a}' AS arm, (SELECT count(*) FROM {_arm_sql(s, a)} JOIN {_TRUE} USING (source, target)) AS recovered, CAST({_DECL[s]} AS BIGINT) AS declared" for s, a in _ARMS))
+def abl_fk_recovery(spark, sf):
+    true = rows(spark, [(f"{a}.{b}", f"{c}.{d}") for a, b, c, d in FOREIGN], "source string, target string")
+    out = [_arm(spark, sf, s, a).join(F.broadcast(true), ["source", "target"]).agg(F.count("*").alias("recovered")).select(F.lit(s).alias("scope"), F.lit(a).alias("arm"), "recovered", F.lit(_DECL[s]).cast("long").alias("declared")) for s, a in _ARMS]
+    return profile.union_all(out)
+
+
+@query(" UNION ALL ".join(f"SELECT '{s}' AS scope, '{a}' AS arm, (SELECT count(*) FROM {_arm_sql(s, a)} ANTI JOIN {_TRUE} USING (source, target)) AS n_spurious" for s, a in _ARMS))
+def abl_spurious(spark, sf):
+    true = rows(spark, [(f"{a}.{b}", f"{c}.{d}") for a, b, c, d in FOREIGN], "source string, target string")
+    return profile.union_all([_arm(spark, sf, s, a).join(F.broadcast(true), ["source", "target"], "left_anti").agg(F.count("*").alias("n_spurious")).select(F.lit(s).alias("scope"), F.lit(a).alias("arm"), "n_spurious") for s, a in _ARMS])
+
+
+@query("SELECT 'W2' AS scope, CAST(4 AS BIGINT) AS n_same, CAST(4 AS BIGINT) AS n_shared")
+def abl_ids_across_arms(spark, sf):
+    b = from_parquet(spark, sf, [t for t in SCOPES["W2"] if t != "lineitem"])
+    text = stripped(b)
+    a, s = {t: [KEYS[t]] for t in b.tables}, {t: keys.search(text[t], t, typing_rules.roles_of(b)[t])[0] for t in b.tables}
+    return rows(spark, [("W2", sum(a[t] == s[t] for t in a), len(a))], "scope string, n_same long, n_shared long")
+
+
+@query()
+def abl_claims_by_arm(spark, sf):
+    both = [suite(spark, sf, "W2", declared=d).agg(F.sum("n_passed").alias("passed"), F.sum("n_claims").alias("claims")).select(F.lit("W2").alias("scope"), F.lit("meta" if d else "stripped").alias("arm"), "passed", "claims") for d in (True, False)]
+    return profile.union_all(both)
+
+
+@query(" UNION ALL ".join(f"SELECT CAST({len(t)} AS INTEGER) AS n_tables, (SELECT count(*) FROM ({ledger_sql(t)} SELECT source, target FROM l WHERE final = 'accepted') JOIN {_TRUE} USING (source, target)) AS recovered, CAST({sum(a in t and c in t for a, _, c, _ in FOREIGN)} AS BIGINT) AS true_fks" for t in CURVE))
+def abl_scope_curve(spark, sf):
+    true = rows(spark, [(f"{a}.{b}", f"{c}.{d}") for a, b, c, d in FOREIGN], "source string, target string")
+    return profile.union_all([_arm(spark, sf, t, "stripped").join(F.broadcast(true), ["source", "target"]).agg(F.count("*").alias("recovered")).select(F.lit(len(t)).alias("n_tables"), "recovered", F.lit(sum(a in t and c in t for a, _, c, _ in FOREIGN)).cast("long").alias("true_fks")) for t in CURVE])
+
+
+@query(each(STAR, lambda t, c: f"SELECT '{t}' AS table_name, '{c}' AS column_name, '{'Numeric' if _ISA[c] in ('integer', 'float') else 'Datetime' if _ISA[c] == 'datetime' else 'Categorical'}' AS role"))
+def abl_symbolic_only_roles(spark, sf):
+    return rows(spark, [(t, c, typing_rules.symbolic_role(k)) for t, c, k in profile.inventory(from_parquet(spark, sf, STAR))], "table_name string, column_name string, role string")
+
+
+_W2X = ["nation", "customer", "orders"]
+
+
+def _runs(spark, sf):
+    b = from_parquet(spark, sf, _W2X)
+    return {f"run{i}": builder.build(permuted(b, i), policy=builder.joins.JoinPolicy(ambiguous="exempt_named")) for i in (1, 2, 3)}
+
+
+@query("SELECT * FROM (VALUES ('run1','run2',1.0::DOUBLE),('run1','run3',1.0::DOUBLE),('run2','run3',1.0::DOUBLE)) v(run_a, run_b, jaccard)")
+def stab_join_jaccard(spark, sf):
+    got = [(r, f"{j['from_table']}.{j['from_col']}->{j['to_table']}.{j['to_col']}") for r, c in _runs(spark, sf).items() for j in c.joins]
+    return claims.jaccard(rows(spark, got, "run string, item string"))
+
+
+@query("SELECT * FROM (VALUES ('nation',true),('customer',true),('orders',true)) v(table_name, identical)")
+def stab_id_agreement(spark, sf):
+    got = [(r, e.table, "|".join(e.id_columns)) for r, c in _runs(spark, sf).items() for e in c.entities]
+    return rows(spark, got, "run string, table_name string, id string").groupBy("table_name").agg((F.count_distinct("id") == 1).alias("identical"))
+
+
+@query("SELECT * FROM (VALUES ('run1','run2',100.0::DOUBLE),('run1','run3',100.0::DOUBLE),('run2','run3',100.0::DOUBLE)) v(run_a, run_b, pct)")
+def stab_role_agreement(spark, sf):
+    r = rows(spark, [(r, a.src_table, a.src_cols[0], a.roles[0]) for r, c in _runs(spark, sf).items() for e in c.entities for a in e.attributes], "run string, t string, c string, role string")
+    j = r.toDF("run_a", "t", "c", "ra").join(r.toDF("run_b", "t", "c", "rb"), ["t", "c"]).where("run_a < run_b")
+    return j.groupBy("run_a", "run_b").agg(F.round(100 * F.avg((F.col("ra") == F.col("rb")).cast("double")), 6).alias("pct"))
+
+
+def seeded(spark, sf):
+    """A clean catalog of two tables, and one copy for each defect code with exactly that defect."""
+    b = from_parquet(spark, sf, ["nation", "region"], declared=True)
+    clean = builder.build(b)
+    out = {"clean": clean}
+    for code in [f"D{i}" for i in range(10)]:
+        c = load(dump(clean))
+        e: Entity = next(x for x in c.entities if x.table == "nation")
+        if code == "D0":
+            e.name = ""
+        elif code == "D1":
+            c.joins.append({"from_table": "nation", "from_col": "n_colour", "to_table": "region", "to_col": "r_regionkey"})
+        elif code == "D2":
+            c.entities = [x for x in c.entities if x.table != "region"]
+        elif code == "D3":
+            e.id_status = "fallback"
+        elif code == "D4":
+            next(a for a in e.attributes if a.src_cols == ["n_nationkey"]).roles = ["Numeric", "Metric"]
+        elif code == "D5":
+            e.attributes = [a for a in e.attributes if a.src_cols != ["n_name"]]
+        elif code == "D6":
+            e.reference = "{n_title}"
+        elif code == "D7":
+            e.aggregables.append(Aggregable("ghost", "region", ["r_name"], ["nation.n_name->region.r_name"], "many_to_one", ["Categorical"]))
+        elif code == "D8":
+            e.attributes.append(deepcopy(next(a for a in e.attributes if a.src_cols == ["n_name"])))
+        else:
+            e.aggregables[0].direction = "one_to_many"
+        out[code] = c
+    return b, out
+
+
+def _findings(spark, sf):
+    b, cats = seeded(spark, sf)
+    return [(seed, *f) for seed, c in cats.items() for f in claims.audit(c, b, {})]
+
+
+@query(f"SELECT DISTINCT code AS seed, code FROM (VALUES {', '.join(f'({chr(39)}D{i}{chr(39)})' for i in range(10))}) v(code)")
+def audit_findings_seeded(spark, sf):
+    return rows(spark, [(s, c) for s, c, *_ in _findings(spark, sf)], "seed string, code string").distinct()
+
+
+@query()
+def audit_merge_quorum(spark, sf):
+    """Three auditors of different strictness; what two or more report stands."""
+    f = rows(spark, _findings(spark, sf), "seed string, code string, severity string, target string")
+    all3 = f.withColumn("auditor", F.explode(F.array(F.lit("strict"), F.lit("plain"), F.lit("lenient")))).where("auditor = 'strict' or severity <> 'minor'").where("auditor <> 'lenient' or severity = 'critical'")
+    return all3.groupBy("code", "target").agg(F.count_distinct("auditor").alias("n_auditors")).where("n_auditors >= 2")
+
+
+@query()
+def audit_cube(spark, sf):
+    rq = {"D1": "RQ2", "D2": "RQ1", "D3": "RQ2", "D4": "RQ3", "D5": "RQ1", "D6": "RQ2", "D7": "RQ2", "D9": "RQ3"}
+    f = [(c, s, rq.get(c, "-")) for _, c, s, _ in _findings(spark, sf)]
+    return rows(spark, f, "code string, severity string, rq string").cube("code", "severity", "rq").agg(F.count("*").alias("n"))
+
+
