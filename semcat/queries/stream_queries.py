@@ -1,0 +1,60 @@
+"""Streaming queries, drained over the events table; results are those of the final state."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from semcat.operators import keys
+from semcat.queries.registry import query
+from semcat.streaming import stream
+
+
+def _events(spark, sf):
+    return stream.source(spark, f"{sf}/events.parquet")
+
+
+@query("SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M') AS window_start, event_type, count(*) AS n FROM events GROUP BY ALL")
+def stream_tumbling_counts(spark, sf):
+    return stream.drain(stream.tumbling(_events(spark, sf)))
+
+
+@query("SELECT strftime(d, '%Y-%m-%d %H:%M') AS window_start, count(*) AS n FROM (SELECT unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS d FROM events) GROUP BY 1")
+def stream_sliding_counts(spark, sf):
+    return stream.drain(stream.sliding(_events(spark, sf)))
+
+
+@query("WITH g AS (SELECT *, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w >= INTERVAL 6 HOUR THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM s GROUP BY user_id, k")
+def stream_session_counts(spark, sf):
+    return stream.drain(stream.sessions(_events(spark, sf)))
+
+
+@query("SELECT count(DISTINCT event_id) AS n FROM events")
+def stream_dedupe_ids(spark, sf):
+    e = _events(spark, sf)
+    return stream.drain(stream.deduplicated(e.unionByName(_events(spark, sf))).select("event_id"), "append").agg(F.count("*").alias("n"))
+
+
+@query()
+def stream_late_rows(spark, sf):
+    """Counts by day with a watermark: rows later than it would be left out of the append output."""
+    day = _events(spark, sf).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
+    return stream.drain(day.select("n"), "append").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n_closed"))
+
+
+@query("SELECT DISTINCT event_type FROM events WHERE event_type <> (SELECT min(event_type) FROM events)")
+def stream_new_category_alert(spark, sf):
+    known = spark.read.parquet(f"{sf}/events.parquet").agg(F.min("event_type").alias("event_type"))
+    return stream.drain(stream.new_categories(_events(spark, sf), known).select("event_type"), "append").distinct()
+
+
+@query("SELECT count(*) AS n_rows, count(*) = count(DISTINCT event_id) AS passed FROM events")
+def stream_claim_recheck(spark, sf):
+    """The uniqueness claim is proved again for each batch; the sink keeps one row a batch."""
+    seen: list[tuple[int, bool]] = []
+
+    def check(df, _):
+        r = keys.verify_many(df, [["event_id"]]).first()
+        seen.append((r["n"], r["is_unique"]))
+
+    stream.drain(_events(spark, sf), batch=check)
+    return spark.createDataFrame(seen, "n_rows long, passed boolean")
