@@ -92,7 +92,7 @@ def store(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     source = documents.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("raw"))
 
     def list_digests(b: pa.RecordBatch) -> pa.RecordBatch:
-        d = [x for raw in b.column(0) for x in struct.iter_unpack(_ENTRY, entries(chunks(sample_file(padded(raw.as_py() or b"")))) if x[2] >= LEAST]
+        d = [x for raw in b.column(0) for x in struct.iter_unpack(_ENTRY, entries(chunks(sample_file(padded(raw.as_py() or b""))))) if x[2] >= LEAST]
         return pa.RecordBatch.from_arrays([pa.array([x[k] for x in d], pa.int64()) for k in range(2)], ["d1", "d2"])
 
     counted = map_batches(source.select("raw"), list_digests, "d1 long, d2 long").groupBy("d1", "d2").agg(F.count("*").alias("n"))
