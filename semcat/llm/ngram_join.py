@@ -223,14 +223,27 @@ def _verified(docs: DataFrame, owners: DataFrame, pairs: DataFrame, width: int,
     return materialise(map_batches(joined, decide, "a long, b long"), "links")
 
 
+def _halved(owners: DataFrame) -> DataFrame:
+    """Bitmaps folded once for the tiles, where they only screen: half the bytes, and still about a bit for each member."""
+
+    def fold_once(b: pa.RecordBatch) -> pa.RecordBatch:
+        maps = [_folded(m, max(8, len(m) // 2)).tobytes() for m in b.column(1).to_pylist()]
+        return pa.RecordBatch.from_arrays([b.column(0), pa.array(maps, pa.binary())], ["id", "bitmap"])
+
+    return map_batches(owners.select("id", "bitmap"), fold_once, "id long, bitmap binary")
+
+
 def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
     """Pairs of a tile that are not connected yet and that their bitmaps admit. A token with many members is cut into
     blocks by hash; a tile meets two blocks, by size, and ends where sizes are too far apart to reach the threshold."""
     rows = tiles.select("token", "id", "n", "early").join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", "early", F.coalesce("label", "id").alias("label"))
-    mixed = rows.groupBy("token").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("m")).where("lo < hi").select("token", F.ceil(F.col("m") / TILE).cast("int").alias("k"))
+    # tokens with the same members (by two sums of hashes and the count) give the same pairs: one of them is enough
+    names = [F.sum(F.xxhash64(*c).cast("decimal(20,0)")).alias(f"s{i}") for i, c in enumerate((("id", "early"), ("early", "n", "id")))]
+    mixed = rows.groupBy("token").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("m"), *names).where("lo < hi")
+    mixed = mixed.groupBy("s0", "s1", "m").agg(F.min("token").alias("token")).select("token", F.ceil(F.col("m") / TILE).cast("int").alias("k"))
     rows = rows.join(mixed, "token").withColumn("block", F.pmod(F.xxhash64("id"), F.col("k")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
     tile = F.xxhash64("token", F.least("block", "other"), F.greatest("block", "other"))
-    rows = rows.join(owners.select("id", "bitmap"), "id").select(tile.alias("tile"), (F.col("block") == F.col("other")).alias("inner"), "block", "id", "n", "early", "label", "bitmap")
+    rows = rows.join(_halved(owners), "id").select(tile.alias("tile"), (F.col("block") == F.col("other")).alias("inner"), "block", "id", "n", "early", "label", "bitmap")
     parts = int(owners.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def tiles_of(batches):
@@ -288,7 +301,7 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     sig = signatures(docs, width, percent)
     named = sig.where("n > 0 and id is not null")
     classes = materialise(named.groupBy("h1", "h2", "n").agg(F.min("id").alias("rep")), "classes")
-    owners = named.join(classes.select("h1", "h2", "n", F.col("rep").alias("id")), ["h1", "h2", "n", "id"], "left_semi").dropDuplicates(["id", "h1", "h2"])
+    owners = named.join(classes.select("h1", "h2", "n", F.col("rep").alias("id")), ["h1", "h2", "n", "id"], "left_semi").dropDuplicates(["h1", "h2", "n", "id"])
     owners = materialise(owners.select("id", "n", "bitmap", "tokens", "early"), "owners")
     tiles = _shared_tokens(owners, percent)
     star = tiles.select("id", F.explode(F.array("leader", "partner")).alias("to")).where("to <> id")
