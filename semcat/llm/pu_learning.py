@@ -73,9 +73,9 @@ def _sample(documents: DataFrame, ids: DataFrame, id_col: str, text_col: str) ->
     return [(h, np.array(d)) for h, d in rows]
 
 
-def non_negative_fit(x_pos, x_unl, width: int, dense_pos, dense_unl, prior: float, epochs: int = 400, rate: float = 0.05, decay: float = 1e-4, slack: float = 0.0):
+def non_negative_fit(x_pos, x_unl, width: int, dense_pos, dense_unl, prior: float, epochs: int = 1500, rate: float = 0.05, decay: float = 0.015, slack: float = 0.0):
     """Weights of a logistic model under the non-negative risk. x_*: (row, feature) index pairs of binary features.
-    When the estimated risk of the negatives falls below -slack, the step climbs back instead of overfitting."""
+    The weight of the squared-norm penalty is ``decay`` divided by the number of positives, as for a fixed Gaussian prior. When the estimated risk of the negatives falls below -slack, the step climbs back instead of overfitting."""
     w, d = np.zeros(width), np.zeros(dense_pos.shape[1])
     m = [np.zeros(width + len(d)) for _ in range(2)]
     sigmoid = lambda z: 1 / (1 + np.exp(-np.clip(z, -40, 40)))
@@ -88,7 +88,7 @@ def non_negative_fit(x_pos, x_unl, width: int, dense_pos, dense_unl, prior: floa
         risk = np.logaddexp(0, z_unl).mean() - prior * np.logaddexp(0, z_pos).mean()
         negative = back(x_unl, dense_unl, p_unl / n_unl) - prior * back(x_pos, dense_pos, p_pos / n_pos)
         g = prior * back(x_pos, dense_pos, (p_pos - 1) / n_pos) + negative if risk >= -slack else -negative
-        g += decay * np.r_[w, d]
+        g += decay / n_pos * np.r_[w, d]
         m[0] = 0.9 * m[0] + 0.1 * g
         m[1] = 0.99 * m[1] + 0.01 * g * g
         step = rate * (m[0] / (1 - 0.9**t)) / (np.sqrt(m[1] / (1 - 0.99**t)) + 1e-8)
