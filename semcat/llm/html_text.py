@@ -282,7 +282,7 @@ def sample_page(rng: random.Random) -> str:
     t, c = pick([("article", ""), ("article", ""), ("article", ' class="post"'), ("main", ""), ("div", ' class="content"'), ("div", ' id="article-body"'), ("section", ' class="entry"'), ("div", ' class="post-text"')])
     main = f"<{t} data-y{c}>{body}</{t}>"
     if t == "article" and rng.random() < 0.3:
-        main = f"<main>{main}</main>"
+        main = f"<main data-y>{main}</main>"
     first = [around[k]() for k in ("nav", "header", "notice", "ad", "side", "form") if rng.random() < 0.45]
     last = [around[k]() for k in ("comments", "side", "ad", "form", "related", "notice", "nav") if rng.random() < 0.35] + ([around["footer"]()] if rng.random() < 0.85 else [])
     rng.shuffle(first)
@@ -291,7 +291,7 @@ def sample_page(rng: random.Random) -> str:
 
 
 @lru_cache
-def trained(pages: int = 500, seed: int = 11) -> Boosted:
+def trained(pages: int = 1200, seed: int = 11) -> Boosted:
     """The model, fitted to made-up pages with known main text (a fixed number of them; deterministic)."""
     rng = random.Random(seed)
     xs, ys = [], []
