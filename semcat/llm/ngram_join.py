@@ -289,9 +289,10 @@ def _compare(t: pa.Table, percent: int) -> Iterator[pa.RecordBatch]:
 def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame]:
     """Exact similarity join of whole texts on word n-grams.
 
-    Returns (members, links). members: ``id, n_shingles, class_id, component_id, n_links``, a row for each input row, where
+    Returns (members, links). members: ``id, n_shingles, class_id, component_id, n_verified_links``, a row for each input row, where
     class_id is the smallest id with an equal set. links: verified pairs (a, b) of class ids that connect each component
-    (pairs that earlier links connect already are not listed again).
+    (pairs that earlier links connect already are not listed again). n_verified_links counts these links of a class; it is a
+    lower bound of the classes that reach the threshold with it.
 
     Defined cases: a null or wordless text has no shingles, is linked with nothing and forms its own class and component;
     rows that share an id are one vertex; a row without id keeps its n_shingles and has null class and component; other
@@ -314,6 +315,6 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     # copies of one id in several classes tie those classes together
     tie = same.where("class_id <> id").select(F.col("id").alias("a"), F.col("class_id").alias("b")).join(classes.select(F.col("rep").alias("a")).distinct(), "a", "left_semi")
     final = components(links.union(tie))
-    degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
+    degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_verified_links"))
     out = same.join(final.toDF("class_id", "label"), "class_id", "left").join(degree, "class_id", "left")
-    return out.select("id", "n_shingles", "class_id", F.coalesce("label", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")), links
+    return out.select("id", "n_shingles", "class_id", F.coalesce("label", "class_id").alias("component_id"), F.coalesce("n_verified_links", F.lit(0)).alias("n_verified_links")), links

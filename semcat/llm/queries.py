@@ -22,7 +22,7 @@ def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ngram_join import jaccard_join
 
     members, _ = jaccard_join(_table(spark, sf_dir, "documents"))
-    return members.select(F.col("id").alias("doc_id"), "n_shingles", "component_id", "class_id", "n_links")
+    return members.select(F.col("id").alias("doc_id"), "n_shingles", "component_id", "class_id", "n_verified_links")
 
 
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
