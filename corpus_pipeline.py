@@ -20,6 +20,7 @@ from semcat.llm.language_id import fit as fit_languages
 from semcat.llm.language_id import predict
 from semcat.llm.ngram_join import jaccard_join
 from semcat.llm.packing import pack
+from semcat.llm.pu_learning import TOXIC_FEATURES
 from semcat.llm.pu_learning import fit as fit_pu
 from semcat.llm.pu_learning import score
 
@@ -35,7 +36,7 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that score below 0.7; labels of fold 1 of 3 are not learned from."""
-    model = fit_pu(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), "toxic", fold("doc_id", 3) != 1)
+    model = fit_pu(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), "toxic", fold("doc_id", 3) != 1, **TOXIC_FEATURES)
     carried = docs.select(*COLUMNS, F.col("text").alias("body"))
     return score(carried, model, "doc_id", "body", tuple(COLUMNS[1:])).where("score < 0.7").select(COLUMNS)
 

@@ -2,7 +2,8 @@
 
 Both learn from trusted positives and unlabelled text by the non-negative risk estimator: the risk of the negatives is taken
 from the unlabelled texts less the class prior times the positives' share, and held at zero or more. Texts are described by
-the presence of hashed tokens (runs of letters and digits, runs of other signs) and by a few proportions.
+the presence of hashed tokens (runs of letters and digits, runs of other signs), for toxicity also of the tokens' first bytes,
+so that varied forms of a word share a feature, and by a few proportions.
 """
 
 from __future__ import annotations
@@ -22,10 +23,14 @@ _CLASS[:33] = 0
 _CLASS[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = 1
 DENSE = 6
 _SLOTS = 1 << 20
+_PREFIX = np.uint64(0x5BD1E9955BD1E995)
+#: How the features of toxicity are picked (chosen on an inner split of the learning folds): its marks are rare and vary in form.
+TOXIC_FEATURES = {"prefix": 5, "min_z": 3.0, "floor": 3, "features": 16384}
 
 
-def tokens(col: pa.Array):
-    """For runs of documents: (first row, rows, token hashes, document of each token, proportions of each document)."""
+def tokens(col: pa.Array, prefix: int = 0):
+    """For runs of documents: (first row, rows, token hashes, document of each token, proportions of each document). With
+    ``prefix``, the hash of the first so many bytes follows each token's own."""
     data, offsets, _ = utf8(col)
     for i, j in blocks(offsets):
         off = offsets[i : j + 1] - offsets[i]
@@ -41,6 +46,9 @@ def tokens(col: pa.Array):
         upper = (bounds[off[1:]] - bounds[off[:-1]]).astype(float)
         some = np.maximum(n, 1)
         dense = np.column_stack([(n - words) / some, size / np.maximum(words, 1) / 10, upper / np.maximum(size, 1), np.log1p(n) / 10, n == 0, np.ones(rows)])
+        if prefix:
+            h = np.column_stack([h, span_hashes(LOWER[raw], starts, np.minimum(ends, starts + prefix)) ^ _PREFIX]).ravel()
+            doc = np.repeat(doc, 2)
         yield i, rows, h, doc, dense
 
 
@@ -52,15 +60,16 @@ class PuModel:
     weights: np.ndarray
     dense: np.ndarray
     prior: float
+    prefix: int = 0
 
 
-def _sample(documents: DataFrame, ids: DataFrame, id_col: str, text_col: str) -> list[tuple[np.ndarray, np.ndarray]]:
+def _sample(documents: DataFrame, ids: DataFrame, id_col: str, text_col: str, prefix: int) -> list[tuple[np.ndarray, np.ndarray]]:
     """(distinct token hashes, proportions) of the documents with these ids; ``ids`` has a bounded number of rows."""
     picked = documents.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(ids), "id", "left_semi").select("text")
 
     def describe(b: pa.RecordBatch) -> pa.RecordBatch:
         hs, ds = [], []
-        for _, rows, h, doc, dense in tokens(b.column(0)):
+        for _, rows, h, doc, dense in tokens(b.column(0), prefix):
             first = np.searchsorted(doc, np.arange(rows + 1))
             for d in range(rows):
                 hs.append(np.unique(h[first[d] : first[d + 1]]).view(np.int64))
@@ -96,21 +105,21 @@ def non_negative_fit(x_pos, x_unl, width: int, dense_pos, dense_unl, prior: floa
     return w, d
 
 
-def fit(documents: DataFrame, labels: DataFrame, label: str, learn, id_col: str = "doc_id", text_col: str = "text", positives: int = 6000, unlabelled: int = 10000, features: int = 512, min_z: float = 6.0) -> PuModel:
+def fit(documents: DataFrame, labels: DataFrame, label: str, learn, id_col: str = "doc_id", text_col: str = "text", positives: int = 6000, unlabelled: int = 10000, features: int = 512, min_z: float = 6.0, floor: int = 8, prefix: int = 0) -> PuModel:
     """Learn from at most ``positives`` confirmed positives and ``unlabelled`` other texts (documented bounds; both taken by
     the hash of the id, among the rows for which the column ``learn`` holds). The class prior is the share of positives among
-    the labelled rows that may be learned from. Tokens are kept that differ between the two samples by ``min_z`` standard
-    errors. Without positives the model scores every text with the prior, or 0.5 if there are no labels."""
+    the labelled rows that may be learned from. Tokens, and their first ``prefix`` bytes, are kept that ``floor`` documents hold and that
+    differ between the two samples by ``min_z`` standard errors, at most ``features`` of them. Without positives the model scores every text with the prior, or 0.5 if there are no labels."""
     known = labels.where(learn & F.col(label).isNotNull())
     stats = known.agg(F.count("*").alias("n"), F.sum(F.when(F.col(label) == 1, 1).otherwise(0)).alias("p")).first()
     prior = float(np.clip((stats["p"] or 0) / stats["n"], 0.001, 0.999)) if stats["n"] else 0.5
     pick = lambda df, most: df.select(F.col(id_col).alias("id")).where("id is not null").distinct().orderBy(F.xxhash64("id"), "id").limit(most)
-    pos = _sample(documents, pick(known.where(F.col(label) == 1), positives), id_col, text_col)
-    unl = _sample(documents, pick(documents.where(learn), unlabelled), id_col, text_col)
+    pos = _sample(documents, pick(known.where(F.col(label) == 1), positives), id_col, text_col, prefix)
+    unl = _sample(documents, pick(documents.where(learn), unlabelled), id_col, text_col, prefix)
     flat = np.zeros(DENSE)
     flat[-1] = np.log(prior / (1 - prior))
     if not pos or not unl:
-        return PuModel(np.zeros(0, np.uint64), np.zeros(0), flat, prior)
+        return PuModel(np.zeros(0, np.uint64), np.zeros(0), flat, prior, prefix)
     (hp, cp), (hu, cu) = (np.unique(np.concatenate([h for h, _ in x]), return_counts=True) for x in (pos, unl))
     both = np.union1d(hp, hu)
     fp, fu = np.zeros(len(both)), np.zeros(len(both))
@@ -119,7 +128,7 @@ def fit(documents: DataFrame, labels: DataFrame, label: str, learn, id_col: str
     rp, ru = fp / len(pos), fu / len(unl)
     pooled = (fp + fu) / (len(pos) + len(unl))
     z = np.abs(rp - ru) / np.sqrt(np.maximum(pooled * (1 - pooled), 1e-9) * (1 / len(pos) + 1 / len(unl)))
-    z[fp + fu < 8] = 0
+    z[fp + fu < floor] = 0
     best = np.argsort(-z, kind="stable")[:features]
     hashes = np.sort(both[best[z[best] >= min_z]])
 
@@ -133,7 +142,7 @@ def fit(documents: DataFrame, labels: DataFrame, label: str, learn, id_col: str
         return np.concatenate(r), np.concatenate(c)
 
     w, d = non_negative_fit(indexed(pos), indexed(unl), len(hashes), np.stack([x for _, x in pos]), np.stack([x for _, x in unl]), prior)
-    return PuModel(hashes, w, d, prior)
+    return PuModel(hashes, w, d, prior, prefix)
 
 
 def score(documents: DataFrame, model: PuModel, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
@@ -146,7 +155,7 @@ def score(documents: DataFrame, model: PuModel, id_col: str = "doc_id", text_col
 
     def rate(b: pa.RecordBatch) -> pa.RecordBatch:
         out, live = np.zeros(b.num_rows), np.unpackbits(slots).astype(bool)
-        for first, rows, h, doc, dense in tokens(b.column("text_")):
+        for first, rows, h, doc, dense in tokens(b.column("text_"), model.prefix):
             z = dense @ model.dense
             at = np.flatnonzero(live[(h & np.uint64(_SLOTS - 1)).astype(np.int64)])
             if len(at):
@@ -164,16 +173,16 @@ def score(documents: DataFrame, model: PuModel, id_col: str = "doc_id", text_col
     return out.select(F.col("id_").alias(id_col), *[F.col(f"keep_{c}").alias(c) for c in keep], "score")
 
 
-def classify(documents: DataFrame, labels: DataFrame, label: str, folds: int, held_out: int, threshold: float) -> DataFrame:
+def classify(documents: DataFrame, labels: DataFrame, label: str, folds: int, held_out: int, threshold: float, **how) -> DataFrame:
     """(doc_id, held_out, score, predicted) for every document; fold ``held_out`` of ``folds`` is not learned from."""
-    model = fit(documents, labels, label, fold("doc_id", folds) != held_out)
+    model = fit(documents, labels, label, fold("doc_id", folds) != held_out, **how)
     out = score(documents, model)
     return out.select("doc_id", (fold("doc_id", folds) == held_out).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
 def toxicity(documents: DataFrame, labels: DataFrame) -> DataFrame:
     """Toxic texts: confirmed toxic examples against unlabelled text; predicted 1 from a score of 0.7."""
-    return classify(documents, labels, "toxic", 3, 1, 0.7)
+    return classify(documents, labels, "toxic", 3, 1, 0.7, **TOXIC_FEATURES)
 
 
 def quality(documents: DataFrame, labels: DataFrame) -> DataFrame:

@@ -195,6 +195,17 @@ def test_classifiers_learn_and_take_odd_rows(spark, odd):
     assert pu_learning.toxicity(odd.limit(0), labels).count() == 0
 
 
+def test_toxicity_knows_varied_forms_of_a_mark(spark):
+    rng = random.Random(4)
+    words = ["".join(rng.choice("aeioklmn") for _ in range(4)) for _ in range(300)]
+    mark = lambda i: f" vilex{i}" * (i % 5 == 0)
+    rows = [(i, " ".join(rng.choice(words) for _ in range(80)) + mark(i)) for i in range(900)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(i, int(i % 5 == 0)) for i, _ in rows], "doc_id long, toxic int")
+    held = pu_learning.toxicity(docs, labels).where("held_out").collect()
+    assert sum(r["predicted"] != int(r["doc_id"] % 5 == 0) for r in held) <= 0.03 * len(held)
+
+
 def test_language_profiles(spark, odd, docs):
     got = language_id.identify(docs).join(docs.select("doc_id", "lang"), "doc_id").where("held_out")
     assert got.where("lang = lang_pred").count() >= 0.95 * got.count()
