@@ -3,8 +3,9 @@
 Every text becomes the set of its word n-grams (64-bit hashes, sorted). Texts with equal sets are one class. A class
 puts the rarest part of its set - long enough that two classes over the threshold share one entry - into tiles, by shingle
 and size band. A parity bitmap of each set bounds the overlap of a pair from above; what passes is decided by the exact
-intersection of the sorted arrays. Pairs that are already connected through verified links are not compared again, so
-a group of n near copies costs about n comparisons and no stage emits the pairs within a group.
+intersection of the sorted arrays. All pairs over the threshold are returned; their number grows with the square of a
+group's size. Where only the components are asked for, pairs that are connected already through verified links are not
+compared again, so a group of n near copies costs about n comparisons and no stage emits the pairs within a group.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ from .components import components
 SKETCH_BITS = 18
 #: Members of a tile's block; a tile compares two blocks.
 TILE = 512
+#: Members of a group's block in the exact check of all pairs; the sets of two blocks meet.
+GROUP = 128
 
 
 def shingle_sets(col: pa.Array, width: int) -> Iterator[np.ndarray]:
@@ -233,10 +236,11 @@ def _halved(owners: DataFrame) -> DataFrame:
     return map_batches(owners.select("id", "bitmap"), fold_once, "id long, bitmap binary")
 
 
-def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
-    """Pairs of a tile that are not connected yet and that their bitmaps admit. A token with many members is cut into
+def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame | None, percent: int) -> DataFrame:
+    """Pairs of a tile that their bitmaps admit and, given labels, that are not connected yet. A token with many members is cut into
     blocks by hash; a tile meets two blocks, by size, and ends where sizes are too far apart to reach the threshold."""
-    rows = tiles.select("token", "id", "n", "early").join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", "early", F.coalesce("label", "id").alias("label"))
+    rows = tiles.select("token", "id", "n", "early")
+    rows = rows.withColumn("label", F.col("id")) if labels is None else rows.join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", "early", F.coalesce("label", "id").alias("label"))
     # tokens with the same members (by two sums of hashes and the count) give the same pairs: one of them is enough
     names = [F.sum(F.xxhash64(*c).cast("decimal(20,0)")).alias(f"s{i}") for i, c in enumerate((("id", "early"), ("early", "n", "id")))]
     mixed = rows.groupBy("token").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("m"), *names).where("lo < hi")
@@ -286,13 +290,81 @@ def _compare(t: pa.Table, percent: int) -> Iterator[pa.RecordBatch]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.minimum(ids[x], ids[y])), pa.array(np.maximum(ids[x], ids[y]))], ["a", "b"])
 
 
-def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame]:
+def _all_verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
+    """The pairs (a, b) that reach the threshold, for many pairs within groups: a group of connected pairs is cut into blocks by
+    hash, and a tile gets each set of two blocks once, not once for each pair. Exact intersections decide."""
+    pairs = materialise(pairs, "candidates")
+    group = components(pairs)
+    blocks_of = group.groupBy("label").agg(F.ceil(F.count("*") / GROUP).cast("int").alias("k"))
+    group = materialise(group.join(blocks_of, "label").select("id", "label", F.pmod(F.xxhash64("id", F.lit(GROUP)), F.col("k")).cast("int").alias("block")), "groups")
+    near = pairs.join(group.toDF("a", "label", "ba"), "a").join(group.select(F.col("id").alias("b"), F.col("block").alias("bb")), "b")
+    near = materialise(near.select(F.xxhash64("label", F.least("ba", "bb"), F.greatest("ba", "bb")).alias("tile"), "a", "b"), "dealt")
+    needed = near.select("tile", F.explode(F.array("a", "b")).alias("id")).distinct()
+    bits = membership_filter(group, "id")
+
+    def sets(b: pa.RecordBatch):
+        live = np.flatnonzero(passes(bits, b.column("slot").to_numpy()))
+        if not len(live):
+            return None
+        b = b.take(pa.array(live))
+        return pa.RecordBatch.from_arrays([b.column("id").cast(pa.int64()), b.column("n_bytes"), pa.array([s.view(np.int64) for s in shingle_sets(b.column("text"), width)], pa.list_(pa.int64()))], ["id", "n_bytes", "s"])
+
+    have = map_batches(docs.where("id is not null").select("id", "text", F.octet_length("text").alias("n_bytes"), may_contain("id").alias("slot")), sets, "id long, n_bytes int, s array<long>")
+    have = materialise(have.join(group.select("id"), "id", "left_semi").select("id", "s"), "sets")
+    nothing = F.lit(None)
+    rows = needed.join(have, "id").select("tile", F.lit(0).alias("kind"), F.col("id").alias("a"), nothing.cast("long").alias("b"), "s")
+    rows = rows.union(near.select("tile", F.lit(1), "a", "b", nothing.cast("array<long>")))
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def decide(batches):
+        tile, held, marked, members = None, {}, None, None
+        for t in batches:
+            at, kind, a = (t.column(c).to_numpy() for c in ("tile", "kind", "a"))
+            b, s = t.column("b").fill_null(0).to_numpy(), t.column("s")
+            cuts = np.flatnonzero((at[1:] != at[:-1]) | (kind[1:] != kind[:-1]) | ((kind[1:] == 1) & (a[1:] != a[:-1]))) + 1
+            keep = np.zeros(len(a), bool)
+            for i, j in zip(np.r_[0, cuts], np.r_[cuts, len(a)], strict=True):
+                if at[i] != tile:
+                    tile, held, marked = at[i], {}, None
+                if kind[i] == 0:
+                    for k in range(i, j):
+                        held.setdefault(int(a[k]), []).append(s[k].values.to_numpy().view(np.uint64))
+                    continue
+                if a[i] != marked:
+                    marked, members = a[i], held[int(a[i])]
+                for k in range(i, j):
+                    keep[k] = any(_reaches(x, y, percent) for x in members for y in held[int(b[k])])
+            if keep.any():
+                yield t.select(["a", "b"]).filter(pa.array(keep))
+
+    dealt = rows.repartition(parts, "tile").sortWithinPartitions("tile", "kind", "a", "b")
+    return materialise(map_stream(dealt, decide, "a long, b long"), "links")
+
+
+def _reaches(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    if len(x) > len(y):
+        x, y = y, x
+    common = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum()) if len(y) else 0
+    return 100 * common >= percent * (len(x) + len(y) - common)
+
+
+def _connecting(docs: DataFrame, owners: DataFrame, tiles: DataFrame, width: int, percent: int) -> DataFrame:
+    """Verified pairs that connect each component: leaders and partners first, then the pairs that are still apart."""
+    star = tiles.select("id", F.explode(F.array("leader", "partner")).alias("to")).where("to <> id")
+    star = star.select(F.least("to", "id").alias("a"), F.greatest("to", "id").alias("b")).distinct()
+    first = _verified(docs, owners, star, width, percent)
+    labels = components(first)
+    more = _verified(docs, owners, _cross_pairs(tiles, owners, labels, percent), width, percent)
+    return first.union(more)
+
+
+def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, components_only: bool = False) -> tuple[DataFrame, DataFrame]:
     """Exact similarity join of whole texts on word n-grams.
 
-    Returns (members, links). members: ``id, n_shingles, class_id, component_id, n_verified_links``, a row for each input row, where
-    class_id is the smallest id with an equal set. links: verified pairs (a, b) of class ids that connect each component
-    (pairs that earlier links connect already are not listed again). n_verified_links counts these links of a class; it is a
-    lower bound of the classes that reach the threshold with it.
+    Returns (members, links). members: ``id, n_shingles, class_id, component_id, n_links``, a row for each input row, where
+    class_id is the smallest id with an equal set. links: every pair (a, b) of different class ids whose sets reach the
+    threshold; n_links counts them for a row's class. With ``components_only`` links holds only pairs that connect each
+    component (those that earlier links connect already are not compared), and n_links counts these.
 
     Defined cases: a null or wordless text has no shingles, is linked with nothing and forms its own class and component;
     rows that share an id are one vertex; a row without id keeps its n_shingles and has null class and component; other
@@ -305,16 +377,14 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     owners = named.join(classes.select("h1", "h2", "n", F.col("rep").alias("id")), ["h1", "h2", "n", "id"], "left_semi").dropDuplicates(["h1", "h2", "n", "id"])
     owners = materialise(owners.select("id", "n", "bitmap", "tokens", "early"), "owners")
     tiles = _shared_tokens(owners, percent)
-    star = tiles.select("id", F.explode(F.array("leader", "partner")).alias("to")).where("to <> id")
-    star = star.select(F.least("to", "id").alias("a"), F.greatest("to", "id").alias("b")).distinct()
-    first = _verified(docs, owners, star, width, percent)
-    labels = components(first)
-    more = _verified(docs, owners, _cross_pairs(tiles, owners, labels, percent), width, percent)
-    links = first.union(more)
+    if components_only:
+        links = _connecting(docs, owners, tiles, width, percent)
+    else:
+        links = _all_verified(docs, _cross_pairs(tiles, owners, None, percent), width, percent)
     same = sig.join(classes, ["h1", "h2", "n"], "left").select("id", F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.coalesce("rep", "id")).alias("class_id"))
     # copies of one id in several classes tie those classes together
     tie = same.where("class_id <> id").select(F.col("id").alias("a"), F.col("class_id").alias("b")).join(classes.select(F.col("rep").alias("a")).distinct(), "a", "left_semi")
     final = components(links.union(tie))
-    degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_verified_links"))
+    degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
     out = same.join(final.toDF("class_id", "label"), "class_id", "left").join(degree, "class_id", "left")
-    return out.select("id", "n_shingles", "class_id", F.coalesce("label", "class_id").alias("component_id"), F.coalesce("n_verified_links", F.lit(0)).alias("n_verified_links")), links
+    return out.select("id", "n_shingles", "class_id", F.coalesce("label", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")), links

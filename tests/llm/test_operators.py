@@ -74,6 +74,26 @@ def test_jaccard_join_matches_brute_force(spark):
     assert links.count() > 0
 
 
+def test_jaccard_join_returns_every_link(spark):
+    rng = random.Random(8)
+    base = [f"w{k}" for k in range(150)]
+    rows = []
+    for k in range(300):
+        w = list(base)
+        for _ in range(rng.randint(1, 4)):
+            w[rng.randrange(len(w))] = f"x{rng.randrange(10**6)}"
+        rows.append((k * 2 + 1, " ".join(w)))
+    rows += [(1000, rows[5][1]), (1001, "")]
+    members, links = ngram_join.jaccard_join(spark.createDataFrame(rows, "doc_id long, text string").repartition(3))
+    sets = {i: shingles(t) for i, t in rows[:300]}
+    want = {(a, b) for a in sets for b in sets if a < b and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])}
+    assert len(want) > 5000 and sorted(map(tuple, links.collect())) == sorted(want)
+    degree = {r["id"]: r["n_links"] for r in members.collect()}
+    assert degree == {i: sum((rows[5][0] if i == 1000 else i) in p for p in want) for i, _ in rows}
+    few, some = ngram_join.jaccard_join(spark.createDataFrame(rows, "doc_id long, text string"), components_only=True)
+    assert some.count() < len(want) and {r["id"]: r["component_id"] for r in few.collect()} == {r["id"]: r["component_id"] for r in members.collect()}
+
+
 def test_jaccard_join_on_odd_rows(odd):
     members, _ = ngram_join.jaccard_join(odd)
     got = sorted((str(r["id"]), r["n_shingles"], str(r["component_id"])) for r in members.collect())
