@@ -383,7 +383,8 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
         links = _all_verified(docs, _cross_pairs(tiles, owners, None, percent), width, percent)
     same = sig.join(classes, ["h1", "h2", "n"], "left").select("id", F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.coalesce("rep", "id")).alias("class_id"))
     # copies of one id in several classes tie those classes together
-    tie = same.where("class_id <> id").select(F.col("id").alias("a"), F.col("class_id").alias("b")).join(classes.select(F.col("rep").alias("a")).distinct(), "a", "left_semi")
+    least = same.where("id is not null").groupBy("id").agg(F.min("class_id").alias("a"), F.max("class_id").alias("most")).where("a < most")
+    tie = same.join(least, "id").select("a", F.col("class_id").alias("b"))
     final = components(links.union(tie))
     degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
     out = same.join(final.toDF("class_id", "label"), "class_id", "left").join(degree, "class_id", "left")

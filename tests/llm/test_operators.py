@@ -94,6 +94,14 @@ def test_jaccard_join_returns_every_link(spark):
     assert some.count() < len(want) and {r["id"]: r["component_id"] for r in few.collect()} == {r["id"]: r["component_id"] for r in members.collect()}
 
 
+def test_jaccard_join_ties_the_classes_of_one_id(spark):
+    a, b = " ".join(f"a{k}" for k in range(30)), " ".join(f"b{k}" for k in range(30))
+    rows = [(1, a), (2, b), (5, a), (5, b), (6, ""), (6, a), (8, "c d e"), (9, None)]
+    members, _ = ngram_join.jaccard_join(spark.createDataFrame(rows, "doc_id long, text string"))
+    want = components_of(rows)
+    assert sorted((r["id"], r["component_id"]) for r in members.collect()) == sorted((i, want[i]) for i, _ in rows)
+
+
 def test_jaccard_join_on_odd_rows(odd):
     members, _ = ngram_join.jaccard_join(odd)
     got = sorted((str(r["id"]), r["n_shingles"], str(r["component_id"])) for r in members.collect())
