@@ -28,7 +28,7 @@ _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 #: The small labelled URL table is made of these words: subjects and trimmings of unwanted sites, subjects of wanted ones.
 #: No host was copied from a table; made-up names stand for hosts whose name says nothing.
-UNWANTED = "casino poker slots roulette jackpot bets betting lottery pills viagra pharmacy loans payday replica adult escort porn xxx warez keygen cracked torrent spam clicks prizes giveaway doubler singles".split()
+UNWANTED = "casino poker slots roulette jackpot bets betting lottery pills viagra pharmacy loans payday replica adult escort porn xxx warez keygen cracked torrent spam clicks prizes giveaway doubler singles ads adserver advertising banner popup tracker track tracking pixel beacon telemetry affiliate linkfarm backlinks".split()
 TRIMMINGS = "win free cheap online best bonus club hub zone store deals now".split()
 WANTED = "news library university museum recipes weather gardening history physics travel health council school journal encyclopedia football cinema orchestra hospital railway biology theatre parliament harbour bakery village forest mountain river bridge painting literature grammar dictionary atlas observer chronicle gazette review".split()
 

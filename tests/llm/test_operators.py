@@ -136,6 +136,14 @@ def test_url_model_knows_its_marks():
     assert url_filter.probability("university.example.net", "/en/77", w, b) < 0.5
 
 
+def test_url_model_knows_advertising_and_trackers():
+    w, b = url_filter.fit()
+    for host in ("ads-track.example.org", "banner-ads.example.net", "pixel-tracker.example.org"):
+        assert url_filter.probability(host, "/de/12.html", w, b) > 0.5
+    for host in ("library.example.org", "railway-museum.example.net"):
+        assert url_filter.probability(host, "/de/12.html", w, b) < 0.5
+
+
 def test_bpe_equals_the_library(odd, docs):
     tk = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
     tk.no_truncation()
