@@ -409,11 +409,19 @@ def cov_reference(spark, sf):
 _REF_JOIN = [(s, f"{a}.{b}", f"{c}.{d}") for s, t in SCOPES.items() for a, b, c, d in FOREIGN if a in t and c in t]
 
 
+def _proved_joins(b):
+    """(source, target) of the joins in the bundle's built catalog whose source values all exist in the target."""
+    out = []
+    for j in builder.build(b).joins:
+        f = b[j["from_table"]].select(F.col(j["from_col"]).alias("k")).where("k is not null").distinct()
+        if not f.join(b[j["to_table"]].select(F.col(j["to_col"]).alias("k")), "k", "left_anti").limit(1).count():
+            out.append((f"{j['from_table']}.{j['from_col']}", f"{j['to_table']}.{j['to_col']}"))
+    return out
+
+
 @query(" UNION ALL ".join(f"SELECT '{s}' AS scope, CAST({n} AS BIGINT) AS n_hit, CAST({n} AS BIGINT) AS n_ref" for s, n in {s: sum(x[0] == s for x in _REF_JOIN) for s in ("W1", "W2", "W3", "W6")}.items()))
 def cov_relationships(spark, sf):
-    got = []
-    for s in ("W1", "W2", "W3", "W6"):
-        got += [(s, f"{a}.{b}", f"{c}.{d}") for a, b, c, d in from_parquet(spark, sf, SCOPES[s], declared=True).foreign]
+    got = [(s, *j) for s in ("W1", "W2", "W3", "W6") for j in _proved_joins(from_parquet(spark, sf, SCOPES[s], declared=True))]
     kind = "scope string, f string, t string"
     return claims.coverage(rows(spark, _REF_JOIN, kind), rows(spark, got, kind), ["scope", "f", "t"], ["scope"])
 
@@ -499,7 +507,7 @@ def _arm(spark, sf, scope, arm):
     tables = SCOPES[scope] if isinstance(scope, str) else scope
     b = from_parquet(spark, sf, tables, declared=arm == "meta")
     if arm == "meta":
-        return rows(spark, [(f"{x}.{y}", f"{u}.{v}") for x, y, u, v in b.foreign], "source string, target string")
+        return rows(spark, _proved_joins(b), "source string, target string")
     ids, cols = [k for k in KEY_IDS if k.split(".")[0] in tables], [x for x in INTS if x[0] in tables]
     d = domains.build(disjoint(b) if arm == "disjoint" else b, cols)
     return joins.ledger(domains.pair_overlap(d, ids), ids, MEASURES).where("stage = 'accepted'").select("source", "target")

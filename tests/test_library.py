@@ -110,3 +110,15 @@ def test_flat_files_round_trip(spark, tmp_path):
     assert sorted(back["nation"].collect()) == sorted(src.stripped(b)["nation"].collect())
     with pytest.raises(NotImplementedError):
         src.from_files(spark, str(tmp_path), ["x"], "excel")
+
+
+def test_relationship_coverage_follows_the_build(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from semcat.queries import catalog_queries as q
+
+    joins = [{"from_table": "orders", "from_col": "o_custkey", "to_table": "customer", "to_col": "c_custkey"}, {"from_table": "customer", "from_col": "c_nationkey", "to_table": "region", "to_col": "r_regionkey"}]
+    monkeypatch.setattr(q.builder, "build", lambda b: SimpleNamespace(joins=[j for j in joins if {j["from_table"], j["to_table"]} <= set(b.tables)]))
+    assert {r["scope"]: r["n_hit"] for r in q.cov_relationships(spark, SF).collect()} == {"W1": 0, "W2": 1, "W3": 1, "W6": 0}
+    b = src.from_parquet(spark, SF, src.SCOPES["W2"], declared=True)
+    assert q._proved_joins(b) == [("orders.o_custkey", "customer.c_custkey")]
