@@ -19,13 +19,16 @@ from pyspark.sql import functions as F
 
 from .common import map_batches
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
+#: A quote opens a value only after an equals sign, and only if it is closed somewhere; elsewhere it is an ordinary sign.
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:=\s*\"[^\"]*\"|=\s*'[^']*'|[^>])*+)(?:>|\Z)", re.S)
 _ATTR = re.compile(r"\b(?:class|id|role|aria-label|itemprop)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _WORD = re.compile(r"[a-z]+")
 #: Fixed values of HTML: elements without content, with raw text, inside a line of text.
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
-RAW = frozenset("script style noscript template svg math iframe textarea select title object".split())
-INLINE = frozenset("a abbr b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr img".split())
+RAW = frozenset("script style template svg iframe textarea select title".split())
+#: Raw elements that, left open, take the rest of the page; of the others only the start tag is dropped.
+OPEN_RAW = frozenset("script style textarea title".split())
+INLINE = frozenset("a abbr b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr img math mi mn mo mrow msup msub mfrac msqrt mtext semantics".split())
 #: A start tag that ends an open paragraph, and open elements that the same start tag ends.
 ENDS_P = frozenset("address article aside blockquote center details dialog div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section table ul".split())
 SELF = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "p": ("p",)}
@@ -65,7 +68,15 @@ def parse(page: str) -> list[Node]:
     """The page's block nodes in document order, the root first; line-level elements are dissolved into them."""
     root = Node("html", None)
     nodes, stack, at, place, in_link = [root], [root], 0, 0, 0
+    opened: dict[str, int] = {}  # how many elements of a tag are open, so that a stray end tag costs nothing
+    unclosed: set[str] = set()
     page = page.replace("\0", "")
+
+    def leave(k: int) -> None:
+        for x in stack[k:]:
+            opened[x.tag] -= 1
+        del stack[k:]
+
     while at < len(page):
         m = _TOKEN.search(page, at)
         text = page[at : m.start() if m else len(page)]
@@ -88,19 +99,22 @@ def parse(page: str) -> list[Node]:
         if m[1]:
             if tag == "a":
                 in_link = max(0, in_link - 1)
-            elif tag not in INLINE and tag not in VOID:
-                for k in range(len(stack) - 1, 0, -1):
-                    if stack[k].tag == tag:
-                        stack[k - 1].text.append((place, None))
-                        place += 1
-                        del stack[k:]
-                        in_link = 0
-                        break
+            elif opened.get(tag):
+                k = next(k for k in range(len(stack) - 1, 0, -1) if stack[k].tag == tag)
+                stack[k - 1].text.append((place, None))
+                place += 1
+                leave(k)
+                in_link = 0
             continue
         if tag in RAW:
             if not m[0].endswith("/>"):
-                end = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(page, at)
-                at = end.end() if end else len(page)
+                end = None if tag in unclosed else re.compile(rf"</{tag}\s*>", re.I).search(page, at)
+                if end:
+                    at = end.end()
+                elif tag in OPEN_RAW:
+                    at = len(page)
+                else:
+                    unclosed.add(tag)
             continue
         if tag == "br":
             stack[-1].text.append((place, " "))
@@ -115,7 +129,7 @@ def parse(page: str) -> list[Node]:
             close = SELF.get(tag, ()) + (("p",) if tag in ENDS_P else ())
             for k in range(len(stack) - 1, 0, -1):
                 if stack[k].tag in close:
-                    del stack[k:]
+                    leave(k)
                     in_link = 0
                     break
                 if stack[k].tag not in ("p", "li", "dt", "dd", "td", "th") or stack[k].tag == "li" and tag not in ("li",):
@@ -125,8 +139,9 @@ def parse(page: str) -> list[Node]:
             place += 1
             node = Node(tag, top, _attr_groups(m[3]) if m[3] else 0)
             nodes.append(node)
-            if not m[0].endswith("/>") and len(stack) < 400:
+            if not m[0].endswith("/>"):
                 stack.append(node)
+                opened[tag] = opened.get(tag, 0) + 1
     return nodes
 
 
@@ -199,39 +214,43 @@ def blocks_of(nodes: list[Node], main: np.ndarray) -> str:
 class Boosted:
     """Gradient-boosted regression trees on the logistic loss; features are cut at quantiles of the training rows."""
 
-    def __init__(self, rounds: int = 40, depth: int = 4, rate: float = 0.3, cuts: int = 16):
+    def __init__(self, rounds: int = 60, depth: int = 5, rate: float = 0.3, cuts: int = 16):
         self.rounds, self.depth, self.rate, self.cuts = rounds, depth, rate, cuts
         self.trees: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
 
     def fit(self, x: np.ndarray, y: np.ndarray) -> Boosted:
+        """All cuts of all features are judged together, a level of the tree at a time, by one product of matrices."""
         edges = [np.unique(np.quantile(x[:, f], np.linspace(0, 1, self.cuts + 1)[1:-1], method="lower")) for f in range(x.shape[1])]
-        binned = np.column_stack([np.searchsorted(e, x[:, f], "left") for f, e in enumerate(edges)])
+        cuts = [(f, e) for f, es in enumerate(edges) for e in es if (x[:, f] > e).any()]
+        below = np.column_stack([x[:, f] <= e for f, e in cuts]).astype(np.float32)
+        feature_of, edge_of = np.array([f for f, _ in cuts]), np.array([e for _, e in cuts])
         z = np.zeros(len(y))
         for _ in range(self.rounds):
             p = 1 / (1 + np.exp(-z))
             g, h = p - y, p * (1 - p) + 1e-6
-            feature, cut, leaf = np.full(2**self.depth - 1, -1), np.zeros(2**self.depth - 1), np.zeros(2 ** (self.depth + 1) - 1)
+            size = 2 ** (self.depth + 1) - 1
+            feature, cut = np.full(2**self.depth - 1, -1), np.zeros(2**self.depth - 1)
             where = np.zeros(len(y), np.int64)
-            for node in range(2 ** (self.depth + 1) - 1):
-                rows = np.flatnonzero(where == node)
-                leaf[node] = -self.rate * g[rows].sum() / (h[rows].sum() + 1.0)
-                if node >= len(feature) or len(rows) < 20:
-                    continue
-                best = (1e-3, -1, 0)
-                gs, hs = g[rows].sum(), h[rows].sum()
-                for f, e in enumerate(edges):
-                    gl = np.cumsum(np.bincount(binned[rows, f], g[rows], len(e) + 1))[:-1]
-                    hl = np.cumsum(np.bincount(binned[rows, f], h[rows], len(e) + 1))[:-1]
-                    if len(gl):
-                        gain = gl**2 / (hl + 1) + (gs - gl) ** 2 / (hs - hl + 1) - gs**2 / (hs + 1)
-                        k = int(gain.argmax())
-                        if gain[k] > best[0]:
-                            best = (gain[k], f, k)
-                if best[1] >= 0:
-                    feature[node], cut[node] = best[1], edges[best[1]][best[2]]
-                    where[rows] = 2 * node + 1 + (binned[rows, best[1]] > best[2])
+            for level in range(self.depth):
+                first, m = 2**level - 1, 2**level
+                here = np.flatnonzero(where >= first)  # rows whose node stopped growing stay above
+                at = where[here] - first
+                gh = np.zeros((len(y), 2 * m), np.float32)
+                gh[here, at], gh[here, m + at] = g[here], h[here]
+                left = (below.T @ gh).astype(np.float64)
+                gl, hl = left[:, :m], left[:, m:]
+                gs, hs, n = np.bincount(at, g[here], m), np.bincount(at, h[here], m), np.bincount(at, minlength=m)
+                gain = gl**2 / (hl + 1) + (gs - gl) ** 2 / (np.maximum(hs - hl, 0) + 1) - gs**2 / (hs + 1)
+                best = gain.argmax(0)
+                grows = (n >= 20) & (gain[best, np.arange(m)] > 1e-3)
+                feature[first : first + m] = np.where(grows, feature_of[best], -1)
+                cut[first : first + m] = edge_of[best]
+                go = here[grows[at]]
+                node = where[go] - first
+                where[go] = 2 * where[go] + 1 + (below[go, best[node]] == 0)
+            leaf = -self.rate * np.bincount(where, g, size) / (np.bincount(where, h, size) + 1.0)
             self.trees.append((feature, cut, leaf))
-            z += self._one(self.trees[-1], x)
+            z += leaf[where]
         return self
 
     def _one(self, tree, x: np.ndarray) -> np.ndarray:
@@ -247,10 +266,16 @@ class Boosted:
         return 1 / (1 + np.exp(-sum(self._one(t, x) for t in self.trees)))
 
 
+#: Opens a made-up page whose root is the main element.
+ROOT_IS_MAIN = "<!--main-->"
+
+
 def sample_page(rng: random.Random) -> str:
-    """A made-up page for training; main-text elements carry data-y, excluded ones inside them data-n."""
-    word = lambda: "".join(rng.choice("etaoinshrdlu") for _ in range(rng.randint(2, 9)))
-    say = lambda a, b: " ".join(word() for _ in range(rng.randint(a, b)))
+    """A made-up page for training; main-text elements carry data-y. Of many layouts: the main text in paragraphs, directly in
+    its element, in a cell, deep in wrappers, in the body or in no element at all."""
+    text = "".join(rng.choices("etaoinshrdlu    ", k=2000)).split()
+    word = lambda: text[rng.randrange(len(text))]
+    say = lambda a, b: " ".join(text[(i := rng.randrange(len(text) - b)) : i + rng.randint(a, b)])
     pick = rng.choice
     link = lambda: f'<a href="/{word()}">{say(1, 3)}</a>'
     links = lambda a, b: "<ul>" + "".join(f"<li>{link()}</li>" for _ in range(rng.randint(a, b))) + "</ul>"
@@ -268,8 +293,10 @@ def sample_page(rng: random.Random) -> str:
     }
     mark = lambda s: re.sub(r"<(p|h1|h2|h3|ul|ol|li|blockquote|pre|table|tr|td|figure|figcaption|div|section|article|main)\b", r"<\1 data-y", s)
     parts = [mark(f"<h1>{say(2, 9)}</h1>")] if rng.random() < 0.8 else []
+    bare = lambda: pick([say(3, 90), f"{say(2, 40)} <b>{say(1, 5)}</b> {say(1, 40)}", f"{say(2, 30)} {link()} {say(2, 30)}"]) + pick(["<br>", "<br><br>", ""])
+    direct = rng.choices([0, 0.3, 1], [6, 2, 2])[0]  # how much of the main text stands in the main element itself
     for _ in range(rng.randint(1, 14)):
-        parts.append(mark(pick([para, para, para, para, lambda: f"<h2>{say(1, 6)}</h2>", lambda: "<ul>" + "".join(f"<li>{say(2, 25)}</li>" for _ in range(rng.randint(2, 6))) + "</ul>", lambda: f"<blockquote><p>{say(4, 40)}</p></blockquote>", lambda: f"<pre>{say(4, 30)}</pre>", lambda: f"<table><tr><td>{say(1, 5)}</td><td>{say(1, 5)}</td></tr></table>", lambda: f"<div><p>{say(5, 60)}</p></div>"])()))
+        parts.append(bare() if rng.random() < direct else mark(pick([para, para, para, para, lambda: f"<h2>{say(1, 6)}</h2>", lambda: "<ul>" + "".join(f"<li>{say(2, 25)}</li>" for _ in range(rng.randint(2, 6))) + "</ul>", lambda: f"<blockquote><p>{say(4, 40)}</p></blockquote>", lambda: f"<pre>{say(4, 30)}</pre>", lambda: f"<table><tr><td>{say(1, 5)}</td><td>{say(1, 5)}</td></tr></table>", lambda: f"<div><p>{say(5, 60)}</p></div>"])()))
         if rng.random() < 0.08:
             parts.append(around[pick(["ad", "form", "notice", "related", "side", "nav"])]())
     if rng.random() < 0.25:
@@ -279,28 +306,44 @@ def sample_page(rng: random.Random) -> str:
     if rng.random() < 0.1:
         parts.append(around["footer"]())
     body = "".join(parts)
-    t, c = pick([("article", ""), ("article", ""), ("article", ' class="post"'), ("main", ""), ("div", ' class="content"'), ("div", ' id="article-body"'), ("section", ' class="entry"'), ("div", ' class="post-text"')])
+    t, c = pick([("article", ""), ("article", ""), ("article", ' class="post"'), ("main", ""), ("div", ' class="content"'), ("div", ' id="article-body"'), ("section", ' class="entry"'), ("div", ' class="post-text"'), ("div", ' id="main"'), ("div", ""), ("section", ""), ("td", ' class="story"')])
+    if rng.random() < 0.1:
+        deep = rng.randint(1, 30)
+        body = "<div data-y>" * deep + body + "</div>" * deep
     main = f"<{t} data-y{c}>{body}</{t}>"
+    if t == "td":
+        main = f"<table><tr><td>{around['nav']()}</td>{main}</tr></table>"
     if t == "article" and rng.random() < 0.3:
         main = f"<main data-y>{main}</main>"
     first = [around[k]() for k in ("nav", "header", "notice", "ad", "side", "form") if rng.random() < 0.45]
     last = [around[k]() for k in ("comments", "side", "ad", "form", "related", "notice", "nav") if rng.random() < 0.35] + ([around["footer"]()] if rng.random() < 0.85 else [])
+    if rng.random() < 0.2:  # nothing but the text
+        first, last = [], last[-1:] if rng.random() < 0.5 else []
     rng.shuffle(first)
     wrap = pick(["{}", "{}", '<div class="wrapper">{}</div>', '<div id="page">{}</div>'])
-    return "<!DOCTYPE html><html><head><title>x</title></head><body>" + wrap.format("".join(first) + main + "".join(last)) + "</body></html>"
+    head = "<!DOCTYPE html><html><head><title>x</title></head>"
+    if rng.random() < 0.06:  # a fragment: without a body element the root stands for it
+        return f"{ROOT_IS_MAIN}{''.join(first)}{body}{''.join(last)}" if rng.random() < 0.5 else "".join(first) + main + "".join(last)
+    if rng.random() < 0.15:  # a plain page whose body is the main element
+        return f"{head}<body data-y>{''.join(first)}{body}{''.join(last)}</body></html>"
+    return f"{head}<body>" + wrap.format("".join(first) + main + "".join(last)) + "</body></html>"
+
+
+def labelled(page: str) -> tuple[list[Node], np.ndarray]:
+    """The nodes of a made-up page, and which of them are main."""
+    flags = [bool(re.match(r"<[a-z0-9]+ data-y", m[0])) for m in _TOKEN.finditer(page) if m[2] and not m[1] and (t := m[2].lower()) not in RAW | VOID | INLINE and t not in ("html", "head")]
+    return parse(page.replace(" data-y", "")), np.array([page.startswith(ROOT_IS_MAIN), *flags], float)
 
 
 @lru_cache
-def trained(pages: int = 1200, seed: int = 11) -> Boosted:
+def trained(pages: int = 2000, seed: int = 11) -> Boosted:
     """The model, fitted to made-up pages with known main text (a fixed number of them; deterministic)."""
     rng = random.Random(seed)
     xs, ys = [], []
     for _ in range(pages):
-        page = sample_page(rng)
-        flags = [bool(re.match(r"<[a-z0-9]+ data-y", m[0])) for m in _TOKEN.finditer(page) if m[2] and not m[1] and (t := m[2].lower()) not in RAW | VOID | INLINE and t not in ("html", "head")]
-        nodes = parse(re.sub(r" data-y", "", page))
+        nodes, flags = labelled(sample_page(rng))
         xs.append(features(nodes))
-        ys.append(np.array([False, *flags], float))
+        ys.append(flags)
     return Boosted().fit(np.concatenate(xs), np.concatenate(ys))
 
 

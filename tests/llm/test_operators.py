@@ -1,6 +1,7 @@
 """The ten operators against brute force, and their defined results on odd input."""
 
 import hashlib
+import itertools
 import random
 import re
 import zlib
@@ -264,18 +265,67 @@ def test_html_pages(spark):
         assert r["n_chars"] == len(r["text"]) and (want is None or r["text"] == want)
 
 
+_NAV = "<nav><ul><li><a href=x>Home</a></li><li><a href=y>More</a></li></ul></nav>"
+_SAID = "Direct text of the article stands here without any paragraph and goes on for a while."
+#: Layouts that ``sample_page`` does not make in this form, with their main text.
+LAYOUTS = [
+    (f"<html><body>{_NAV}<article>{_SAID}<p>Body of the text follows.</p></article><footer>(c)</footer></body></html>", f"{_SAID} Body of the text follows."),
+    (f"<html><body>{_NAV}<article>{_SAID}<br>Second line of it.<br>Third line.</article></body></html>", f"{_SAID} Second line of it. Third line."),
+    ("<article><p title=it's>Hello there my friends</p><p>Second one it's fine.</p></article>", "Hello there my friends Second one it's fine."),
+    ("<body><main>" + "<div>" * 450 + "<p>deep text goes here</p>" + "</div>" * 450 + "<p>Closing paragraph of the text.</p></main><footer>x y</footer></body>", "deep text goes here Closing paragraph of the text."),
+    ("<body><main>" + "<div>" * 50 + "<p>deep text goes here</p>" + "</div>" * 50 + "<p>Closing paragraph of the text.</p></main><footer>x y</footer></body>", "deep text goes here Closing paragraph of the text."),
+    ("<html><body>Plain page with text directly in the body.<br>More of the text is here.<p>And a paragraph.</p></body></html>", "Plain page with text directly in the body. More of the text is here. And a paragraph."),
+    ("<body><div id=header><h1>Site</h1></div><table><tr><td><ul><li><a href=a>A</a></li><li><a href=b>B</a></li></ul></td><td class=story><h2>Title</h2>Story text in a cell, long enough to be read.<p>Second.</td></tr></table><div id=footer>foot</div></body>", "Title Story text in a cell, long enough to be read. Second."),
+    ("<body><div class=wrapper><div class=sidebar><p>side note words</p></div><div class=post><h2>T</h2><noscript><p>text for those without scripts</p></noscript><p>Energy is <math><mi>E</mi><mo>=</mo><mi>m</mi></math> here.</p><svg><text>no</text></svg><object><p>object text</p></object></div></div></body>", "T text for those without scripts Energy is E=m here. object text"),
+]
+
+
+def test_html_keeps_the_text_of_other_layouts(spark):
+    df = spark.createDataFrame([(i, "u", h) for i, (h, _) in enumerate(LAYOUTS)] + [(0, "u", LAYOUTS[0][0])], "page_id long, url string, html string")
+    got = html_text.extract(df).collect()
+    assert len(got) == len(LAYOUTS) + 1
+    for r in got:
+        assert r["text"] == LAYOUTS[r["page_id"]][1]
+    long = "<body><article>" + "<p>some words of a long page &amp; more</p>" * 20000 + "</article><footer>x</footer>"
+    assert html_text.main_text(long, html_text.trained()) == " ".join(["some words of a long page & more"] * 20000)
+
+
+def test_html_on_given_pages_by_their_layout(docs, spark):
+    """The given pages keep their text in the blocks below ``article``; that rule, without a model, gives the same text."""
+    model = html_text.trained()
+    for r in spark.read.parquet(f"{SF}/pages.parquet").collect():
+        nodes = html_text.parse(r["html"])
+        keep = np.zeros(len(nodes), bool)
+        for i, up in enumerate(html_text.parents(nodes)):
+            keep[i] = nodes[i].tag == "article" or up >= 0 and keep[up] and nodes[i].tag in "p h1 h2 h3 ul ol li pre blockquote table tr td".split()
+        assert html_text.main_text(r["html"], model) == html_text.blocks_of(nodes, keep)
+
+
 def test_html_model_on_new_pages():
     rng, model, wrong, n = random.Random(77), html_text.trained(), 0, 0
     for _ in range(60):
-        page = html_text.sample_page(rng)
-        flags = [False, *[bool(re.match(r"<[a-z0-9]+ data-y", m[0])) for m in html_text._TOKEN.finditer(page) if m[2] and not m[1] and (t := m[2].lower()) not in html_text.RAW | html_text.VOID | html_text.INLINE and t not in ("html", "head")]]
-        nodes = html_text.parse(page.replace(" data-y", ""))
+        nodes, flags = html_text.labelled(html_text.sample_page(rng))
         got = html_text.decode(nodes, model.predict(html_text.features(nodes)))
-        wrong += int((got != np.array(flags)).sum())
+        wrong += int((got != flags.astype(bool)).sum())
         n += len(flags)
     assert wrong <= 0.03 * n
 
 
+def test_tree_decoding_is_the_best_labelling():
+    rng = np.random.default_rng(9)
+    for _ in range(40):
+        nodes = [html_text.Node("html", None)]
+        for _ in range(int(rng.integers(1, 7))):
+            nodes.append(html_text.Node("div", nodes[int(rng.integers(len(nodes)))]))
+        p, parent = rng.random(len(nodes)), html_text.parents(nodes)
+        best = max(
+            (sum(np.log(p[i] if s == 1 else 1 - p[i]) for i, s in enumerate(states)), tuple(s == 1 for s in states))
+            for states in itertools.product((0, 1, 2), repeat=len(nodes))
+            if all(states[i] >= states[parent[i]] for i in range(1, len(nodes))) and states[0] < 2 and all(not (states[i] == 2 and states[parent[i]] == 0) for i in range(1, len(nodes)))
+        )
+        assert tuple(html_text.decode(nodes, p)) == best[1]
+
+
 def test_top_k_matches_brute_force(spark):
     rng = np.random.default_rng(6)
     v = rng.normal(size=(400, 16)).astype(np.float32)
