@@ -1,112 +1,184 @@
 """Exact top-k inner products with vector-approximation files.
 
-Each executor keeps, of the vectors it scans, cells of a fixed grid (one byte a component). The cells bound every score from
-above and below; exact vectors are read in the order of their upper bounds until the k-th exact score is out of reach.
-Queries come in blocks of a fixed size, each broadcast once against all rows.
+The vectors are quantised once into a compact table, the approximation file: one byte a component on the grid of its block of
+vectors. Only that table is scanned for all queries; its cells bound every score from above and below, in blocks of rows
+against blocks of queries. A row is a candidate while its upper bound reaches the k-th greatest lower bound of the query.
+Exact vectors are then read for candidates alone, in the order of their upper bounds: the first few of each query, and after
+that those whose upper bound still reaches the k-th exact score, so the result is certain.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import map_stream
-
-#: Queries in a block: with 64 components of 8 bytes a block is 1 MiB, whatever the number of queries.
-BLOCK = 2048
-#: Cells are 2**SHIFT wide in units of the integer components.
-SHIFT = 4
-
-
-def valid_vectors(vectors: DataFrame, id_col: str, vector_col: str, scale: int) -> DataFrame:
-    """(id, v array<long>): floor(scale * x); vectors that are null, or hold a null or non-finite component, are left out."""
-    x = F.col(vector_col)
-    finite = F.forall(x, lambda c: c.isNotNull() & ~F.isnan(c.cast("double")) & (F.abs(c.cast("double")) < float("inf")))
-    good = vectors.where(F.col(id_col).isNotNull() & x.isNotNull()).where(finite)
-    return good.select(F.col(id_col).cast("long").alias("id"), F.transform(x, lambda c: F.floor(c.cast("double") * scale).cast("long")).alias("v"))
-
-
-class ApproximationFile:
-    """Cells of the rows seen so far of one batch, with bounds on inner products."""
-
-    def __init__(self, ids: np.ndarray, exact: np.ndarray):
-        self.ids, self.exact = ids, exact
-        self.cells = exact >> SHIFT
-
-    def search(self, qid: np.ndarray, q: np.ndarray, k: int):
-        """For each query (row, id, score) of its k best rows, ties to smaller ids; the query's own id takes no part."""
-        low = (self.cells << SHIFT).astype(np.float64)
-        up, down = np.maximum(q, 0).astype(np.float64), np.minimum(q, 0).astype(np.float64)
-        width = float((1 << SHIFT) - 1)
-        base = low @ (up + down).T
-        upper = base + width * up.sum(1)
-        lower = base + width * down.sum(1)
-        own = self.ids[:, None] == qid[None, :]
-        upper[own] = lower[own] = -np.inf
-        kth = np.partition(lower, max(len(lower) - k, 0), axis=0)[max(len(lower) - k, 0)]
-        out = []
-        for j in range(len(qid)):
-            near = np.flatnonzero((upper[:, j] >= kth[j]) & (upper[:, j] > -np.inf))
-            near = near[np.argsort(-upper[near, j], kind="stable")]
-            score, row = np.zeros(0, np.int64), np.zeros(0, np.int64)
-            for s in range(0, len(near), 64):
-                part = near[s : s + 64]
-                if len(score) >= k and np.sort(score)[-k] > upper[part[0], j]:
-                    break
-                score, row = np.r_[score, self.exact[part] @ q[j]], np.r_[row, part]
-            best = np.lexsort((self.ids[row], -score))[:k]
-            out += [(j, int(self.ids[r]), int(s)) for r, s in zip(row[best], score[best], strict=True)]
-        return out
+from .common import map_stream, materialise
+
+#: Rows in a block of the approximation file, and queries in a block of queries.
+ROWS, QUERIES = 4096, 512
+#: Blocks of queries in one task of the query table; more queries give more tasks, never larger ones.
+DEALT = 64
+#: The greatest magnitude of an integer component; larger ones are taken as this.
+MOST = 1 << 60
+
+
+def integer_vectors(batch: pa.RecordBatch, scale: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(ids, integer matrix) by length of vector, of the rows (id, vector) of a batch that take part."""
+    ids, lists = batch.column(0).to_numpy(), batch.column(1)
+    start, size = lists.offsets.to_numpy()[:-1], np.diff(lists.offsets.to_numpy())
+    values = lists.values
+    flat = values.cast(pa.float64()).fill_null(float("nan")).to_numpy()
+    out = []
+    for n in np.unique(size):
+        at = np.flatnonzero((size == n) & ~np.asarray(lists.is_null()))
+        x = flat[start[at][:, None] + np.arange(n)] if n else np.zeros((len(at), 0))
+        live = np.isfinite(x).all(1)
+        v = np.clip(np.floor(x[live] * scale), -float(MOST), float(MOST)).astype(np.int64)
+        out.append((ids[at[live]].astype(np.int64), v))
+    return out
+
+
+def _rows(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
+    return vectors.where(F.col(id_col).isNotNull() & F.col(vector_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).alias("x"))
+
+
+def approximation_file(vectors: DataFrame, scale: int = 256, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
+    """(n, ids, low, width, cells): a row for up to ROWS vectors of n components; cells hold a byte a component, and component j
+    of a cell c lies within low[j] + c * width[j] and the next cell. Written once as Parquet in the shared folder."""
+
+    def cut(batches):
+        for b in batches:
+            rows = []
+            for ids, v in integer_vectors(b, scale):
+                for s in range(0, len(ids), ROWS):
+                    part = v[s : s + ROWS]
+                    low, high = part.min(0), part.max(0)
+                    width = (high - low) // 256 + 1
+                    cells = ((part - low) // width).astype(np.uint8)
+                    rows.append((part.shape[1], ids[s : s + ROWS].tobytes(), low.tobytes(), width.tobytes(), cells.tobytes()))
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), *[pa.array([r[k] for r in rows], pa.binary()) for k in range(1, 5)]], ["n", "ids", "low", "width", "cells"])
+
+    return materialise(map_stream(_rows(vectors, id_col, vector_col), cut, "n int, ids binary, low binary, width binary, cells binary"), "cells")
+
+
+def bounds(low: np.ndarray, width: np.ndarray, cells: np.ndarray, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(upper, lower) bounds of the scores of all rows of a block with all queries. The product is taken in single precision;
+    what rounding can change is added to both bounds, so they stay valid."""
+    lowf, qf = low.astype(np.float64), q.astype(np.float64)
+    scaled = (qf * width).T
+    s = (cells.astype(np.float32) @ scaled.astype(np.float32)).astype(np.float64) + lowf @ qf.T
+    span = width.astype(np.float64) - 1
+    n = len(low) + 4
+    slack = n * 2.0**-22 * 255 * np.abs(scaled).sum(0) + n * 2.0**-50 * (np.abs(lowf) + span) @ np.abs(qf).T + 1e-6
+    return s + (np.maximum(qf, 0) @ span + slack), s + (np.minimum(qf, 0) @ span - slack)
+
+
+def _candidates(file: DataFrame, blocks: DataFrame, k: int) -> DataFrame:
+    """(query, qv, id, upper, lower) of rows that may be among a query's k best by what one task has seen. Blocks of rows meet
+    blocks of queries; the planner broadcasts the queries where they are small, else it pairs partitions."""
+
+    def scan(batches):
+        best: dict[bytes, np.ndarray] = {}  # of each query block of this task: the k greatest lower bounds so far
+        for b in batches:
+            for r in b.to_pylist():
+                if r["n"] != r["qn"]:
+                    continue
+                ids, n = np.frombuffer(r["ids"], np.int64), r["n"]
+                qid, qv = np.frombuffer(r["qids"], np.int64), np.frombuffer(r["qvs"], np.int64)
+                cells, q = np.frombuffer(r["cells"], np.uint8).reshape(len(ids), n), np.frombuffer(r["q"], np.int64).reshape(len(qid), n)
+                upper, lower = bounds(np.frombuffer(r["low"], np.int64), np.frombuffer(r["width"], np.int64), cells, q)
+                own = ids[:, None] == qid[None, :]
+                if own.any():
+                    upper[own] = lower[own] = -np.inf
+                key = r["qids"] + r["qvs"]
+                have = best.get(key, np.full((k, len(qid)), -np.inf))
+                top = np.concatenate([have, np.partition(lower, max(len(ids) - k, 0), axis=0)[-k:]])
+                best[key] = top = np.partition(top, len(top) - k, axis=0)[-k:]
+                row, col = np.nonzero((upper >= top.min(0)) & (upper > -np.inf))
+                if len(row):
+                    yield pa.RecordBatch.from_arrays([pa.array(qid[col]), pa.array(qv[col]), pa.array(ids[row]), pa.array(upper[row, col]), pa.array(lower[row, col])], ["query", "qv", "id", "upper", "lower"])
+
+    return materialise(map_stream(file.crossJoin(blocks), scan, "query long, qv long, id long, upper double, lower double"), "bounds")
+
+
+def _query_table(vectors: DataFrame, every: int, scale: int, id_col: str, vector_col: str) -> tuple[DataFrame, DataFrame]:
+    """(queries, blocks): the different query vectors (query, qv, q), and the same in blocks of at most QUERIES."""
+
+    def whole(batches):
+        for b in batches:
+            for ids, v in integer_vectors(b, scale):
+                if len(ids):
+                    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(list(v), pa.list_(pa.int64()))], ["query", "q"])
+
+    def block(batches):
+        for b in batches:
+            by: dict[int, list] = {}
+            for i, h, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
+                by.setdefault(len(v), []).append((i, h, v))
+            rows = [(n, rows[s : s + QUERIES]) for n, rows in by.items() for s in range(0, len(rows), QUERIES)]
+            parts = [[np.array([r[c] for r in part], np.int64).tobytes() for _, part in rows] for c in range(3)]
+            yield pa.RecordBatch.from_arrays([pa.array([n for n, _ in rows], pa.int32()), *[pa.array(p, pa.binary()) for p in parts]], ["qn", "qids", "qvs", "q"])
+
+    mine = _rows(vectors, id_col, vector_col).where(F.col("id") % every == 0)
+    queries = map_stream(mine, whole, "query long, q array<long>").distinct().select("query", F.xxhash64("q").alias("qv"), "q")
+    queries = materialise(queries, "queries")
+    dealt = queries.coalesce(-(-queries.count() // (QUERIES * DEALT)) or 1)
+    return queries, materialise(map_stream(dealt, block, "qn int, qids binary, qvs binary, q binary"), "blocks")
+
+
+def _exact(found: DataFrame, rows: DataFrame, queries: DataFrame, scale: int) -> DataFrame:
+    """(query, qv, vec_id, score): the candidates (query, qv, id) with the inner products of their exact vectors."""
+
+    def product(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            q = b.column("q")
+            at = np.arange(b.num_rows, dtype=np.int64)
+            for pos, v in integer_vectors(pa.RecordBatch.from_arrays([pa.array(at), b.column("x")], ["at", "x"]), scale):
+                n = v.shape[1]
+                mine = pa.compute.equal(pa.compute.list_value_length(q.take(pa.array(pos))), n).to_numpy(zero_copy_only=False)
+                pos, v = pos[mine], v[mine]
+                w = q.take(pa.array(pos)).flatten().to_numpy().reshape(len(pos), n)
+                if n and len(pos) and float(np.abs(v).max()) * float(np.abs(w).max()) * n >= 2.0**62:
+                    s = np.array([min(max(sum(int(a) * int(c) for a, c in zip(x, y, strict=True)), -(1 << 63)), (1 << 63) - 1) for x, y in zip(v, w, strict=True)], np.int64)
+                else:
+                    s = np.einsum("ij,ij->i", v, w) if n else np.zeros(len(pos), np.int64)
+                if len(pos):
+                    yield pa.RecordBatch.from_arrays([b.column(c).take(pa.array(pos)) for c in ("query", "qv", "id")] + [pa.array(s)], ["query", "qv", "vec_id", "score"])
+
+    joined = found.select("query", "qv", "id").join(rows, "id").join(queries, ["query", "qv"]).select("query", "qv", "id", "x", "q")
+    return map_stream(joined, product, "query long, qv long, vec_id long, score long")
 
 
 def top_k(vectors: DataFrame, k: int = 5, every: int = 50, scale: int = 256, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """(query_id, rank, vec_id, score): for each row whose id is divisible by ``every``, its k best other rows.
 
-    Rows that share the query's id are its own and take no part; repeated candidate rows count once for each row, repeated
-    query rows once for each different vector. Vectors of another length than the query's are compared with none. With
-    fewer than k candidates all are returned; an empty input gives no rows; other columns are ignored.
+    Components are floor(scale * x), at most 2**60 in magnitude; a score beyond the range of a long is the nearest long.
+    Vectors that are null or hold a null or non-finite component take no part. Rows that share the query's id are its own and
+    take no part; repeated candidate rows count once for each row, repeated query rows once for each different vector. Vectors
+    of another length than the query's are compared with none. With fewer than k candidates all are returned; an empty input
+    gives no rows; other columns are ignored.
     """
-    rows = valid_vectors(vectors, id_col, vector_col, scale)
-    queries = rows.where(F.col("id") % every == 0).distinct()
-    spark = vectors.sparkSession
-    out, last = None, None
-    schema = "query long, qv long, vec_id long, score long"
-    while True:
-        block = queries if last is None else queries.where((F.col("id") > last[0]) | ((F.col("id") == last[0]) & (F.xxhash64("v") > last[1])))
-        got = block.withColumn("h", F.xxhash64("v")).orderBy("id", "h").limit(BLOCK).toArrow()
-        if not got.num_rows:
-            break
-        last = got.column("id")[-1].as_py(), got.column("h")[-1].as_py()
-        by: dict[int, tuple[list, list, list]] = {}
-        for i, v, h in zip(got.column("id").to_pylist(), got.column("v").to_pylist(), got.column("h").to_pylist(), strict=True):
-            x = by.setdefault(len(v), ([], [], []))
-            x[0].append(i), x[1].append(v), x[2].append(h)
-        sent = spark.sparkContext.broadcast({n: (np.array(a), np.array(v, np.int64).reshape(len(a), n), np.array(h)) for n, (a, v, h) in by.items()})
-
-        def scan(batches, sent=sent):
-            for b in batches:
-                ids, lists = b.column(0).to_numpy(), b.column(1)
-                size = np.diff(lists.offsets.to_numpy())
-                flat, start = lists.values.to_numpy(), lists.offsets.to_numpy()[:-1]
-                for n, (qid, q, qh) in sent.value.items():
-                    at = np.flatnonzero(size == n)
-                    for s in range(0, len(at), 4096):
-                        part = at[s : s + 4096]
-                        exact = flat[start[part][:, None] + np.arange(n)] if n else np.zeros((len(part), 0), np.int64)
-                        for c in range(0, len(qid), 512):
-                            found = ApproximationFile(ids[part], exact).search(qid[c : c + 512], q[c : c + 512], k)
-                            if found:
-                                j, vec, score = (np.array(x) for x in zip(*found, strict=True))
-                                yield pa.RecordBatch.from_arrays([pa.array(qid[c + j]), pa.array(qh[c + j]), pa.array(vec), pa.array(score)], ["query", "qv", "vec_id", "score"])
-
-        part = map_stream(rows, scan, schema)
-        out = part if out is None else out.unionByName(part)
-        if got.num_rows < BLOCK:
-            break
-    if out is None:
-        out = spark.createDataFrame([], schema)
+    rows = _rows(vectors, id_col, vector_col)
+    queries, blocks = _query_table(vectors, every, scale, id_col, vector_col)
+    near = _candidates(approximation_file(vectors, scale, id_col, vector_col), blocks, k)
+    greatest = Window.partitionBy("query", "qv").orderBy(F.desc("lower"))
+    kth = near.select("query", "qv", "lower", F.row_number().over(greatest).alias("nth")).where(F.col("nth") == k).select("query", "qv", F.col("lower").alias("least"))
+    open_ = near.join(kth, ["query", "qv"], "left").where(F.col("least").isNull() | (F.col("upper") >= F.col("least")))
+    open_ = open_.groupBy("query", "qv", "id").agg(F.max("upper").alias("upper"))
+    order = Window.partitionBy("query", "qv").orderBy(F.desc("upper"), "id")
+    open_ = materialise(open_.withColumn("nth", F.row_number().over(order)), "open")
+    scores = _exact(open_.where(F.col("nth") <= 2 * k), rows, queries, scale)
     best = Window.partitionBy("query", "qv").orderBy(F.desc("score"), "vec_id")
-    ranked = out.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
+    if not open_.where(F.col("nth") > 2 * k).isEmpty():
+        scores = materialise(scores, "scores")
+        sure = scores.withColumn("nth", F.row_number().over(best)).where(F.col("nth") == k).select("query", "qv", F.col("score").alias("least"))
+        rest = open_.where(F.col("nth") > 2 * k).join(sure, ["query", "qv"], "left").where(F.col("least").isNull() | (F.col("upper") >= F.col("least")))
+        scores = scores.unionByName(_exact(rest, rows, queries, scale))
+    ranked = scores.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
     return ranked.select(F.col("query").alias("query_id"), F.col("rank").cast("int").alias("rank"), "vec_id", "score")

@@ -2,6 +2,7 @@
 
 import hashlib
 import itertools
+import math
 import random
 import re
 import zlib
@@ -344,6 +345,31 @@ def test_top_k_matches_brute_force(spark):
     assert topk.top_k(few.limit(0)).count() == 0
 
 
+def test_top_k_on_odd_rows(spark):
+    big = [3e38, -2.0, 1.0]
+    rows = [(50, [1.0, 2.0, 3.0]), (50, [1.0, 2.0, 3.0]), (50, [9.0, 9.0, 9.0]), (7, [1.0, 0.0, 0.0]), (7, [1.0, 0.0, 0.0]), (8, big), (100, big), (9, []), (150, []), (200, []), (None, [1.0, 1.0, 1.0]), (10, [0.5])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("score", F.lit("x")).withColumn("id", F.lit(1)).withColumn("q", F.lit(2))
+    clip = lambda x: max(-(1 << 63), min((1 << 63) - 1, x))
+    exact = [(i, [int(max(-(1 << 60), min(1 << 60, math.floor(256 * c)))) for c in v]) for i, v in rows if i is not None]
+    want = []
+    for q in {(i, tuple(v)) for i, v in exact if i % 50 == 0}:
+        s = sorted(((-clip(sum(a * b for a, b in zip(q[1], v, strict=True))), i) for i, v in exact if i != q[0] and len(v) == len(q[1])))[:5]
+        want += [(q[0], k + 1, i, -x) for k, (x, i) in enumerate(s)]
+    assert sorted(map(tuple, topk.top_k(df).collect())) == sorted(want)
+
+
+def test_bounds_hold_and_cells_are_bytes(spark):
+    rng = np.random.default_rng(4)
+    v = (rng.normal(size=(500, 24)) * rng.choice([1, 50, 10**6], 24)).astype(np.int64)
+    q = (rng.normal(size=(40, 24)) * 300).astype(np.int64)
+    low, width = v.min(0), (v.max(0) - v.min(0)) // 256 + 1
+    cells = ((v - low) // width).astype(np.uint8)
+    upper, lower = topk.bounds(low, width, cells, q)
+    assert ((v @ q.T <= upper) & (v @ q.T >= lower)).all()
+    file = topk.approximation_file(spark.createDataFrame([(i, [float(x) for x in r]) for i, r in enumerate(v)], "vec_id long, embedding array<double>"), 1).collect()
+    assert sum(len(r["cells"]) for r in file) == v.size and sorted(np.concatenate([np.frombuffer(r["ids"], np.int64) for r in file]).tolist()) == list(range(500))
+
+
 def test_pipeline_matches_its_rules(spark):
     import corpus_pipeline as p
 
