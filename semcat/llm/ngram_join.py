@@ -1,8 +1,10 @@
 """N-gram Jaccard join by size-banded tiles with hashed bitmap signatures.
 
 Every text becomes the set of its word n-grams (64-bit hashes, sorted). Texts with equal sets are one class. A class
-puts the rarest part of its set - long enough that two classes over the threshold share one entry - into tiles, by shingle
-and size band. A parity bitmap of each set bounds the overlap of a pair from above; what passes is decided by the exact
+puts the rarest part of its set - long enough that two classes over the threshold share one entry - into tiles. A tile is
+named by shingle, size band and two blocks of members: it holds the sets of its band, and as guests the smaller sets that can
+reach the threshold with one of them; the larger set of a pair is never a guest, so a pair has one tile for each shingle it
+shares. A parity bitmap of each set bounds the overlap of a pair from above; what passes is decided by the exact
 intersection of the sorted arrays. All pairs over the threshold are returned; their number grows with the square of a
 group's size. Where only the components are asked for, pairs that are connected already through verified links are not
 compared again, so a group of n near copies costs about n comparisons and no stage emits the pairs within a group.
@@ -24,6 +26,8 @@ from .components import components
 SKETCH_BITS = 18
 #: Members of a tile's block; a tile compares two blocks.
 TILE = 512
+#: Rows of one shingle that a worker holds at a time, and that go to one task when the shingle's slot of the sketch stands out.
+PIECE = 1 << 16
 #: Members of a group's block in the exact check of all pairs; the sets of two blocks meet.
 GROUP = 128
 
@@ -110,9 +114,8 @@ def frequency_sketch(docs: DataFrame, width: int) -> np.ndarray:
     return out
 
 
-def signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
+def signatures(docs: DataFrame, sketch: np.ndarray, width: int, percent: int) -> DataFrame:
     """One row per text: (id, n, h1, h2, bitmap, tokens, early); h1 and h2 name the set, tokens are its rarest shingles."""
-    sketch = frequency_sketch(docs, width)
     mean = max(1.0, sketch.mean())
     level = np.clip(4 * np.log2(np.maximum(sketch, 1) / mean), 2, 250).astype(np.uint8)  # common slots come last, the rest by hash
 
@@ -139,46 +142,69 @@ def signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
     return materialise(map_batches(docs, sign, "id long, n long, h1 long, h2 long, bitmap binary, tokens array<long>, early int"), "signatures")
 
 
-def _shared_tokens(owners: DataFrame, percent: int) -> DataFrame:
-    """(token, id, n, early, leader, partner) of tokens that two or more classes hold; early: the token counts for the smaller set. Members of a token, by size, follow a leader of
-    nearly their size, and each is paired with one more member in an order that every token shuffles anew: as many pairs
-    as rows, which connect most of each group in the first round."""
+def _dealt_tokens(owners: DataFrame, sketch: np.ndarray) -> DataFrame:
+    """(token, id, n, early, salt): the tokens of all classes. Tokens of sketch slots that stand far above the mean are cut by the
+    hash of the id, so that a token with a large share of all rows goes to many tasks; at most half of the slots can stand
+    above twice the mean, so what is broadcast is bounded (2**17 rows), whatever the input."""
+    tokens = owners.select("id", "n", "early", F.posexplode("tokens").alias("at", "token")).select("token", "id", "n", (F.col("at") < F.col("early")).cast("long").alias("early"))
+    over = sketch - 2 * sketch.mean()
+    hot = np.flatnonzero(over > PIECE)
+    if not len(hot):
+        return tokens.withColumn("salt", F.lit(-1).cast("long"))
+    cuts = owners.sparkSession.createDataFrame([(int(h), int(over[h] // PIECE) + 1) for h in hot], "slot long, cuts long")
+    salted = tokens.withColumn("slot", F.shiftrightunsigned("token", 64 - SKETCH_BITS)).join(F.broadcast(cuts), "slot", "left")
+    return salted.select("token", "id", "n", "early", F.coalesce(F.pmod(F.xxhash64("id"), F.col("cuts")), F.lit(-1)).alias("salt"))
+
+
+def _shared_tokens(owners: DataFrame, sketch: np.ndarray, percent: int) -> DataFrame:
+    """(token, id, n, early, leader, partner) of tokens that two or more classes hold; early: the token counts for the smaller
+    set. Members of a token, by size, follow a leader of nearly their size, and each is paired with one more member in an order
+    that every token shuffles anew: as many pairs as rows, which connect most of each group in the first round. A worker holds
+    at most PIECE rows and a batch: a longer token, or a cut one, is led and paired piece by piece."""
 
     def runs(batches):
-        rest = None
+        rest, split = None, None  # split: the token and salt of which a piece has been sent on
         for b in batches:
-            t = np.column_stack([b.column(i).to_numpy() for i in range(4)])
+            t = np.column_stack([b.column(i).to_numpy() for i in range(5)])
             t = t if rest is None else np.concatenate([rest, t])
-            cut = int(np.searchsorted(t[:, 0], t[-1, 0], "left"))
+            last = np.flatnonzero((t[:, [0, 4]] != t[-1, [0, 4]]).any(1))
+            cut = int(last[-1]) + 1 if len(last) else 0
+            yield from emit(t[:cut], split)
             rest = t[cut:]
-            yield from emit(t[:cut])
+            if len(rest) > PIECE:
+                split = tuple(rest[0, [0, 4]])
+                yield from emit(rest, split)
+                rest = None
         if rest is not None:
-            yield from emit(rest)
+            yield from emit(rest, split)
 
-    def emit(t):
+    def emit(t, split):
         if not len(t):
             return
-        first = np.flatnonzero(np.r_[True, t[1:, 0] != t[:-1, 0]])
+        first = np.flatnonzero(np.r_[True, (t[1:, [0, 4]] != t[:-1, [0, 4]]).any(1)])
         size = np.diff(np.r_[first, len(t)])
-        t = t[(np.repeat(size, size) > 1) & (np.repeat(np.add.reduceat(t[:, 3], first), size) > 0)]
+        part = t[first, 4] >= 0  # pieces of a longer token: their other members are elsewhere
+        if split:
+            part |= (t[first, 0] == split[0]) & (t[first, 4] == split[1])
+        keep = part | ((size > 1) & (np.add.reduceat(t[:, 3], first) > 0))
+        t = t[np.repeat(keep, size)]
         if not len(t):
             return
-        t = np.ascontiguousarray(t[np.lexsort((t[:, 1], t[:, 2], t[:, 0]))].T).T
+        t = t[np.lexsort((t[:, 1], t[:, 2], t[:, 0]))]
         lead, at = np.empty(len(t), np.int64), None
         tok, n = t[:, 0].tolist(), t[:, 2].tolist()
         for i in range(len(t)):
             if at is None or tok[i] != tok[at] or 100 * n[at] < percent * n[i]:
                 at = i
             lead[i] = at
-        order = np.lexsort((mix(t[:, 1].view(np.uint64) ^ mix(t[:, 0].view(np.uint64))), t[:, 0]))
+        order = np.lexsort((mix(t[:, 1].astype(np.uint64) ^ mix(t[:, 0].astype(np.uint64))), t[:, 0]))
         partner = t[:, 1].copy()
         same = t[order[1:], 0] == t[order[:-1], 0]
         partner[order[:-1][same]] = t[order[1:][same], 1]
         yield pa.RecordBatch.from_arrays([pa.array(t[:, 0]), pa.array(t[:, 1]), pa.array(t[:, 2]), pa.array(t[:, 3] > 0), pa.array(t[lead, 1]), pa.array(partner)], ["token", "id", "n", "early", "leader", "partner"])
 
-    tokens = owners.select("id", "n", "early", F.posexplode("tokens").alias("at", "token")).select("token", "id", "n", (F.col("at") < F.col("early")).cast("long").alias("early"))
     parts = int(owners.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = tokens.repartition(parts, "token").sortWithinPartitions("token")
+    dealt = _dealt_tokens(owners, sketch).repartition(parts, "token", "salt").sortWithinPartitions("token", "salt")
     return materialise(map_stream(dealt, runs, "token long, id long, n long, early boolean, leader long, partner long"), "tiles")
 
 
@@ -236,18 +262,28 @@ def _halved(owners: DataFrame) -> DataFrame:
     return map_batches(owners.select("id", "bitmap"), fold_once, "id long, bitmap binary")
 
 
+def size_band(n):
+    """The band of a set's size, as a Spark column: sizes of one band differ by less than a factor of four."""
+    return ((F.length(F.bin(n)) - 1) / 2).cast("int")
+
+
 def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame | None, percent: int) -> DataFrame:
-    """Pairs of a tile that their bitmaps admit and, given labels, that are not connected yet. A token with many members is cut into
-    blocks by hash; a tile meets two blocks, by size, and ends where sizes are too far apart to reach the threshold."""
+    """Pairs of a tile that their bitmaps admit and, given labels, that are not connected yet. Each row stands in the tile of its
+    own band and, as a guest, in those of larger sets within the threshold. A token of m members in a band is cut into blocks
+    by hash, m / TILE of them; a tile meets two blocks, by size, and ends where sizes are too far apart. The cut bounds a
+    task's memory, not the work: each row is copied m / TILE times and, where the members are not connected, about m * m / 2
+    bitmaps are compared, as many as there may be links."""
     rows = tiles.select("token", "id", "n", "early")
     rows = rows.withColumn("label", F.col("id")) if labels is None else rows.join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", "early", F.coalesce("label", "id").alias("label"))
-    # tokens with the same members (by two sums of hashes and the count) give the same pairs: one of them is enough
+    most = F.expr(f"n * 100 div {int(percent)}")
+    rows = rows.withColumn("band", F.explode(F.sequence(size_band(F.col("n")), size_band(most)))).withColumn("home", F.col("band") == size_band(F.col("n")))
+    # tiles with the same members (by two sums of hashes and the count) give the same pairs: one of them is enough
     names = [F.sum(F.xxhash64(*c).cast("decimal(20,0)")).alias(f"s{i}") for i, c in enumerate((("id", "early"), ("early", "n", "id")))]
-    mixed = rows.groupBy("token").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("m"), *names).where("lo < hi")
-    mixed = mixed.groupBy("s0", "s1", "m").agg(F.min("token").alias("token")).select("token", F.ceil(F.col("m") / TILE).cast("int").alias("k"))
-    rows = rows.join(mixed, "token").withColumn("block", F.pmod(F.xxhash64("id"), F.col("k")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
-    tile = F.xxhash64("token", F.least("block", "other"), F.greatest("block", "other"))
-    rows = rows.join(_halved(owners), "id").select(tile.alias("tile"), (F.col("block") == F.col("other")).alias("inner"), "block", "id", "n", "early", "label", "bitmap")
+    mixed = rows.groupBy("token", "band").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.bool_or("home").alias("some"), F.count("*").alias("m"), *names).where("lo < hi and some")
+    mixed = mixed.groupBy("band", "s0", "s1", "m").agg(F.min("token").alias("token")).select("token", "band", F.ceil(F.col("m") / TILE).cast("int").alias("k"))
+    rows = rows.join(mixed, ["token", "band"]).withColumn("block", F.pmod(F.xxhash64("id"), F.col("k")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
+    tile = F.xxhash64("token", "band", F.least("block", "other"), F.greatest("block", "other"))
+    rows = rows.join(_halved(owners), "id").select(tile.alias("tile"), (F.col("block") == F.col("other")).alias("inner"), "block", "home", "id", "n", "early", "label", "bitmap")
     parts = int(owners.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def tiles_of(batches):
@@ -269,7 +305,7 @@ def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame | None,
 def _compare(t: pa.Table, percent: int) -> Iterator[pa.RecordBatch]:
     """The pairs of whole tiles (rows of a tile stand together) that are still open and that sizes and bitmaps admit."""
     tile, ids, n, label, block = (t.column(c).to_numpy() for c in ("tile", "id", "n", "label", "block"))
-    inner, early, maps = t.column("inner").to_numpy(), t.column("early").to_numpy(), t.column("bitmap").to_pylist()
+    inner, early, home, maps = t.column("inner").to_numpy(), t.column("early").to_numpy(), t.column("home").to_numpy(), t.column("bitmap").to_pylist()
     size = np.array([len(x) for x in maps])
     flat = {}
     for d in range(1, len(ids)):
@@ -277,7 +313,7 @@ def _compare(t: pa.Table, percent: int) -> Iterator[pa.RecordBatch]:
         if not len(a):
             break
         b = a + d
-        ok = (label[a] != label[b]) & (inner[a] | (block[a] != block[b])) & early[a] & (early[b] | (n[a] < n[b]))
+        ok = (label[a] != label[b]) & (inner[a] | (block[a] != block[b])) & home[b] & early[a] & (early[b] | (n[a] < n[b]))
         a, b = a[ok], b[ok]
         least = np.minimum(size[a], size[b])
         for z in np.unique(least):
@@ -371,12 +407,13 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     columns of the input are ignored; an empty input gives empty results.
     """
     docs = documents.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    sig = signatures(docs, width, percent)
+    sketch = frequency_sketch(docs, width)
+    sig = signatures(docs, sketch, width, percent)
     named = sig.where("n > 0 and id is not null")
     classes = materialise(named.groupBy("h1", "h2", "n").agg(F.min("id").alias("rep")), "classes")
     owners = named.join(classes.select("h1", "h2", "n", F.col("rep").alias("id")), ["h1", "h2", "n", "id"], "left_semi").dropDuplicates(["h1", "h2", "n", "id"])
     owners = materialise(owners.select("id", "n", "bitmap", "tokens", "early"), "owners")
-    tiles = _shared_tokens(owners, percent)
+    tiles = _shared_tokens(owners, sketch, percent)
     if components_only:
         links = _connecting(docs, owners, tiles, width, percent)
     else:

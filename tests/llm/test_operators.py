@@ -96,6 +96,29 @@ def test_jaccard_join_returns_every_link(spark):
     assert some.count() < len(want) and {r["id"]: r["component_id"] for r in few.collect()} == {r["id"]: r["component_id"] for r in members.collect()}
 
 
+def test_jaccard_join_in_small_pieces_and_many_bands(spark, monkeypatch):
+    """Hot tokens are cut and sent on in pieces, and sizes on both sides of a band's edge still meet."""
+    for name, value in (("PIECE", 8), ("TILE", 8), ("GROUP", 8)):
+        monkeypatch.setattr(ngram_join, name, value)
+    rng = random.Random(3)
+    base = [f"w{k}" for k in range(90)]
+    rows = []
+    for k in range(260):
+        w = base[rng.randint(0, 12) : rng.randint(55, 90)]
+        for _ in range(rng.randint(0, 2)):
+            w[rng.randrange(len(w))] = f"x{rng.randrange(10**6)}"
+        rows.append((k, " ".join(w)))
+    sets = {i: shingles(t) for i, t in rows}
+    rep = {i: min(j for j in sets if sets[j] == sets[i]) for i in sets}
+    want = {(a, b) for a in sets for b in sets if a < b and rep[a] == a and rep[b] == b and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])}
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    members, links = ngram_join.jaccard_join(df)
+    assert sorted(map(tuple, links.collect())) == sorted(want)
+    component = components_of(rows)
+    assert {r["id"]: r["component_id"] for r in members.collect()} == component
+    assert {r["id"]: r["component_id"] for r in ngram_join.jaccard_join(df, components_only=True)[0].collect()} == component
+
+
 def test_jaccard_join_ties_the_classes_of_one_id(spark):
     a, b = " ".join(f"a{k}" for k in range(30)), " ".join(f"b{k}" for k in range(30))
     rows = [(1, a), (2, b), (5, a), (5, b), (6, ""), (6, a), (8, "c d e"), (9, None)]
