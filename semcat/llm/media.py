@@ -1,8 +1,8 @@
 """Media columns with content-defined chunks.
 
 A text's padded payload becomes an 8-bit sample file (a header and one byte a sample). The file is cut where a rolling gear hash
-of the last 32 bytes meets a mask, so equal passages give equal chunks wherever they stand. Digests of all chunks are counted
-by Spark; chunks that occur once are kept with their own media row, shared chunks once in a chunk table, chosen by joins of
+of the last 32 bytes meets a mask, so equal passages give equal chunks wherever they stand. Digests of all chunks but the
+header, which is always the first, are counted by Spark; chunks that occur once are kept with their own media row, shared chunks once in a chunk table, chosen by joins of
 digests. Media are rebuilt from ordered chunk lists, and every chunk and file is verified by its digest when read.
 """
 
@@ -92,7 +92,7 @@ def store(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     source = documents.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("raw"))
 
     def list_digests(b: pa.RecordBatch) -> pa.RecordBatch:
-        d = [x for raw in b.column(0) for x in struct.iter_unpack(_ENTRY, entries(chunks(sample_file(padded(raw.as_py() or b""))))) if x[2] >= LEAST]
+        d = [x for raw in b.column(0) for x in struct.iter_unpack(_ENTRY, entries(chunks(sample_file(padded(raw.as_py() or b"")))[1:]))]
         return pa.RecordBatch.from_arrays([pa.array([x[k] for x in d], pa.int64()) for k in range(2)], ["d1", "d2"])
 
     counted = map_batches(source.select("raw"), list_digests, "d1 long, d2 long").groupBy("d1", "d2").agg(F.count("*").alias("n"))
@@ -108,7 +108,8 @@ def store(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
             parts = chunks(sample_file(padded(raw)))
             row = entries(parts)
             d = list(struct.iter_unpack(_ENTRY, row))
-            flag = (passes(bits, np.array([x[0] % FILTER_BITS for x in d], np.int64)) & np.array([x[2] >= LEAST for x in d])).tolist()  # headers and short ends stay
+            flag = passes(bits, np.array([x[0] % FILTER_BITS for x in d], np.int64)).tolist()
+            flag[0] = False  # the header says no more than the size
             for k, f in enumerate(flag):
                 key = row[20 * k : 20 * k + 16]
                 if f and key not in here:  # a batch sends a chunk once
