@@ -64,8 +64,10 @@ class PuModel:
 
 
 def _sample(documents: DataFrame, ids: DataFrame, id_col: str, text_col: str, prefix: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """(distinct token hashes, proportions) of the documents with these ids; ``ids`` has a bounded number of rows."""
-    picked = documents.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(ids), "id", "left_semi").select("text")
+    """(distinct token hashes, proportions) of the documents with these ids; ``ids`` has a bounded number of different ids. An
+    id counts once, with its least text where rows repeat it, so the rows that reach the driver are bounded too."""
+    picked = documents.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(ids), "id", "left_semi")
+    picked = picked.groupBy("id").agg(F.min("text").alias("text")).select("text")
 
     def describe(b: pa.RecordBatch) -> pa.RecordBatch:
         hs, ds = [], []
@@ -105,17 +107,28 @@ def non_negative_fit(x_pos, x_unl, width: int, dense_pos, dense_unl, prior: floa
     return w, d
 
 
+def _picked(ids: DataFrame, most: int) -> DataFrame:
+    """At most ``most`` different ids of (id): those of the smallest hashes. A threshold on the hash leaves about twice as many
+    before they are made distinct and sorted, so no job sorts or shuffles all ids."""
+    n = ids.count()
+    reach = F.lit(min(1.0, 2 * most / max(n, 1)) * 2.0**64 - 2.0**63)
+    h = F.xxhash64("id")
+    near = ids.where(F.col("id").isNotNull() & (h.cast("double") <= reach)).select("id", h.alias("h")).distinct()
+    return near.orderBy("h", "id").limit(most).select("id")
+
+
 def fit(documents: DataFrame, labels: DataFrame, label: str, learn, id_col: str = "doc_id", text_col: str = "text", positives: int = 6000, unlabelled: int = 10000, features: int = 512, min_z: float = 6.0, floor: int = 8, prefix: int = 0) -> PuModel:
     """Learn from at most ``positives`` confirmed positives and ``unlabelled`` other texts (documented bounds; both taken by
-    the hash of the id, among the rows for which the column ``learn`` holds). The class prior is the share of positives among
-    the labelled rows that may be learned from. Tokens, and their first ``prefix`` bytes, are kept that ``floor`` documents hold and that
-    differ between the two samples by ``min_z`` standard errors, at most ``features`` of them. Without positives the model scores every text with the prior, or 0.5 if there are no labels."""
-    known = labels.where(learn & F.col(label).isNotNull())
-    stats = known.agg(F.count("*").alias("n"), F.sum(F.when(F.col(label) == 1, 1).otherwise(0)).alias("p")).first()
+    the hash of the id, among the rows for which the column ``learn`` holds; where rows repeat ids, fewer may be found).
+    Labels of one id that repeat count once; those that conflict are not trusted and count as none. The class prior is the
+    share of positives among the labelled ids that may be learned from. Tokens, and their first ``prefix`` bytes, are kept
+    that ``floor`` documents hold and that differ between the two samples by ``min_z`` standard errors, at most ``features``
+    of them. Without positives the model scores every text with the prior, or 0.5 if there are no labels."""
+    known = labels.where(learn & F.col(label).isNotNull() & F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("id")).agg(F.min(label).alias("y"), F.max(label).alias("other")).where("y = other")
+    stats = known.agg(F.count("*").alias("n"), F.sum(F.when(F.col("y") == 1, 1).otherwise(0)).alias("p")).first()
     prior = float(np.clip((stats["p"] or 0) / stats["n"], 0.001, 0.999)) if stats["n"] else 0.5
-    pick = lambda df, most: df.select(F.col(id_col).alias("id")).where("id is not null").distinct().orderBy(F.xxhash64("id"), "id").limit(most)
-    pos = _sample(documents, pick(known.where(F.col(label) == 1), positives), id_col, text_col, prefix)
-    unl = _sample(documents, pick(documents.where(learn), unlabelled), id_col, text_col, prefix)
+    pos = _sample(documents, _picked(known.where("y = 1").select("id"), positives), id_col, text_col, prefix)
+    unl = _sample(documents, _picked(documents.where(learn).select(F.col(id_col).alias("id")), unlabelled), id_col, text_col, prefix)
     flat = np.zeros(DENSE)
     flat[-1] = np.log(prior / (1 - prior))
     if not pos or not unl:
