@@ -17,13 +17,30 @@ from semcat.functions.shipping import ship
 _LOCAL: dict[str, str] = {}
 
 
-def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared checkpoint folder; a temporary folder only where none is set (tests)."""
+def _folder(spark: SparkSession) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None)
+    app = spark.sparkContext.applicationId
     if not base:
-        app = spark.sparkContext.applicationId
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = _LOCAL.setdefault(app, tempfile.mkdtemp(prefix="semcat-"))
-    return f"{base.rstrip('/')}/semcat-{name}-{uuid.uuid4().hex}"
+    return f"{base.rstrip('/')}/semcat-{app}"
+
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A fresh path in the application's part of the shared checkpoint folder; where none is set, a temporary folder, but only
+    with a local master (tests). ``clear`` removes them all."""
+    return f"{_folder(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
+
+
+def clear(spark: SparkSession) -> None:
+    """Remove all intermediate tables of this application; call it when the results have been written."""
+    _remove(spark, _folder(spark))
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
@@ -31,7 +48,15 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch(spark, name)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.scratch_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Remove intermediate tables that no result reads any more."""
+    for t in tables:
+        _remove(t.sparkSession, t.scratch_path)
 
 
 def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: StructType | str) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import discard, materialise
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -18,5 +18,7 @@ def components(edges: DataFrame) -> DataFrame:
         step = labels.join(near, "id").select("id", F.col("label").alias("before"), F.least("label", "m").alias("mid"))
         jump = labels.select(F.col("id").alias("mid"), F.col("label").alias("far"))
         step = step.join(jump, "mid", "left").select("id", F.least("mid", F.coalesce("far", "mid")).alias("label"), "before")
-        labels = materialise(step.select("id", "label", (F.col("label") < F.col("before")).alias("changed")), "labels")
+        before, labels = labels, materialise(step.select("id", "label", (F.col("label") < F.col("before")).alias("changed")), "labels")
+        discard(before)
+    discard(both)
     return labels.select("id", "label")

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER, blocks, map_batches, map_stream, materialise, may_contain, membership_filter, mix, passes, span_hashes, utf8, word_spans
+from .common import LOWER, blocks, discard, map_batches, map_stream, materialise, may_contain, membership_filter, mix, passes, span_hashes, utf8, word_spans
 from .components import components
 
 #: Slots of the frequency sketch that orders shingles from rare to common: 2 MiB whatever the input.
@@ -249,7 +249,9 @@ def _verified(docs: DataFrame, owners: DataFrame, pairs: DataFrame, width: int,
         return b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     joined = near.join(have.toDF("a", "sa"), "a").join(have.toDF("b", "sb"), "b")
-    return materialise(map_batches(joined, decide, "a long, b long"), "links")
+    links = materialise(map_batches(joined, decide, "a long, b long"), "links")
+    discard(near, have)
+    return links
 
 
 def _halved(owners: DataFrame) -> DataFrame:
@@ -335,6 +337,7 @@ def _all_verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -
     group = materialise(group.join(blocks_of, "label").select("id", "label", F.pmod(F.xxhash64("id", F.lit(GROUP)), F.col("k")).cast("int").alias("block")), "groups")
     near = pairs.join(group.toDF("a", "label", "ba"), "a").join(group.select(F.col("id").alias("b"), F.col("block").alias("bb")), "b")
     near = materialise(near.select(F.xxhash64("label", F.least("ba", "bb"), F.greatest("ba", "bb")).alias("tile"), "a", "b"), "dealt")
+    discard(pairs)
     needed = near.select("tile", F.explode(F.array("a", "b")).alias("id")).distinct()
     bits = membership_filter(group, "id")
 
@@ -374,7 +377,9 @@ def _all_verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -
                 yield t.select(["a", "b"]).filter(pa.array(keep))
 
     dealt = rows.repartition(parts, "tile").sortWithinPartitions("tile", "kind", "a", "b")
-    return materialise(map_stream(dealt, decide, "a long, b long"), "links")
+    links = materialise(map_stream(dealt, decide, "a long, b long"), "links")
+    discard(near, group, have)
+    return links
 
 
 def _reaches(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
@@ -418,6 +423,7 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
         links = _connecting(docs, owners, tiles, width, percent)
     else:
         links = _all_verified(docs, _cross_pairs(tiles, owners, None, percent), width, percent)
+    discard(tiles, owners)
     same = sig.join(classes, ["h1", "h2", "n"], "left").select("id", F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.coalesce("rep", "id")).alias("class_id"))
     # copies of one id in several classes tie those classes together
     least = same.where("id is not null").groupBy("id").agg(F.min("class_id").alias("a"), F.max("class_id").alias("most")).where("a < most")

@@ -6,6 +6,7 @@ import math
 import random
 import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -15,7 +16,7 @@ import public_tokenizers  # noqa: E402
 from pyspark.sql import functions as F  # noqa: E402
 from tokenizers import Tokenizer  # noqa: E402
 
-from semcat.llm import bpe, html_text, language_id, media, ngram_join, packing, pu_learning, queries, topk, url_filter  # noqa: E402
+from semcat.llm import bpe, common, html_text, language_id, media, ngram_join, packing, pu_learning, queries, topk, url_filter  # noqa: E402
 
 SF = "/root/testdata/sf0.001"
 ODD = [(1, None), (2, ""), (3, " \n\t "), (4, "one two"), (4, "one two"), (5, "ONE\x0btwo"), (None, "one two three four five six"), (7, "word " * 30000), (8, "a" * 70000), (9, "é ß 日本語 \U0001f642 |endoftext| <|endoftext|>"), (10, "12 34 !!")]
@@ -157,16 +158,31 @@ def test_url_rules(spark):
 
 def test_url_model_knows_its_marks():
     w, b = url_filter.fit()
-    assert url_filter.probability("m.casino-win.example.net", "/en/77", w, b) > 0.5
-    assert url_filter.probability("university.example.net", "/en/77", w, b) < 0.5
+    bad = ["m.casino-win.example.net", "ads-track.example.org", "banner-ads.example.net", "pixel-tracker.example.org", "spam-farm.example.org"]
+    good = ["university.example.net", "library.example.org", "railway-museum.example.net", "torvane.example.com"]
+    p = url_filter.probabilities(bad + good, ["/en/77"] * 9, w, b)
+    assert (p[:5] > 0.5).all() and (p[5:] < 0.5).all()
+    assert url_filter.probabilities(["", None], ["", None], w, b).tolist() == [0, 0]
 
 
-def test_url_model_knows_advertising_and_trackers():
+def test_url_scores_match_brute_force(spark):
+    """Every score again, n-gram by n-gram; repeated rows, long urls and signs beyond ASCII among them."""
     w, b = url_filter.fit()
-    for host in ("ads-track.example.org", "banner-ads.example.net", "pixel-tracker.example.org"):
-        assert url_filter.probability(host, "/de/12.html", w, b) > 0.5
-    for host in ("library.example.org", "railway-museum.example.net"):
-        assert url_filter.probability(host, "/de/12.html", w, b) < 0.5
+    urls = [u[0] for u in URLS] + [URLS[0][0], "http://é日本.example.org/ü/12345", "http://" + "a" * 9000 + ".org/" + "b/" * 9000, "http:///only/path", "://", "http://x.y/007/7"]
+    got = url_filter.judge(spark.createDataFrame([(i, u, 1.5, "k") for i, u in enumerate(urls)], "page_id long, url string, score double, best string")).orderBy("page_id").collect()
+    assert len(got) == len(urls)
+    for r in got:
+        slots = set()
+        for mark, text in ((1, f"^{r['host']}$"), (2, f"^{re.sub('[0-9]+', '0', r['path'])}$")):
+            raw = np.frombuffer(text.encode(), np.uint8)
+            for n in (3, 4, 5):
+                for i in range(len(raw) - n + 1):
+                    h = common.mix(common.span_hashes(raw[i : i + n].copy(), np.array([0]), np.array([n])) + np.uint64(mark))
+                    slots.add(int(h[0]) % (1 << url_filter.BITS))
+        z = sum(w[x] for x in slots) / np.sqrt(max(1, len(slots))) + b
+        want = 1 / (1 + np.exp(-z)) if r["host"] else 0.0
+        assert abs(r["score"] - want) < 1e-9
+        assert r["rule"] or r["verdict"] == ("block" if want >= 0.5 else "allow")
 
 
 def test_bpe_equals_the_library(odd, docs):
@@ -203,6 +219,21 @@ def test_media_shares_chunks(spark):
     assert {r["media"][44:].rstrip(b"\0").decode() for r in media.rebuild(stored, table).collect()} == {r["text"] for r in df.collect()}
 
 
+def test_media_shares_short_copies(spark):
+    """A text below the least size of a chunk is stored once, however many documents hold it."""
+    df = spark.createDataFrame([(i, "the same short text") for i in range(20)] + [(50, "another")], "doc_id long, text string")
+    stored, table = media.store(df)
+    assert table.count() == 1 and stored.where("n_shared = 1").count() == 20
+
+
+def test_scratch_tables_are_removed(spark, docs):
+    ngram_join.jaccard_join(docs)
+    folder = Path(common._folder(spark))
+    assert list(folder.glob("signatures-*")) and not list(folder.glob("sets-*")) and not list(folder.glob("tiles-*"))
+    common.clear(spark)
+    assert not folder.exists()
+
+
 def test_cut_points_cover_and_bound():
     rng = np.random.default_rng(3)
     for n in (44, 45, 600, 5000, 200000):
@@ -256,6 +287,28 @@ def test_classifiers_learn_and_take_odd_rows(spark, odd):
     assert pu_learning.toxicity(odd.limit(0), labels).count() == 0
 
 
+def test_scores_match_brute_force_and_labels_may_repeat(spark, odd):
+    rng = random.Random(6)
+    rows = [(i, " ".join(rng.choice("abcdefgh") * 3 for _ in range(20)) + " Bad!" * (i % 3 == 0)) for i in range(300)]
+    docs = spark.createDataFrame(rows + rows[:50], "doc_id long, text string")
+    given = [(i, int(i % 3 == 0)) for i, _ in rows]
+    plain = pu_learning.fit(docs, spark.createDataFrame(given, "doc_id long, toxic int"), "toxic", F.lit(True), floor=3)
+    noisy = given + given[:100] + [(9000, 1), (9000, 0), (None, 1)]  # repeats, and a conflict that is not trusted
+    model = pu_learning.fit(docs, spark.createDataFrame(noisy, "doc_id long, toxic int"), "toxic", F.lit(True), floor=3)
+    assert model.prior == plain.prior == 100 / 300 and (model.weights == plain.weights).all()
+    few = pu_learning._picked(docs.select(F.col("doc_id").alias("id")), 40)
+    assert 20 <= few.count() <= 40 and few.distinct().count() == few.count()
+    weight = dict(zip(model.hashes.tolist(), model.weights.tolist(), strict=True))
+    for r in pu_learning.score(odd.union(odd.select("doc_id", F.lit("aaa Bad! bbb"), *odd.columns[2:])).select("doc_id", "text"), model, keep=("text",)).collect():
+        text = (r["text"] or "").encode()
+        tokens = re.findall(rb"[0-9A-Za-z\x80-\xff]+|[\x21-\x2f\x3a-\x40\x5b-\x60\x7b-\x7f]+", text)
+        z = sum(weight.get(int(common.span_hashes(np.frombuffer(t.lower(), np.uint8), np.array([0]), np.array([len(t)]))[0]), 0) for t in set(t.lower() for t in tokens))
+        n, words = len(tokens), [t for t in tokens if re.match(rb"[0-9A-Za-z\x80-\xff]", t)]
+        size, upper = sum(map(len, words)), len(re.findall(rb"[A-Z]", text))
+        dense = [(n - len(words)) / max(n, 1), size / max(len(words), 1) / 10, upper / max(size, 1), np.log1p(n) / 10, n == 0, 1]
+        assert abs(r["score"] - 1 / (1 + np.exp(-(z + np.dot(dense, model.dense))))) < 1e-9
+
+
 def test_toxicity_knows_varied_forms_of_a_mark(spark):
     rng = random.Random(4)
     words = ["".join(rng.choice("aeioklmn") for _ in range(4)) for _ in range(300)]
