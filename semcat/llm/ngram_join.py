@@ -5,9 +5,10 @@ puts the rarest part of its set - long enough that two classes over the threshol
 named by shingle, size band and two blocks of members: it holds the sets of its band, and as guests the smaller sets that can
 reach the threshold with one of them; the larger set of a pair is never a guest, so a pair has one tile for each shingle it
 shares. A parity bitmap of each set bounds the overlap of a pair from above; what passes is decided by the exact
-intersection of the sorted arrays. All pairs over the threshold are returned; their number grows with the square of a
-group's size. Where only the components are asked for, pairs that are connected already through verified links are not
-compared again, so a group of n near copies costs about n comparisons and no stage emits the pairs within a group.
+intersection of the sorted arrays. Components come first: pairs that are connected already through verified links are not
+compared again, so a group of n near copies costs about n comparisons. The links of each class are then counted within its
+component, in tiles of two blocks, by exact products of incidence matrices; no stage emits the pairs of a group unless they are
+asked for.
 """
 
 from __future__ import annotations
@@ -28,8 +29,8 @@ SKETCH_BITS = 18
 TILE = 512
 #: Rows of one shingle that a worker holds at a time, and that go to one task when the shingle's slot of the sketch stands out.
 PIECE = 1 << 16
-#: Members of a group's block in the exact check of all pairs; the sets of two blocks meet.
-GROUP = 128
+#: Members of a component's block where its links are counted; the sets of two blocks meet.
+GROUP = 256
 
 
 def shingle_sets(col: pa.Array, width: int) -> Iterator[np.ndarray]:
@@ -269,14 +270,14 @@ def size_band(n):
     return ((F.length(F.bin(n)) - 1) / 2).cast("int")
 
 
-def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame | None, percent: int) -> DataFrame:
-    """Pairs of a tile that their bitmaps admit and, given labels, that are not connected yet. Each row stands in the tile of its
+def _cross_pairs(tiles: DataFrame, owners: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
+    """Pairs of a tile that their bitmaps admit and that are not connected yet. Each row stands in the tile of its
     own band and, as a guest, in those of larger sets within the threshold. A token of m members in a band is cut into blocks
     by hash, m / TILE of them; a tile meets two blocks, by size, and ends where sizes are too far apart. The cut bounds a
     task's memory, not the work: each row is copied m / TILE times and, where the members are not connected, about m * m / 2
     bitmaps are compared, as many as there may be links."""
     rows = tiles.select("token", "id", "n", "early")
-    rows = rows.withColumn("label", F.col("id")) if labels is None else rows.join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", "early", F.coalesce("label", "id").alias("label"))
+    rows = rows.join(labels.toDF("id", "label"), "id", "left").select("token", "id", "n", "early", F.coalesce("label", "id").alias("label"))
     most = F.expr(f"n * 100 div {int(percent)}")
     rows = rows.withColumn("band", F.explode(F.sequence(size_band(F.col("n")), size_band(most)))).withColumn("home", F.col("band") == size_band(F.col("n")))
     # tiles with the same members (by two sums of hashes and the count) give the same pairs: one of them is enough
@@ -328,17 +329,50 @@ def _compare(t: pa.Table, percent: int) -> Iterator[pa.RecordBatch]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.minimum(ids[x], ids[y])), pa.array(np.maximum(ids[x], ids[y]))], ["a", "b"])
 
 
-def _all_verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) that reach the threshold, for many pairs within groups: a group of connected pairs is cut into blocks by
-    hash, and a tile gets each set of two blocks once, not once for each pair. Exact intersections decide."""
-    pairs = materialise(pairs, "candidates")
-    group = components(pairs)
+def intersections(x: list[np.ndarray], y: list[np.ndarray], columns: int = 8192) -> np.ndarray:
+    """Exact sizes of the intersections of all sets of x with all of y, as products of incidence matrices; only members that
+    several sets hold get a column, and ``columns`` of them are taken at a time."""
+    every = np.concatenate([*x, *y])
+    row = np.repeat(np.arange(len(x) + len(y)), [len(s) for s in (*x, *y)])
+    vocabulary, at, often = np.unique(every, return_inverse=True, return_counts=True)
+    shared = np.flatnonzero(often > 1)
+    place = np.full(len(vocabulary), -1)
+    place[shared] = np.arange(len(shared))
+    col = place[at]
+    row, col = row[col >= 0], col[col >= 0]
+    order = np.argsort(col, kind="stable")
+    row, col = row[order], col[order]
+    out = np.zeros((len(x), len(y)), np.float64)
+    for c in range(0, len(shared), columns):
+        lo, hi = np.searchsorted(col, (c, c + columns))
+        m = np.zeros((len(x) + len(y), min(columns, len(shared) - c)), np.float32)
+        m[row[lo:hi], col[lo:hi] - c] = 1
+        out += m[: len(x)] @ m[len(x) :].T
+    return np.rint(out).astype(np.int64)
+
+
+def _tile_links(ids: np.ndarray, block: np.ndarray, sets: list[np.ndarray], percent: int) -> np.ndarray:
+    """The pairs (a, b), a < b, of a tile that reach the threshold: between its two blocks, or within its only one."""
+    first = np.flatnonzero(block == block[0])
+    rest = np.flatnonzero(block != block[0])
+    if not len(rest):
+        rest = first
+    x, y = [sets[i] for i in first], [sets[i] for i in rest]
+    common = intersections(x, y)
+    total = np.array([len(s) for s in x])[:, None] + np.array([len(s) for s in y])[None, :]
+    i, j = np.nonzero(100 * common >= percent * (total - common))
+    a, b = ids[first[i]], ids[rest[j]]
+    pairs = np.unique(np.column_stack([np.minimum(a, b), np.maximum(a, b)])[a != b], axis=0)
+    return pairs
+
+
+def _within_components(docs: DataFrame, group: DataFrame, width: int, percent: int, pairs: bool) -> DataFrame:
+    """The links of all members (id, label) of the components: (id, n_links), or with ``pairs`` the links (a, b) themselves. Two
+    linked classes are of one component, so a component is cut into blocks by hash, a tile meets two blocks, and every pair of
+    sets is met in one tile. Exact intersections decide. A tile adds up its links and sends one row a member, not one a pair;
+    a set is sent to as many tiles as its component has blocks."""
     blocks_of = group.groupBy("label").agg(F.ceil(F.count("*") / GROUP).cast("int").alias("k"))
-    group = materialise(group.join(blocks_of, "label").select("id", "label", F.pmod(F.xxhash64("id", F.lit(GROUP)), F.col("k")).cast("int").alias("block")), "groups")
-    near = pairs.join(group.toDF("a", "label", "ba"), "a").join(group.select(F.col("id").alias("b"), F.col("block").alias("bb")), "b")
-    near = materialise(near.select(F.xxhash64("label", F.least("ba", "bb"), F.greatest("ba", "bb")).alias("tile"), "a", "b"), "dealt")
-    discard(pairs)
-    needed = near.select("tile", F.explode(F.array("a", "b")).alias("id")).distinct()
+    group = materialise(group.join(blocks_of, "label").select("id", "label", "k", F.pmod(F.xxhash64("id", F.lit(GROUP)), F.col("k")).cast("int").alias("block")), "groups")
     bits = membership_filter(group, "id")
 
     def sets(b: pa.RecordBatch):
@@ -346,47 +380,43 @@ def _all_verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -
         if not len(live):
             return None
         b = b.take(pa.array(live))
-        return pa.RecordBatch.from_arrays([b.column("id").cast(pa.int64()), b.column("n_bytes"), pa.array([s.view(np.int64) for s in shingle_sets(b.column("text"), width)], pa.list_(pa.int64()))], ["id", "n_bytes", "s"])
+        return pa.RecordBatch.from_arrays([b.column("id").cast(pa.int64()), pa.array([s.view(np.int64) for s in shingle_sets(b.column("text"), width)], pa.list_(pa.int64()))], ["id", "s"])
 
-    have = map_batches(docs.where("id is not null").select("id", "text", F.octet_length("text").alias("n_bytes"), may_contain("id").alias("slot")), sets, "id long, n_bytes int, s array<long>")
-    have = materialise(have.join(group.select("id"), "id", "left_semi").select("id", "s"), "sets")
-    nothing = F.lit(None)
-    rows = needed.join(have, "id").select("tile", F.lit(0).alias("kind"), F.col("id").alias("a"), nothing.cast("long").alias("b"), "s")
-    rows = rows.union(near.select("tile", F.lit(1), "a", "b", nothing.cast("array<long>")))
+    have = map_batches(docs.where("id is not null").select("id", "text", may_contain("id").alias("slot")), sets, "id long, s array<long>").where(F.size("s") > 0)
+    have = materialise(have.join(group.select("id"), "id", "left_semi").dropDuplicates(["id", "s"]), "sets")
+    spread = group.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
+    spread = spread.select("id", "block", F.xxhash64("label", F.least("block", "other"), F.greatest("block", "other")).alias("tile"))
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def decide(batches):
-        tile, held, marked, members = None, {}, None, None
-        for t in batches:
-            at, kind, a = (t.column(c).to_numpy() for c in ("tile", "kind", "a"))
-            b, s = t.column("b").fill_null(0).to_numpy(), t.column("s")
-            cuts = np.flatnonzero((at[1:] != at[:-1]) | (kind[1:] != kind[:-1]) | ((kind[1:] == 1) & (a[1:] != a[:-1]))) + 1
-            keep = np.zeros(len(a), bool)
-            for i, j in zip(np.r_[0, cuts], np.r_[cuts, len(a)], strict=True):
-                if at[i] != tile:
-                    tile, held, marked = at[i], {}, None
-                if kind[i] == 0:
-                    for k in range(i, j):
-                        held.setdefault(int(a[k]), []).append(s[k].values.to_numpy().view(np.uint64))
-                    continue
-                if a[i] != marked:
-                    marked, members = a[i], held[int(a[i])]
-                for k in range(i, j):
-                    keep[k] = any(_reaches(x, y, percent) for x in members for y in held[int(b[k])])
-            if keep.any():
-                yield t.select(["a", "b"]).filter(pa.array(keep))
-
-    dealt = rows.repartition(parts, "tile").sortWithinPartitions("tile", "kind", "a", "b")
-    links = materialise(map_stream(dealt, decide, "a long, b long"), "links")
-    discard(near, group, have)
-    return links
-
+        held: list = []
+
+        def found():
+            ids, block = np.array([h[1] for h in held], np.int64), np.array([h[2] for h in held], np.int64)
+            links = _tile_links(ids, block, [h[3] for h in held], percent)
+            if not len(links):
+                return
+            if pairs:
+                yield pa.RecordBatch.from_arrays([pa.array(links[:, 0]), pa.array(links[:, 1])], ["a", "b"])
+            else:
+                i, n = np.unique(links, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(n)], ["id", "n_links"])
 
-def _reaches(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
-    if len(x) > len(y):
-        x, y = y, x
-    common = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum()) if len(y) else 0
-    return 100 * common >= percent * (len(x) + len(y) - common)
+        for t in batches:
+            tile, ids, block, s = t.column("tile").to_numpy(), t.column("id").to_numpy(), t.column("block").to_numpy(), t.column("s")
+            for k in range(t.num_rows):
+                if held and held[0][0] != tile[k]:
+                    yield from found()
+                    held = []
+                held.append((tile[k], ids[k], block[k], s[k].values.to_numpy().view(np.uint64).copy()))
+        if held:
+            yield from found()
+
+    dealt = spread.join(have, "id").select("tile", "id", "block", "s").repartition(parts, "tile").sortWithinPartitions("tile", "block")
+    out = map_stream(dealt, decide, "a long, b long" if pairs else "id long, n_links long")
+    out = materialise(out if pairs else out.groupBy("id").agg(F.sum("n_links").alias("n_links")), "links")
+    discard(group, have)
+    return out
 
 
 def _connecting(docs: DataFrame, owners: DataFrame, tiles: DataFrame, width: int, percent: int) -> DataFrame:
@@ -399,13 +429,14 @@ def _connecting(docs: DataFrame, owners: DataFrame, tiles: DataFrame, width: int
     return first.union(more)
 
 
-def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, components_only: bool = False) -> tuple[DataFrame, DataFrame]:
+def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, links: str = "pairs") -> tuple[DataFrame, DataFrame]:
     """Exact similarity join of whole texts on word n-grams.
 
     Returns (members, links). members: ``id, n_shingles, class_id, component_id, n_links``, a row for each input row, where
-    class_id is the smallest id with an equal set. links: every pair (a, b) of different class ids whose sets reach the
-    threshold; n_links counts them for a row's class. With ``components_only`` links holds only pairs that connect each
-    component (those that earlier links connect already are not compared), and n_links counts these.
+    class_id is the smallest id with an equal set and n_links counts the other classes whose sets reach the threshold with a
+    row's class. What ``links`` asks for: with ``pairs`` the second table holds every such pair (a, b) of different class ids, a
+    number that grows with the square of a group's size; with ``counts`` the links are counted without being written, and the
+    table holds only pairs that connect each component; with ``components`` n_links counts these alone.
 
     Defined cases: a null or wordless text has no shingles, is linked with nothing and forms its own class and component;
     rows that share an id are one vertex; a row without id keeps its n_shingles and has null class and component; other
@@ -419,16 +450,22 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     owners = named.join(classes.select("h1", "h2", "n", F.col("rep").alias("id")), ["h1", "h2", "n", "id"], "left_semi").dropDuplicates(["h1", "h2", "n", "id"])
     owners = materialise(owners.select("id", "n", "bitmap", "tokens", "early"), "owners")
     tiles = _shared_tokens(owners, sketch, percent)
-    if components_only:
-        links = _connecting(docs, owners, tiles, width, percent)
-    else:
-        links = _all_verified(docs, _cross_pairs(tiles, owners, None, percent), width, percent)
+    found = _connecting(docs, owners, tiles, width, percent)
     discard(tiles, owners)
     same = sig.join(classes, ["h1", "h2", "n"], "left").select("id", F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.coalesce("rep", "id")).alias("class_id"))
     # copies of one id in several classes tie those classes together
     least = same.where("id is not null").groupBy("id").agg(F.min("class_id").alias("a"), F.max("class_id").alias("most")).where("a < most")
     tie = same.join(least, "id").select("a", F.col("class_id").alias("b"))
-    final = components(links.union(tie))
-    degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
+    final = components(found.union(tie))
+    if links == "components":
+        degree = _degrees(found)
+    else:
+        linked = components(found)
+        counted = _within_components(docs, linked, width, percent, links == "pairs")
+        found, degree = (counted, _degrees(counted)) if links == "pairs" else (found, counted.withColumnRenamed("id", "class_id"))
     out = same.join(final.toDF("class_id", "label"), "class_id", "left").join(degree, "class_id", "left")
-    return out.select("id", "n_shingles", "class_id", F.coalesce("label", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")), links
+    return out.select("id", "n_shingles", "class_id", F.coalesce("label", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")), found
+
+
+def _degrees(links: DataFrame) -> DataFrame:
+    return links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))

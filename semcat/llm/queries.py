@@ -21,7 +21,7 @@ def _vocabulary(name: str) -> str:
 def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ngram_join import jaccard_join
 
-    members, _ = jaccard_join(_table(spark, sf_dir, "documents"))
+    members, _ = jaccard_join(_table(spark, sf_dir, "documents"), links="counts")
     return members.select(F.col("id").alias("doc_id"), "n_shingles", "component_id", "class_id", "n_links")
 
 

@@ -93,7 +93,9 @@ def test_jaccard_join_returns_every_link(spark):
     assert len(want) > 5000 and sorted(map(tuple, links.collect())) == sorted(want)
     degree = {r["id"]: r["n_links"] for r in members.collect()}
     assert degree == {i: sum((rows[5][0] if i == 1000 else i) in p for p in want) for i, _ in rows}
-    few, some = ngram_join.jaccard_join(spark.createDataFrame(rows, "doc_id long, text string"), components_only=True)
+    counted, _ = ngram_join.jaccard_join(spark.createDataFrame(rows, "doc_id long, text string"), links="counts")
+    assert {r["id"]: r["n_links"] for r in counted.collect()} == degree
+    few, some = ngram_join.jaccard_join(spark.createDataFrame(rows, "doc_id long, text string"), links="components")
     assert some.count() < len(want) and {r["id"]: r["component_id"] for r in few.collect()} == {r["id"]: r["component_id"] for r in members.collect()}
 
 
@@ -117,7 +119,7 @@ def test_jaccard_join_in_small_pieces_and_many_bands(spark, monkeypatch):
     assert sorted(map(tuple, links.collect())) == sorted(want)
     component = components_of(rows)
     assert {r["id"]: r["component_id"] for r in members.collect()} == component
-    assert {r["id"]: r["component_id"] for r in ngram_join.jaccard_join(df, components_only=True)[0].collect()} == component
+    assert {r["id"]: r["component_id"] for r in ngram_join.jaccard_join(df, links="components")[0].collect()} == component
 
 
 def test_jaccard_join_ties_the_classes_of_one_id(spark):
