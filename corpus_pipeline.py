@@ -43,7 +43,7 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group: its smallest doc_id. Rows without doc_id cannot be named in a group and stay."""
-    members, _ = jaccard_join(docs, components_only=True)
+    members, _ = jaccard_join(docs, links="components")
     extra = members.where("component_id <> id").select(F.col("id").alias("doc_id")).distinct()
     kept = docs.select(COLUMNS).join(extra, "doc_id", "left_anti")
     repeated = materialise(docs.groupBy("doc_id").count().where("count > 1 and doc_id is not null").select("doc_id"), "repeats")
