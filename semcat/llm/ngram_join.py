@@ -460,8 +460,7 @@ def jaccard_join(documents: DataFrame, id_col: str = "doc_id", text_col: str = "
     if links == "components":
         degree = _degrees(found)
     else:
-        linked = components(found)
-        counted = _within_components(docs, linked, width, percent, links == "pairs")
+        counted = _within_components(docs, final, width, percent, links == "pairs")
         found, degree = (counted, _degrees(counted)) if links == "pairs" else (found, counted.withColumnRenamed("id", "class_id"))
     out = same.join(final.toDF("class_id", "label"), "class_id", "left").join(degree, "class_id", "left")
     return out.select("id", "n_shingles", "class_id", F.coalesce("label", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")), found
