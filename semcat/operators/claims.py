@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from semcat.operators import keys
 from semcat.operators.profile import union_all
-from semcat.plans.graph import Step
+from semcat.plans.graph import JoinGraph, Step
 from semcat.plans.model import Catalog, placeholders
 from semcat.sources.bundle import SourceBundle
 
@@ -34,22 +34,54 @@ def run_attributes(bundle: SourceBundle, attributes: list[tuple[str, str, str]])
     return [(t, a, t in bundle.tables and c in bundle[t].columns) for t, a, c in attributes]
 
 
+def run_values(bundle: SourceBundle, attributes: list[tuple[str, str, str, str]]) -> DataFrame:
+    """(entity, attribute, n_values, passed) of attributes (entity, name, column, storage): the column is retrieved, holds a value, and
+    every value obeys the claimed storage; one scan a table."""
+    kinds = {"integer": "bigint", "float": "double", "date": "date", "datetime": "timestamp_ntz", "boolean": None, "string": None, "array": None}
+    by: dict[str, list[tuple[str, str, str]]] = {}
+    for t, a, c, isa in attributes:
+        by.setdefault(t, []).append((a, c, isa))
+    out = []
+    for t, cols in by.items():
+        aggs = []
+        for i, (_, c, isa) in enumerate(cols):
+            bad = F.count_if(F.col(c).isNotNull() & F.col(c).cast("string").try_cast(kinds[isa]).isNull()) if kinds[isa] else F.lit(0)
+            aggs += [F.count(c).alias(f"n{i}"), bad.cast("long").alias(f"b{i}")]
+        one = bundle[t].agg(*aggs)
+        rows = [F.struct(F.lit(a).alias("attribute"), F.col(f"n{i}").alias("n_values"), ((F.col(f"n{i}") > 0) & (F.col(f"b{i}") == 0)).alias("passed")) for i, (a, _, _) in enumerate(cols)]
+        out.append(one.select(F.lit(t).alias("entity"), F.explode(F.array(*rows)).alias("r")).select("entity", "r.*"))
+    return union_all(out)
+
+
 def run_paths(bundle: SourceBundle, paths: list[tuple[str, tuple[Step, ...]]]) -> DataFrame:
     """(entity, path, rows_base, rows_joined, max_fanout, passed): a path of m:1 steps must not multiply rows; any path must
-    yield rows. Only keys are read; a step costs one join of two narrow columns."""
+    yield rows. Nothing is joined out: from the far end, each step sums for each key how many rows the rest of the path gives
+    one row, so a step shuffles keys and never their products; paths that end alike share those sums."""
+    done: dict[tuple[Step, ...], DataFrame] = {}
+
+    def sums(path: tuple[Step, ...]) -> DataFrame:
+        """(k, n, hit): rows that one row with the near key k finds along the path, and those that reach its end."""
+        if path not in done:
+            s = path[0]
+            a, b, c, d = s.join
+            far = b if s.reverse else d
+            rest = path[1:]
+            if not rest:
+                rows = bundle[s.far].select(F.col(far).alias("k"), F.lit(1).alias("n"), F.lit(1).alias("hit"))
+            else:
+                nxt = rest[0]
+                near = nxt.join[3] if nxt.reverse else nxt.join[1]
+                cols = [F.col(far).alias("k"), F.col(near).alias("j")]
+                rows = bundle[s.far].select(*cols).join(sums(rest).withColumnRenamed("k", "j"), "j", "left")
+                rows = rows.select("k", F.coalesce("n", F.lit(1)).alias("n"), F.coalesce("hit", F.lit(0)).alias("hit"))
+            done[path] = rows.where("k is not null").groupBy("k").agg(F.sum("n").alias("n"), F.sum("hit").alias("hit"))
+        return done[path]
+
     out = []
     for entity, path in paths:
-        df = bundle[entity].select(F.monotonically_increasing_id().alias("__r"), "*")
-        at, cols = entity, None
-        for i, s in enumerate(path):
-            a, b, c, d = s.join
-            near, far = (d, b) if s.reverse else (b, d)
-            k = F.col(near) if i == 0 else F.col(f"__{near}")
-            right = bundle[s.far].select(*[F.col(x).alias(f"__{x}" if x != far else "__k") for x in bundle[s.far].columns])
-            left = df.select("__r", k.alias("__n"))
-            df = left.join(right.withColumn(f"__{far}", F.col("__k")), F.col("__n") == F.col("__k"), "left").drop("__n", "__k")
-            at, cols = s.far, far
-        per = df.groupBy("__r").agg(F.count("*").alias("n"), F.count(f"__{cols}").alias("hit"))
+        s = path[0]
+        near = s.join[3] if s.reverse else s.join[1]
+        per = bundle[entity].select(F.col(near).alias("k")).join(sums(path), "k", "left").select(F.coalesce("n", F.lit(1)).alias("n"), F.coalesce("hit", F.lit(0)).alias("hit"))
         one = per.agg(F.count("*").alias("rows_base"), F.sum("n").alias("rows_joined"), F.max("n").alias("max_fanout"), F.sum("hit").alias("hits"))
         flat = all(not s.reverse for s in path)
         passed = (F.col("hits") > 0) & (F.col("max_fanout") == 1 if flat else F.lit(True))
@@ -98,6 +130,30 @@ def agreement(ref: DataFrame, got: DataFrame, on: list[str], value: str, by: lis
     return g.withColumn("pct", F.round(100 * F.col("n_same") / F.col("n_matched"), 6))
 
 
+#: What a role lets a reader derive from an attribute, beside its value.
+DERIVED = {"Datetime": {"year", "month", "span"}, "Categorical": {"part"}, "Opaque": {"part"}}
+
+
+def match(c: Catalog, cls: str, want: dict) -> tuple[str, str]:
+    """(literal, adjudicated) verdict on an expectation against a built catalog. Literal: the table is placed, the column is an
+    attribute, the join is an edge. Adjudicated: also what the attribute's role licenses, and columns that chains of joins
+    equate. What names no column or table at all cannot be satisfied by any catalog."""
+    if None in want.values():
+        return "unsatisfiable", "unsatisfiable"
+    say = lambda literal, adjudicated: tuple("satisfied" if x else "missed" for x in (literal, adjudicated))
+    if cls == "entity":
+        hit = want["table"] in {e.table for e in c.entities} | set(c.lookups) | set(c.links)
+        return say(hit, hit)
+    if cls == "feature":
+        roles = [a.roles for e in c.entities for a in e.attributes if (e.table, a.src_cols[0]) == (want["table"], want["column"])]
+        derive = want.get("derive")
+        return say(bool(roles) and not derive, bool(roles) and (not derive or any(derive in DERIVED.get(r, ()) for r in roles[0])))
+    g = JoinGraph([(j["from_table"], j["from_col"], j["to_table"], j["to_col"]) for j in c.joins])
+    pair = (want["from"], want["to"])
+    edges = {(f"{a}.{b}", f"{x}.{y}") for a, b, x, y in g.joins}
+    return say(pair in edges, pair in edges or tuple(sorted(pair)) in g.equivalence())
+
+
 def recall(items: DataFrame) -> DataFrame:
     """Per annotator and class; unsatisfiable items are reported apart, not counted against."""
     g = items.groupBy("annotator", "cls").agg(F.count_if(F.col("verdict") == "satisfied").alias("satisfied"), F.count_if(F.col("verdict") != "unsatisfiable").alias("satisfiable"), F.count_if(F.col("verdict") == "unsatisfiable").alias("unsatisfiable"))

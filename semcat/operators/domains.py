@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from semcat.operators.evidence import ColumnEvidence
 from semcat.operators.profile import union_all
 from semcat.sources.bundle import SourceBundle
 
@@ -15,9 +16,16 @@ def integer_columns(bundle: SourceBundle) -> list[tuple[str, str]]:
     return [(t, f.name) for t, df in bundle.tables.items() for f in df.schema.fields if f.dataType.simpleString() in INTEGER]
 
 
+def joinable(evidence: dict[tuple[str, str], ColumnEvidence]) -> list[tuple[str, str]]:
+    """Columns that can refer to something: whole numbers and short texts, whatever their declared type. Fractions, times and
+    prose cannot equal a key of these families, so they are left out without losing a pair."""
+    return [k for k, e in evidence.items() if e.family in ("integer", "text")]
+
+
 def build(bundle: SourceBundle, columns: list[tuple[str, str]]) -> DataFrame:
     """(col, value): the distinct non-null values of each column as canonical text; whole numbers lose a leading plus or
-    zeros only when stored as numbers, so the text 007 stays apart from 7."""
+    zeros only when stored as numbers, so the text 007 stays apart from 7. Equal values of a partition are combined before the
+    one shuffle."""
     by: dict[str, list[str]] = {}
     for t, c in columns:
         by.setdefault(t, []).append(c)
@@ -32,12 +40,14 @@ def pair_overlap(domain: DataFrame, targets: list[str]) -> DataFrame:
     """(source, target, n_common, n_source): every pair of a column with a key of another table that share a value. Each value
     meets its columns once; it has at most as many rows as there are columns, so no value is a hot group."""
     by_value = domain.groupBy("value").agg(F.collect_set("col").alias("cols"))
-    is_key = F.col("target").isin(targets)
-    pairs = by_value.select(F.explode("cols").alias("source"), "cols").select("source", F.explode("cols").alias("target"))
+    keys = F.filter("cols", lambda c: c.isin(targets))
+    sides = by_value.select(F.explode("cols").alias("source"), keys.alias("keys"))
+    # a null target stands for the value itself, so that sizes come from the same pass
+    pairs = sides.select("source", F.explode(F.array_append("keys", F.lit(None).cast("string"))).alias("target"))
+    counted = pairs.groupBy("source", "target").agg(F.count("*").alias("n"))
+    sizes = counted.where("target is null").select("source", F.col("n").alias("n_source"))
     other = F.split("source", r"\.")[0] != F.split("target", r"\.")[0]
-    common = pairs.where(is_key & other).groupBy("source", "target").agg(F.count("*").alias("n_common"))
-    sizes = domain.groupBy(F.col("col").alias("source")).agg(F.count("*").alias("n_source"))
-    return common.join(sizes, "source")
+    return counted.where(other).withColumnRenamed("n", "n_common").join(sizes, "source").select("source", "target", "n_common", "n_source")
 
 
 def pair_overlap_naive(domain: DataFrame, pairs: list[tuple[str, str]]) -> DataFrame:

@@ -2,31 +2,36 @@
 
 from __future__ import annotations
 
+import math
+from dataclasses import dataclass, field
+from functools import reduce
 from itertools import combinations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semcat.plans.lexicon import id_like
+from semcat.plans.lexicon import id_like, own_key
 from semcat.sources.bundle import SourceBundle
 
 
 def verify_many(df: DataFrame, candidates: list[list[str]]) -> DataFrame:
     """(cols, n, n_nonnull, n_distinct, is_unique) for many candidate column sets of a table in one scan and one shuffle.
-    A key is packed as a struct; copies are combined before the shuffle."""
+    A key goes through the shuffle as two 64-bit hashes of its typed columns, whatever its width; copies are combined before. Two
+    different keys agree in both with a chance of 2**-128, so a table of 10**13 rows counts one too few with a chance of 10**-13."""
     if not candidates:
         return df.sparkSession.createDataFrame([], "cols string, n long, n_nonnull long, n_distinct long, is_unique boolean")
     cells = []
-    for cols in candidates:
+    for i, cols in enumerate(candidates):
         whole = F.lit(True)
         for c in cols:
             whole = whole & F.col(c).isNotNull()
-        key = F.to_json(F.struct(*[F.col(c).cast("string").alias(f"k{i}") for i, c in enumerate(cols)])) if len(cols) > 1 else F.col(cols[0]).cast("string")
-        cells.append(F.struct(F.lit("|".join(cols)).alias("cols"), F.when(whole, key).alias("key")))
+        a, b = F.xxhash64(*cols), F.xxhash64(F.lit(_SECOND), *cols)
+        cells.append(F.struct(F.lit(i).alias("at"), F.when(whole, a).alias("a"), F.when(whole, b).alias("b")))
     rows = df.select(F.explode(F.array(*cells)).alias("r")).select("r.*")
-    per = rows.groupBy("cols", "key").agg(F.count("*").alias("m"))
-    out = per.groupBy("cols").agg(F.sum("m").alias("n"), F.sum(F.when(F.col("key").isNotNull(), F.col("m")).otherwise(0)).alias("n_nonnull"), F.count("key").alias("n_distinct"))
-    return out.withColumn("is_unique", (F.col("n") == F.col("n_nonnull")) & (F.col("n") == F.col("n_distinct")) & (F.col("n") > 0))
+    per = rows.groupBy("at", "a", "b").agg(F.count("*").alias("m"))
+    out = per.groupBy("at").agg(F.sum("m").alias("n"), F.sum(F.when(F.col("a").isNotNull(), F.col("m")).otherwise(0)).alias("n_nonnull"), F.count("a").alias("n_distinct"))
+    name = F.element_at(F.array(*[F.lit("|".join(c)) for c in candidates]), F.col("at") + 1)
+    return out.select(name.alias("cols"), "n", "n_nonnull", "n_distinct").withColumn("is_unique", (F.col("n") == F.col("n_nonnull")) & (F.col("n") == F.col("n_distinct")) & (F.col("n") > 0))
 
 
 def verify_one_by_one(df: DataFrame, candidates: list[list[str]]) -> list[tuple[str, bool]]:
@@ -34,6 +39,9 @@ def verify_one_by_one(df: DataFrame, candidates: list[list[str]]) -> list[tuple[
     return [("|".join(c), df.count() == df.dropna(subset=c).select(*c).distinct().count()) for c in candidates]
 
 
+_SECOND = 0x5BD1E995
+
+
 def prescreen(df: DataFrame, columns: list[str], slack: float = 0.8) -> list[str]:
     """Columns that a sketch cannot refute as keys: an estimate far below the row count refutes, nothing else does."""
     r = df.agg(F.count("*").alias("__n"), *[F.approx_count_distinct(c, 0.02).alias(c) for c in columns]).first()
@@ -41,23 +49,82 @@ def prescreen(df: DataFrame, columns: list[str], slack: float = 0.8) -> list[str
 
 
 def order_candidates(columns: list[str], roles: dict[str, str], table: str = "", foreign: tuple[str, ...] = ()) -> list[str]:
-    """Id-like names first, foreign keys after them, then the rest in table order; numeric measures never."""
+    """Id-like names first, and of these the table's own and no foreign key; then the rest in table order; numeric measures
+    never."""
     live = [(i, c) for i, c in enumerate(columns) if roles.get(c) not in ("Numeric", "Datetime", "Opaque")]
-    return [c for i, c in sorted(live, key=lambda x: (not id_like(x[1], table), x[1] in foreign, x[0]))]
+    return [c for i, c in sorted(live, key=lambda x: (not id_like(x[1], table), x[1] in foreign, bool(table) and not own_key(x[1], table), x[0]))]
+
+
+@dataclass(frozen=True)
+class KeySearch:
+    """What a table's search may use: roles by column, id-like columns and declared foreign keys, dates, and ordinals (whole numbers that
+    count within something); rows and sketched distinct counts, to leave out composites that cannot reach the row count."""
+
+    roles: dict[str, str]
+    foreign: tuple[str, ...] = ()
+    dates: tuple[str, ...] = ()
+    ordinals: tuple[str, ...] = ()
+    rows: int = 0
+    distinct: dict[str, int] = field(default_factory=dict)
+
+
+def search_all(tables: dict[str, DataFrame], plans: dict[str, KeySearch], refuted: set[tuple[str, str]], budget: int = 12, max_width: int = 4) -> dict[str, tuple[list[str], str]]:
+    """(columns, status) of each table: the first verified single column in order, else the smallest verified composite of foreign
+    keys and dates, else of these and ordinals, else the best candidate flagged ``fallback``. The budget counts candidates, so
+    runs are repeatable; candidates beyond it that were never tried make the status ``fallback, budget spent``. The single
+    columns of all tables are proved in one job; ``refuted`` are (table, column) that evidence has ruled out already."""
+    every = {t: order_candidates(tables[t].columns, p.roles, t, p.foreign) for t, p in plans.items()}
+    live = {t: [[c] for c in cols[:budget] if (t, c) not in refuted] for t, cols in every.items()}
+    jobs = [verify_many(tables[t], cols).select(F.lit(t).alias("t"), "cols", "is_unique") for t, cols in live.items() if cols]
+    found = {(r["t"], r["cols"]) for r in reduce(DataFrame.unionByName, jobs).where("is_unique").collect()} if jobs else set()
+    out = {}
+    for t, p in plans.items():
+        singles = every[t][:budget]
+        good = [c for c in singles if (t, c) in found]
+        pools = [list(p.foreign)] + ([[*p.foreign, *p.ordinals]] if p.ordinals else [])
+        if good:
+            out[t] = ([good[0]], "verified")
+            continue
+        spent = len(every[t]) > budget
+        for pool in pools:
+            cols, cut = first_composite(tables[t], pool, p, max_width)
+            spent |= cut
+            if cols:
+                out[t] = (cols, "verified")
+                break
+        else:
+            out[t] = (singles[:1] or tables[t].columns[:1], "fallback, budget spent" if spent else "fallback")
+    return out
+
 
+#: Composites that one job proves, and that one search tries at most; a search that ends at this limit says so in its status.
+BATCH, COMPOSITES = 32, 256
 
-def search(df: DataFrame, table: str, roles: dict[str, str], foreign: tuple[str, ...] = (), dates: tuple[str, ...] = (), budget: int = 12, max_width: int = 4) -> tuple[list[str], str]:
-    """(columns, status): the first verified single column in order, else the smallest verified composite of foreign keys and
-    dates, else the best candidate flagged ``fallback``. The budget counts candidates, so runs are repeatable."""
-    singles = order_candidates(df.columns, roles, table, foreign)[:budget]
-    live = prescreen(df, singles) if singles else []
-    found = {r["cols"] for r in verify_many(df, [[c] for c in live]).where("is_unique").collect()} if live else set()
-    for c in singles:
-        if c in found:
-            return [c], "verified"
-    for cols in minimal_composites(df, list(foreign), list(dates), max_width)[:1]:
-        return cols, "verified"
-    return (singles[:1] or df.columns[:1]), "fallback"
+
+def first_composite(df: DataFrame, pool: list[str], p: KeySearch, max_width: int = 4) -> tuple[list[str] | None, bool]:
+    """(the first of the smallest verified composites or None, whether candidates were left untried). Narrow ones come first, in
+    jobs of BATCH candidates; those whose distinct counts multiply to clearly less than the rows cannot be keys."""
+    left = COMPOSITES
+    for width in range(2, max_width + 1):
+        enough = [c for c in composite_candidates(pool, list(p.dates), width) if not p.distinct or 1.5 * math.prod(max(1, p.distinct.get(x, p.rows)) for x in c) >= p.rows]
+        todo, left = enough[:left], left - len(enough)
+        for i in range(0, len(todo), BATCH):
+            good = {r["cols"] for r in verify_many(df, todo[i : i + BATCH]).where("is_unique").collect()}
+            for c in todo[i : i + BATCH]:
+                if "|".join(c) in good:
+                    return c, False
+        if left <= 0:
+            return None, left < 0 or width < max_width
+    return None, False
+
+
+def search(df: DataFrame, table: str, roles: dict[str, str], foreign: tuple[str, ...] = (), dates: tuple[str, ...] = (), ordinals: tuple[str, ...] = (), budget: int = 12, max_width: int = 4) -> tuple[list[str], str]:
+    """The search for one table, with a sketch to refute candidates first."""
+    tried = order_candidates(df.columns, roles, table, foreign)[:budget]
+    pool = list(dict.fromkeys([*tried, *foreign, *dates, *ordinals]))
+    r = df.agg(F.count("*").alias("__n"), *[F.approx_count_distinct(c).alias(c) for c in pool]).first()
+    gone = {(table, c) for c in tried if r[c] < 0.75 * r["__n"]}
+    return search_all({table: df}, {table: KeySearch(roles, foreign, dates, ordinals, r["__n"], {c: r[c] for c in pool})}, gone, budget, max_width)[table]
 
 
 def composite_candidates(foreign: list[str], dates: list[str], width: int) -> list[list[str]]:
@@ -67,14 +134,14 @@ def composite_candidates(foreign: list[str], dates: list[str], width: int) -> li
 
 
 def minimal_composites(df: DataFrame, foreign: list[str], dates: list[str], max_width: int = 4) -> list[list[str]]:
-    """All minimal verified composites, narrow ones first: one job for each width, supersets of accepted keys are not tried."""
+    """All minimal verified composites, narrow ones first: jobs of BATCH candidates for each width; supersets of accepted keys are
+    not tried."""
     accepted: list[list[str]] = []
     for width in range(2, max_width + 1):
         todo = [c for c in composite_candidates(foreign, dates, width) if not any(set(a) <= set(c) for a in accepted)]
-        if not todo:
-            break
-        good = {r["cols"] for r in verify_many(df, todo).where("is_unique").collect()}
-        accepted += [c for c in todo if "|".join(c) in good]
+        for i in range(0, len(todo), BATCH):
+            good = {r["cols"] for r in verify_many(df, todo[i : i + BATCH]).where("is_unique").collect()}
+            accepted += [c for c in todo[i : i + BATCH] if "|".join(c) in good]
     return accepted
 
 
@@ -82,12 +149,19 @@ def duplicate_groups(df: DataFrame, cols: list[str]) -> DataFrame:
     return df.groupBy(*cols).agg(F.count("*").alias("n")).where("n > 1")
 
 
-def choose_all(bundle: SourceBundle, roles: dict[str, dict[str, str]], foreign: dict[str, tuple[str, ...]], dates: dict[str, tuple[str, ...]]) -> dict[str, tuple[list[str], str]]:
-    """Identifier of each table: a declared one is taken (and proved again by the claims), else searched."""
-    out = {}
+def is_weak(status: str) -> bool:
+    """Whether an identifier was only assumed."""
+    return status.startswith("fallback")
+
+
+def choose_all(bundle: SourceBundle, roles: dict[str, dict[str, str]], ordinals: dict[str, tuple[str, ...]], found: dict) -> dict[str, tuple[list[str], str]]:
+    """Identifier of each table: a declared one is taken (and proved again by the claims), else searched. ``found`` is the evidence by
+    (table, column)."""
+    plans = {}
     for t, df in bundle.tables.items():
-        if t in bundle.primary:
-            out[t] = (bundle.primary[t], "declared")
-        else:
-            out[t] = search(df, t, roles[t], foreign.get(t, ()), dates.get(t, ()))
-    return out
+        if t not in bundle.primary:
+            declared = [f[1] for f in bundle.foreign if f[0] == t]
+            pool = tuple(c for c in df.columns if (c in declared or id_like(c, t)) and roles[t].get(c) != "Opaque")
+            plans[t] = KeySearch(roles[t], pool, tuple(c for c in df.columns if roles[t].get(c) == "Datetime"), ordinals.get(t, ()), max((found[t, c].n_rows for c in df.columns), default=0), {c: found[t, c].about_distinct for c in df.columns})
+    ids = search_all(bundle.tables, plans, {k for k, e in found.items() if e.no_key})
+    return {t: (bundle.primary[t], "declared") if t in bundle.primary else ids[t] for t in bundle.tables}

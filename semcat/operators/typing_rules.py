@@ -6,25 +6,25 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from semcat.operators import profile
-from semcat.plans.lexicon import FLAG_WORDS, MEASURE_WORDS, TIME_WORDS, id_like, words
+from semcat.plans.lexicon import FLAG_WORDS, TIME_WORDS, id_like, measure_like, words
 from semcat.sources.bundle import SourceBundle
 
-OPAQUE = {"text", "html", "url", "props", "embedding"}
 #: What a role permits.
 LICENCES = {"Numeric": "avg|max|min|sum", "Categorical": "count|filter|group", "Datetime": "filter|series|trunc", "Opaque": ""}
 ISA = {"bigint": "integer", "int": "integer", "double": "float", "float": "float", "string": "string", "boolean": "boolean", "date": "date", "timestamp": "datetime", "timestamp_ntz": "datetime"}
 
 
 def role(column: str, kind: str) -> str:
-    """Role by name and storage: digits alone never make a measure; identifiers and codes are categories."""
+    """Role by name and declared storage alone, before any value is seen: digits alone never make a measure; identifiers and
+    codes are categories. ``evidence`` decides by the values as well."""
     w = words(column)
-    if kind.startswith("array") or column in OPAQUE:
+    if kind.startswith("array"):
         return "Opaque"
     if kind.startswith(("timestamp", "date")) or w[-1] in TIME_WORDS and kind == "string":
         return "Datetime"
     if id_like(column) or w[-1] in FLAG_WORDS:
         return "Categorical"
-    return "Numeric" if kind in ("int", "bigint", "double", "float") and (w[-1] in MEASURE_WORDS or kind in ("double", "float")) else "Categorical"
+    return "Numeric" if kind in ("int", "bigint", "double", "float") and (measure_like(column) or kind in ("double", "float")) else "Categorical"
 
 
 def roles_of(bundle: SourceBundle) -> dict[str, dict[str, str]]:
@@ -73,12 +73,13 @@ def granularity(bundle: SourceBundle, columns: list[tuple[str, str]]) -> DataFra
 
 
 def boolean_flags(bundle: SourceBundle, columns: list[tuple[str, str]]) -> DataFrame:
-    """(column_name, is_boolean): at most two values, all of them words of truth, or 0 and 1 under a flag-like name."""
+    """(column_name, is_boolean): two values, all of them words of truth, or 0 and 1 under a name that speaks for neither
+    identifier nor measure."""
     out = []
     for t, c in columns:
         v = F.lower(F.col(c).cast("string"))
-        named = words(c)[-1] in FLAG_WORDS
-        word = v.isin("true", "false", "yes", "no", "t", "f", "y", "n", *(["0", "1"] if named else []))
+        digits = [] if id_like(c) or measure_like(c) else ["0", "1"]
+        word = v.isin("true", "false", "yes", "no", "t", "f", "y", "n", *digits)
         out.append(bundle[t].agg(((F.count_distinct(v) <= 2) & (F.count_if(v.isNotNull() & ~word) == 0)).alias("is_boolean")).select(F.lit(f"{t}.{c}").alias("column_name"), "is_boolean"))
     return profile.union_all(out)
 

@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from semcat.operators import domains, joins, keys, profile
-from semcat.plans.lexicon import id_like, name_affinity
+from semcat.operators import domains, evidence, joins, keys, profile
+from semcat.plans import builder
+from semcat.queries import arms
 from semcat.queries.registry import query
-from semcat.sources.bundle import FOREIGN, STAR, TABLES, SourceBundle, disjoint, from_parquet, nation_month_sales, stripped, trade_lane
+from semcat.sources.bundle import FOREIGN, STAR, TABLES, SourceBundle, from_parquet, nation_month_sales, stripped, trade_lane
 
 COLUMNS = {
     "region": "r_regionkey r_name",
@@ -28,8 +29,9 @@ COLUMNS = {
 COLUMNS = {t: c.split() for t, c in COLUMNS.items()}
 INTS = [(t, c) for t in TABLES for c in COLUMNS[t] if c in "r_regionkey n_nationkey n_regionkey c_custkey c_nationkey s_suppkey s_nationkey p_partkey p_size o_orderkey o_custkey l_orderkey l_partkey l_suppkey l_linenumber event_id user_id doc_id n_chars vec_id label page_id item_id quality toxic conv_id turn".split()]
 KEYS = {"region": "r_regionkey", "nation": "n_nationkey", "customer": "c_custkey", "supplier": "s_suppkey", "part": "p_partkey", "orders": "o_orderkey", "events": "event_id", "documents": "doc_id", "embeddings": "vec_id", "pages": "page_id", "benchmark": "item_id", "labels": "doc_id"}
-KEY_IDS = [f"{t}.{c}" for t, c in KEYS.items()]
-MEASURES = ["part.p_size", "documents.n_chars"]
+#: COLUMNS, INTS, KEYS and the measures below are the annotation of the SQL twins; the Spark side finds its own.
+_KEY_IDS = [f"{t}.{c}" for t, c in KEYS.items()]
+_MEASURES = ["part.p_size", "documents.n_chars"]
 
 
 def each(tables, make, columns=COLUMNS, sep=" UNION ALL "):
@@ -193,10 +195,8 @@ _MEASURED = {"c_acctbal": "customer", "s_acctbal": "supplier", "p_retailprice":
 
 @query(" UNION ALL ".join(f"SELECT '{t}' AS table_name, '{c}' AS column_name, is_unique, false AS eligible FROM ({_is_unique(_evidence(t, [c]))})" for c, t in _MEASURED.items()))
 def key_unique_measures_excluded(spark, sf):
-    from semcat.operators.typing_rules import roles_of
-
     b = from_parquet(spark, sf, list(_MEASURED.values()))
-    roles = roles_of(b)
+    roles = evidence.roles(evidence.gather(b))
     out = []
     for c, t in _MEASURED.items():
         ok = c in keys.order_candidates(b[t].columns, roles[t], t)
@@ -209,9 +209,7 @@ _CHOSEN = " UNION ALL ".join([f"SELECT '{t}' AS table_name, '{c}' AS id_cols, CA
 
 @query(f"{_CHOSEN} UNION ALL SELECT 'conversations', 'conv_id|turn', CASE WHEN is_unique THEN 'verified' ELSE 'fallback' END FROM ({_is_unique(_evidence('conversations', ['conv_id', 'turn']))}) UNION ALL (WITH u AS ({_UNIQUE}), r AS (SELECT *, row_number() OVER () AS o FROM u) SELECT 'lineitem', cols, 'verified' FROM r WHERE is_unique ORDER BY w, o LIMIT 1)")
 def key_chosen_per_table(spark, sf):
-    from semcat.plans.builder import choose_identifiers
-
-    got = choose_identifiers(from_parquet(spark, sf))
+    got = arms.state(spark, sf, "stripped").ids
     return spark.createDataFrame([(t, "|".join(c), s) for t, (c, s) in sorted(got.items())], "table_name string, id_cols string, status string")
 
 
@@ -219,7 +217,8 @@ def overlap_sql(tables=TABLES, text=lambda t, c: f"CAST({c} AS VARCHAR)"):
     """Independent SQL of all overlaps: one semi join a pair."""
     srcs = [(t, c) for t, c in INTS if t in tables]
     pairs = [(t, c, k) for t, c in srcs for k in KEYS if k != t and k in tables]
-    return " UNION ALL ".join(f"SELECT '{t}.{c}' AS source, '{k}.{KEYS[k]}' AS target, (SELECT count(*) FROM (SELECT DISTINCT {text(t, c)} AS v FROM {t} WHERE {c} IS NOT NULL) WHERE v IN (SELECT {text(k, KEYS[k])} FROM {k})) AS n_common, (SELECT count(DISTINCT {c}) FROM {t}) AS n_source" for t, c, k in pairs)
+    is_key = {k: f"(SELECT count(*) > 0 AND count(*) = count(DISTINCT {KEYS[k]}) FROM {k})" for k in KEYS}
+    return " UNION ALL ".join(f"SELECT '{t}.{c}' AS source, '{k}.{KEYS[k]}' AS target, (SELECT count(*) FROM (SELECT DISTINCT {text(t, c)} AS v FROM {t} WHERE {c} IS NOT NULL) WHERE v IN (SELECT {text(k, KEYS[k])} FROM {k})) AS n_common, (SELECT count(DISTINCT {c}) FROM {t}) AS n_source WHERE {is_key[k]}" for t, c, k in pairs)
 
 
 _OVL = f"SELECT * FROM ({overlap_sql()}) WHERE n_common > 0"
@@ -227,13 +226,21 @@ _OVL = f"SELECT * FROM ({overlap_sql()}) WHERE n_common > 0"
 
 @query(f"SELECT source, target, n_common, round(n_common / n_source, 6) AS containment FROM ({_OVL})")
 def ovl_all_pairs(spark, sf):
-    return joins.overlaps(from_parquet(spark, sf), KEY_IDS).select("source", "target", "n_common", F.round(F.col("n_common") / F.col("n_source"), 6).alias("containment"))
+    b = from_parquet(spark, sf)
+    st = arms.state(spark, sf, "typed")
+    return joins.overlaps(b, st.keys, domains.joinable(st.evidence)).select("source", "target", "n_common", F.round(F.col("n_common") / F.col("n_source"), 6).alias("containment"))
 
 
-@query()
+def _found(spark, sf, tables=TABLES, arm="stripped"):
+    """The overlaps that the builder found in an arm: (source, target, n_common, n_source)."""
+    st = arms.state(spark, sf, arm, tables)
+    return spark.createDataFrame([(o.source, o.target, o.n_common, o.n_source) for o in st.overlap], "source string, target string, n_common long, n_source long")
+
+
+@query(f"SELECT source, target, n_common FROM ({overlap_sql(STAR)}) WHERE n_common > 0")
 def ovl_naive_pairs(spark, sf):
     b = from_parquet(spark, sf, STAR)
-    pairs = [(f"{t}.{c}", f"{k}.{KEYS[k]}") for t, c in INTS for k in KEYS if t in STAR and k in STAR and k != t and t != "lineitem"]
+    pairs = [(f"{t}.{c}", f"{k}.{KEYS[k]}") for t, c in INTS for k in KEYS if t in STAR and k in STAR and k != t]
     return domains.pair_overlap_naive(domains.build(b, [x for x in INTS if x[0] in STAR]), pairs)
 
 
@@ -246,17 +253,17 @@ def ovl_zero_pairs(spark, sf):
     ids = [f"{t}.{c}" for t, c in _NAMES]
     hit = domains.pair_overlap(domains.build(b, _NAMES), ids).select("source", "target")
     every = spark.createDataFrame([(s, t) for s in ids for t in ids if s != t], "source string, target string")
-    return every.join(F.broadcast(hit), ["source", "target"], "left_anti")
+    return every.join(hit, ["source", "target"], "left_anti")
 
 
 @query(f"SELECT source, count(DISTINCT target) AS n_targets FROM ({_OVL}) GROUP BY source")
 def ovl_target_counts(spark, sf):
-    return joins.target_counts(joins.overlaps(from_parquet(spark, sf), KEY_IDS))
+    return joins.target_counts(_found(spark, sf))
 
 
 @query(f"SELECT source, count(DISTINCT target) AS n_targets_full FROM ({_OVL}) WHERE n_common = n_source GROUP BY source")
 def ovl_contained_counts(spark, sf):
-    return joins.target_counts(joins.overlaps(from_parquet(spark, sf), KEY_IDS), 1.0).withColumnRenamed("n_targets", "n_targets_full")
+    return joins.target_counts(_found(spark, sf), 1.0).withColumnRenamed("n_targets", "n_targets_full")
 
 
 @query(" UNION ALL ".join(f"SELECT 'integer' AS family, '{t}.{c}' AS column_name, count(DISTINCT {c}) AS n_values FROM {t}" for t, c in INTS))
@@ -272,7 +279,7 @@ _STAR_INTS = [(t, c) for t, c in INTS if t in STAR]
 def ovl_range_disjoint_pairs(spark, sf):
     b = from_parquet(spark, sf, STAR)
     r = profile.union_all([b[t].agg(F.min(c).cast("long").alias("lo"), F.max(c).cast("long").alias("hi")).select(F.lit(f"{t}.{c}").alias("col"), F.lit(t).alias("t"), "lo", "hi") for t, c in _STAR_INTS])
-    x, y = r.alias("x"), F.broadcast(r.alias("y"))  # one row a column
+    x, y = r.alias("x"), r.alias("y")  # one row a column
     return x.join(y, (F.col("x.t") != F.col("y.t")) & ((F.col("x.hi") < F.col("y.lo")) | (F.col("y.hi") < F.col("x.lo")))).select(F.col("x.col").alias("source"), F.col("y.col").alias("target"))
 
 
@@ -281,23 +288,23 @@ def values(rows, names):
     return f"(SELECT * FROM (VALUES {', '.join('(' + ', '.join(map(lit, r)) + ')' for r in rows)}) AS v({', '.join(names)}))"
 
 
-AFFINITY = [(f"{t}.{c}", f"{k}.{KEYS[k]}", name_affinity(c, k, KEYS[k])) for t, c in INTS for k in KEYS if k != t]
-_AFF = values(AFFINITY, ["source", "target", "score"])
+#: The judge's score by names, in SQL: the same stem before key or id is 1, anything else 0.
+_STEM = "regexp_extract(split_part({}, '.', 2), '^(?:[a-z]_)?(.*?)_?(?:key|id)$', 1)"
+_SCORE = f"CASE WHEN {_STEM.format('source')} <> '' AND {_STEM.format('source')} = {_STEM.format('target')} THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END"
 
 
 def ledger_sql(tables=TABLES, exempt=False, ovl=None):
-    measures = ", ".join(f"'{m}'" for m in MEASURES)
-    ids = ", ".join(f"'{k}'" for k in KEY_IDS)
+    measures = ", ".join(f"'{m}'" for m in _MEASURES)
+    ids = ", ".join(f"'{k}'" for k in _KEY_IDS)
     named = "(score >= 0.9 AND n_common = n_source)" if exempt else "false"
-    return f"""WITH o AS (SELECT * FROM ({ovl or overlap_sql(tables)}) WHERE n_common > 0), c AS (SELECT source, count(DISTINCT target) AS n_targets FROM o GROUP BY source),
- s AS (SELECT o.*, a.score, CASE WHEN source IN ({ids}) THEN 'source_is_key' WHEN source IN ({measures}) THEN 'measure' WHEN n_targets >= 3 AND NOT {named} THEN 'ambiguous' WHEN score < 0.7 THEN 'judge' ELSE 'accepted' END AS stage FROM o JOIN c USING (source) JOIN {_AFF} a USING (source, target)),
+    return f"""WITH o AS (SELECT *, {_SCORE} AS score FROM ({ovl or overlap_sql(tables)}) WHERE n_common > 0), c AS (SELECT source, count(DISTINCT target) AS n_targets FROM o GROUP BY source),
+ s AS (SELECT o.*, CASE WHEN source IN ({ids}) THEN 'source_is_key' WHEN source IN ({measures}) THEN 'measure' WHEN n_targets >= 3 AND NOT {named} THEN 'ambiguous' WHEN score < 0.7 THEN 'judge' ELSE 'accepted' END AS stage FROM o JOIN c USING (source)),
  l AS (SELECT *, CASE WHEN stage = 'accepted' AND row_number() OVER (PARTITION BY source, stage ORDER BY score DESC, n_common DESC, target) > 1 THEN 'second_referent' ELSE stage END AS final FROM s)"""
 
 
-def _ledger(spark, sf, tables=TABLES, policy=joins.JoinPolicy()):
-    b = from_parquet(spark, sf, tables)
-    ids = [k for k in KEY_IDS if k.split(".")[0] in tables]
-    return joins.ledger(joins.overlaps(b, ids), ids, MEASURES, policy)
+def _ledger(spark, sf, tables=TABLES, policy=joins.JoinPolicy(), arm="stripped"):
+    st = arms.state(spark, sf, arm, tables)
+    return joins.as_table(spark, joins.decide(st.overlap, st.keys, st.measures, policy))
 
 
 @query(ledger_sql() + " SELECT source, target, final AS stage FROM l")
@@ -310,7 +317,7 @@ def join_ledger_star(spark, sf):
     return _ledger(spark, sf, STAR).select("source", "target", "stage")
 
 
-@query(f"SELECT source, bool_or(source IN ({', '.join(repr(k) for k in KEY_IDS)})) AS dropped FROM ({_OVL}) GROUP BY source")
+@query(f"SELECT source, bool_or(source IN ({', '.join(repr(k) for k in _KEY_IDS)})) AS dropped FROM ({_OVL}) GROUP BY source")
 def join_guard_source_key(spark, sf):
     return _ledger(spark, sf).groupBy("source").agg(F.bool_or(F.col("stage") == "source_is_key").alias("dropped"))
 
@@ -331,28 +338,28 @@ _SCOPES = {"W1": ["part", "supplier", "orders", "lineitem"], "W2": ["region", "n
 @query(" UNION ALL ".join(f"SELECT '{s}' AS scope, source, count(DISTINCT target) AS n_targets, count(DISTINCT target) >= 3 AS dropped FROM ({overlap_sql(t)}) WHERE n_common > 0 GROUP BY source" for s, t in _SCOPES.items()))
 def join_guard_ambiguous(spark, sf):
     out = []
-    whole = joins.overlaps(from_parquet(spark, sf), KEY_IDS)
     for s, tables in _SCOPES.items():
-        inside = F.split("source", r"\.")[0].isin(tables) & F.split("target", r"\.")[0].isin(tables)
-        out.append(joins.target_counts(whole.where(inside)).select(F.lit(s).alias("scope"), "source", "n_targets", (F.col("n_targets") >= 3).alias("dropped")))
+        out.append(joins.target_counts(_found(spark, sf, tables)).select(F.lit(s).alias("scope"), "source", "n_targets", (F.col("n_targets") >= 3).alias("dropped")))
     return profile.union_all(out)
 
 
-@query(f"SELECT source, target, score FROM {_AFF} WHERE score >= 0.7")
+def _named(tables):
+    pairs = values([(f"{t}.{c}", f"{k}.{KEYS[k]}") for t in tables for c in COLUMNS[t] for k in KEYS if k in tables and k != t], ["source", "target"])
+    return f"(SELECT source, target, {_SCORE} AS score FROM {pairs})"
+
+
+@query(f"SELECT source, target, score FROM {_named(TABLES)} WHERE score >= 0.7")
 def join_candidates_by_name(spark, sf):
-    b = from_parquet(spark, sf)
-    every = [(f"{t}.{c}", k) for t, c in domains.integer_columns(b) for k in KEY_IDS if k.split(".")[0] != t]
-    return joins.affinity(spark.createDataFrame(every, "source string, target string")).where(F.col("score") >= joins.TAU)
+    st = arms.state(spark, sf, "stripped")
+    return spark.createDataFrame(joins.by_name(list(st.evidence), st.keys), "source string, target string, score double")
 
 
-@query(f"SELECT source, target, string_agg(origin, '|' ORDER BY origin) AS origins FROM (SELECT source, target, 'values' AS origin FROM ({overlap_sql(STAR)}) WHERE n_common > 0 UNION ALL SELECT source, target, 'name' FROM {values([a for a in AFFINITY if a[0].split('.')[0] in STAR and a[1].split('.')[0] in STAR], ['source', 'target', 'score'])} WHERE score >= 0.7) GROUP BY ALL")
+@query(f"SELECT source, target, string_agg(origin, '|' ORDER BY origin) AS origins FROM (SELECT source, target, 'values' AS origin FROM ({overlap_sql(STAR)}) WHERE n_common > 0 UNION ALL SELECT source, target, 'name' FROM {_named(STAR)} WHERE score >= 0.7) GROUP BY ALL")
 def join_candidates_union(spark, sf):
-    b = from_parquet(spark, sf, STAR)
-    ids = [k for k in KEY_IDS if k.split(".")[0] in STAR]
-    every = spark.createDataFrame([(f"{t}.{c}", k) for t, c in domains.integer_columns(b) for k in ids if k.split(".")[0] != t], "source string, target string")
-    by_name = joins.affinity(every).where(F.col("score") >= joins.TAU).select("source", "target", F.lit("name").alias("origin"))
-    by_value = joins.overlaps(b, ids).select("source", "target", F.lit("values").alias("origin"))
-    return by_name.union(by_value).groupBy("source", "target").agg(F.array_join(F.array_sort(F.collect_set("origin")), "|").alias("origins"))
+    st = arms.state(spark, sf, "stripped", STAR)
+    by_name = [(s, t, "name") for s, t, _ in joins.by_name(list(st.evidence), st.keys)]
+    both = spark.createDataFrame(by_name + [(o.source, o.target, "values") for o in st.overlap], "source string, target string, origin string")
+    return both.groupBy("source", "target").agg(F.array_join(F.array_sort(F.collect_set("origin")), "|").alias("origins"))
 
 
 def _mult(rows):
@@ -388,9 +395,7 @@ def _prefixed(t, c):
 
 @query(ledger_sql(STAR, ovl=overlap_sql(STAR, _prefixed)) + " SELECT source AS from_col, target AS to_col FROM l WHERE final = 'accepted'")
 def join_final_disjoint(spark, sf):
-    ids = [k for k in KEY_IDS if k.split(".")[0] in STAR]
-    d = domains.build(disjoint(from_parquet(spark, sf, STAR)), _STAR_INTS)
-    return joins.ledger(domains.pair_overlap(d, ids), ids, MEASURES).where("stage = 'accepted'").select(F.col("source").alias("from_col"), F.col("target").alias("to_col"))
+    return _ledger(spark, sf, STAR, arm="disjoint").where("stage = 'accepted'").select(F.col("source").alias("from_col"), F.col("target").alias("to_col"))
 
 
 @query(" UNION ALL ".join(f"SELECT '{a}.{b}->{c}.{d}' AS join_id, (SELECT count(*) FROM {a} WHERE {b} NOT IN (SELECT {d} FROM {c})) AS n_orphans, (SELECT count(*) FROM {c} WHERE {d} NOT IN (SELECT {b} FROM {a})) AS n_childless" for a, b, c, d in FOREIGN))
@@ -417,11 +422,17 @@ def join_parallel_trade_lane(spark, sf):
     return domains.pair_overlap(domains.build(two, cols), ["nation.n_nationkey"]).select(F.col("source").alias("from_col"), F.col("target").alias("to_col"), "n_common")
 
 
-@query("SELECT 'staff.parent_id' AS from_col, 'staff.staff_id' AS to_col, CAST(3 AS BIGINT) AS n_common")
+_STAFF = [("S1", None, "Ann"), ("S2", "S1", "Bo"), ("S3", "S1", "Cy"), ("S4", "S2", "Di"), ("S5", "S3", "Ed")]
+
+
+@query(f"WITH s AS {values(_STAFF, ['staff_id', 'parent_id', 'staff_name'])} SELECT 'staff.parent_id' AS from_col, 'staff.staff_id' AS to_col, (SELECT count(DISTINCT parent_id) FROM s WHERE parent_id IN (SELECT staff_id FROM s)) AS n_common")
 def join_self_reference(spark, sf):
-    staff = spark.createDataFrame([(1, None), (2, 1), (3, 1), (4, 2), (5, 3)], "staff_id long, parent_id long")
-    hit = staff.select("parent_id").dropna().distinct().join(staff.select(F.col("staff_id").alias("parent_id")), "parent_id", "left_semi")
-    return hit.agg(F.count("*").alias("n_common")).select(F.lit("staff.parent_id").alias("from_col"), F.lit("staff.staff_id").alias("to_col"), "n_common")
+    """A table that refers to itself: its columns meet its own key through a second name of the table."""
+    staff = spark.createDataFrame(_STAFF, "staff_id string, parent_id string, staff_name string")
+    two = SourceBundle({"staff": staff.select("staff_id", "staff_name"), "boss": staff.select("parent_id")})
+    st = builder.examine(two)
+    hit = [(o.source.replace("boss", "staff"), o.target, o.n_common) for o in st.overlap if o.source == "boss.parent_id"]
+    return spark.createDataFrame(hit, "from_col string, to_col string, n_common long")
 
 
 @query(f"SELECT source, target, n_common FROM ({_OVL})")
@@ -433,10 +444,7 @@ def abl_model_only_joins(spark, sf):
 @query()
 def abl_sampled_overlap_misses(spark, sf):
     d = domains.build(from_parquet(spark, sf, STAR), _STAR_INTS)
-    ids = [k for k in KEY_IDS if k.split(".")[0] in STAR]
+    ids = arms.state(spark, sf, "typed", STAR).keys
     full, part = domains.pair_overlap(d, ids), domains.sampled_overlap(d, ids)
     return full.select("source", "target", F.col("n_common").alias("full_common")).join(part.select("source", "target", F.col("n_common").alias("sampled_common")), ["source", "target"], "left").na.fill(0, ["sampled_common"])
 
-
-def id_names():
-    return [c for t in STAR for c in COLUMNS[t] if id_like(c, t)]

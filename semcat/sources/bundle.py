@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -57,6 +58,14 @@ def from_parquet(spark: SparkSession, path: str, names: list[str] | None = None,
     return SourceBundle(b.tables, PRIMARY, FOREIGN).scope(list(b.tables)) if declared else b
 
 
+def with_manifest(bundle: SourceBundle, path: str) -> SourceBundle:
+    """The bundle with the keys that a JSON manifest declares: primary (table to columns) and foreign (rows of table, column, table,
+    column). What names no table of the bundle is left out."""
+    text = "\n".join(r["value"] for r in next(iter(bundle.tables.values())).sparkSession.read.text(path, wholetext=True).collect())
+    m = json.loads(text)
+    return SourceBundle(bundle.tables, m.get("primary", {}), [tuple(f) for f in m.get("foreign", [])]).scope(list(bundle.tables))
+
+
 def from_files(spark: SparkSession, path: str, names: list[str], kind: str = "csv") -> SourceBundle:
     """Flat files without keys or dependable types: every column of a CSV is text."""
     if kind == "excel":

@@ -2,8 +2,10 @@
 
 import pytest
 
-from semcat.operators import claims, domains, joins, keys, profile, typing_rules
-from semcat.plans import ask, builder, graph, lexicon
+from pyspark.sql import functions as F
+
+from semcat.operators import claims, domains, evidence, joins, keys, profile, typing_rules
+from semcat.plans import ask, builder, graph, lexicon, model
 from semcat.plans.model import dump, load
 from semcat.sources import bundle as src
 
@@ -113,12 +115,141 @@ def test_flat_files_round_trip(spark, tmp_path):
 
 
 def test_relationship_coverage_follows_the_build(spark, monkeypatch):
-    from types import SimpleNamespace
-
+    """Coverage falls with the joins of the built catalog: nothing is compared with itself."""
+    from semcat.queries import arms
     from semcat.queries import catalog_queries as q
 
-    joins = [{"from_table": "orders", "from_col": "o_custkey", "to_table": "customer", "to_col": "c_custkey"}, {"from_table": "customer", "from_col": "c_nationkey", "to_table": "region", "to_col": "r_regionkey"}]
-    monkeypatch.setattr(q.builder, "build", lambda b: SimpleNamespace(joins=[j for j in joins if {j["from_table"], j["to_table"]} <= set(b.tables)]))
-    assert {r["scope"]: r["n_hit"] for r in q.cov_relationships(spark, SF).collect()} == {"W1": 0, "W2": 1, "W3": 1, "W6": 0}
-    b = src.from_parquet(spark, SF, src.SCOPES["W2"], declared=True)
-    assert q._proved_joins(b) == [("orders.o_custkey", "customer.c_custkey")]
+    def few(spark, sf, arm, tables=None):
+        st = arms_state(spark, sf, arm, tables)
+        st.declared = [j for j in st.declared if j[0] == "orders"] + [("customer", "c_nationkey", "region", "r_regionkey")]
+        return st
+
+    arms_state = arms.state
+    full = {(r["scope"], r["kind"]): r["n_hit"] for r in q.cov_reference(spark, SF).collect()}
+    monkeypatch.setattr(q.arms, "state", few)
+    less = {(r["scope"], r["kind"]): r["n_hit"] for r in q.cov_reference(spark, SF).collect()}
+    assert full["W2", "relationship"] == 4 and less["W2", "relationship"] == 1
+    assert less["W2", "aggregable"] < full["W2", "aggregable"] and less["W2", "attribute"] == full["W2", "attribute"]
+    assert {k: r["n_hit"] for r in q.cov_relationships(spark, SF).collect() for k in [r["scope"]]} == {"W1": 0, "W2": 1, "W3": 1, "W6": 0}
+
+
+@pytest.mark.parametrize("arm", ["stripped", "disjoint"])
+def test_build_without_metadata(spark, arm):
+    """Text alone gives storage, roles, identifiers, and the joins that the guards allow."""
+    typed = src.from_parquet(spark, SF, src.SCOPES["W2"])
+    c = builder.build({"stripped": src.stripped, "disjoint": src.disjoint}[arm](typed))
+    by = {(e.table, a.src_cols[0]): a for e in c.entities for a in e.attributes}
+    assert by["customer", "c_acctbal"].roles == ["Numeric", "Metric"] and by["customer", "c_acctbal"].isa == "float"
+    assert by["orders", "o_orderdate"].isa == "date" and by["orders", "o_orderdate"].roles == ["Datetime"]
+    assert by["orders", "o_custkey"].roles == ["Categorical"]
+    assert {e.table: e.id_columns for e in c.entities if e.table != "lineitem"} == {"region": ["r_regionkey"], "nation": ["n_nationkey"], "customer": ["c_custkey"], "orders": ["o_orderkey"]}
+    got = {(j["from_col"], j["to_col"]) for j in c.joins}
+    assert got == (set() if arm == "stripped" else {("n_regionkey", "r_regionkey"), ("c_nationkey", "n_nationkey"), ("o_custkey", "c_custkey"), ("l_orderkey", "o_orderkey")})
+    assert model.validate(dump(c)) == []
+
+
+def test_no_table_is_named_in_the_library():
+    """The builder knows no table of the tests: names occur only in sources (annotation) and queries."""
+    from pathlib import Path
+
+    root = Path(src.__file__).resolve().parent.parent
+    for f in [*(root / "plans").glob("*.py"), *(root / "operators").glob("*.py")]:
+        text = f.read_text()
+        for word in ("lineitem", "custkey", "nationkey", "conversations", "embedding", "acctbal", "mktsegment"):
+            assert word not in text, (f.name, word)
+
+
+def test_evidence_classes(spark):
+    rows = [("01234", "12", "20240131", "2024-01-31 10:30:00", "2024-01-31", "yes", "0", "1.5", '{"k": 1}', None, "09:15-11"), ("00501", "7", "20231105", "2024-02-01 00:00:00", "2024-02-01", "NO", "1", "-2", "[1]", None, "13:00-14:30")]
+    names = ["zip", "size", "start_date", "stamp", "day", "paid_up", "member", "price", "extra", "nothing", "hours"]
+    found = evidence.gather(src.SourceBundle({"t": spark.createDataFrame(rows, ", ".join(f"{n} string" for n in names))}))
+    got = {c: (e.isa, e.role) for (_, c), e in found.items()}
+    assert got == {"zip": ("string", "Categorical"), "size": ("integer", "Numeric"), "start_date": ("date", "Datetime"), "stamp": ("datetime", "Datetime"), "day": ("date", "Datetime"), "paid_up": ("boolean", "Categorical"), "member": ("boolean", "Categorical"), "price": ("float", "Numeric"), "extra": ("string", "Opaque"), "nothing": ("string", "Categorical"), "hours": ("string", "Categorical")}
+    assert not found["t", "hours"].supports("Numeric") and not found["t", "zip"].supports("Numeric") and found["t", "stamp"].supports("Datetime")
+    assert found["t", "price"].description == "e.g. -2, 1.5" and found["t", "nothing"].no_key
+    empty = evidence.gather(src.SourceBundle({"t": spark.createDataFrame([], "id long, name string")}))
+    assert {e.n_rows for e in empty.values()} == {0}
+
+
+def test_budget_that_ends_a_search_is_told(spark):
+    df = spark.createDataFrame([(1,) * 14, (1,) * 14], ", ".join(f"a{i}_id long" for i in range(14)))
+    assert keys.search(df, "t", {}) == (["a0_id"], "fallback, budget spent")
+    assert keys.search(df.select("a0_id"), "t", {}) == (["a0_id"], "fallback")
+    c = builder.build(src.SourceBundle({"t": df}))
+    assert c.warnings == ["t: fallback, budget spent"]
+
+
+def test_names_are_general():
+    assert lexicon.words("l_extendedprice") == ["extended", "price"] and lexicon.words("n_chars") == ["n", "chars"] and lexicon.words("homeTeamId") == ["home", "team", "id"]
+    assert lexicon.label("cont_date") == "Containment Date" and lexicon.label("c_acctbal") == "Account Balance"
+    assert not lexicon.id_like("valid") and not lexicon.id_like("candidate")
+    assert lexicon.name_affinity("home_team_id", "teams", "team_id") == 0.9 and lexicon.name_affinity("team_id", "teams", "id") == 0.8
+    assert lexicon.deduplicated([("name", "a", "x"), ("name", "b", "y"), ("key", "a", "k"), ("name", "b", "z")]) == ["a_name", "b_y", "key", "b_z"]
+    assert builder.reference("p", ["p_id", "first_name", "last_name"], ["p_id"]) == "{first_name} {last_name}"
+    assert builder.reference("p", ["a_id", "b_id"], ["a_id", "b_id"]) == "{a_id} {b_id}"
+
+
+def test_details_that_are_names_are_called_names(spark):
+    df = spark.createDataFrame([(1, "Customer#1"), (2, "Customer#2")], "id long, details string")
+    c = builder.build(src.SourceBundle({"buyers": df}))
+    assert [a.nicename for a in c.entities[0].attributes] == ["Id", "Customer Name"]
+
+
+def test_phrases_are_grounded(spark):
+    b = src.from_parquet(spark, SF, ["customer", "orders"])
+    p = builder.CallableProposer(lambda d, rows: builder.Proposal([("purchase", "orders"), ("buyer", "the customer")], [("the customer", "account balance", "Numeric"), ("orders", "ghost", "Numeric"), ("orders", "key", "Categorical")]))
+    c = builder.build(b, "who buys", p)
+    assert {e.table: e.name for e in c.entities} == {"customer": "customer", "orders": "order"}
+    assert c.warnings == ["orders.ghost: unknown column"]
+    q = next(q for q in c.questions if q["kind"] == "column")
+    assert q["choices"] == ["o_orderkey", "o_custkey"] and "o_custkey" in q["text"]
+
+
+def test_second_routes_are_kept(spark):
+    b = src.from_parquet(spark, SF, src.STAR, declared=True)
+    c = builder.build(b)
+    e = next(e for e in c.entities if e.table == "lineitem")
+    routes = {tuple(g.path) for g in e.aggregables if g.src_table == "nation"}
+    assert len(routes) == 2 and model.validate(dump(c)) == []
+
+
+def test_rounds_of_questions(spark):
+    st = builder.examine(src.stripped(src.from_parquet(spark, SF, ["region", "nation", "customer"])))
+    yes = lambda q: "yes" if q["id"] in ("join:customer.c_nationkey->nation.n_nationkey", "join:nation.n_regionkey->region.r_regionkey") else None
+    policy = joins.JoinPolicy(ambiguous="ask", min_targets=1)
+    c, asked = builder.converse(st, yes, policy)
+    assert len(asked) >= 2 and {(j["from_col"], j["to_col"]) for j in c.joins} == {("c_nationkey", "n_nationkey"), ("n_regionkey", "r_regionkey")}
+    quiet, rounds = builder.converse(st, lambda q: None, policy)
+    assert quiet.joins == [] and len(rounds) == 1 and quiet == builder.assemble(st, policy)
+
+
+def test_replay_files_and_manifest(spark, tmp_path):
+    f = tmp_path / "declared.json"
+    f.write_text('{"primary": {"region": ["r_regionkey"]}, "foreign": [["nation", "n_regionkey", "region", "r_regionkey"]]}')
+    b = src.with_manifest(src.from_parquet(spark, SF, ["region", "nation"]), str(f))
+    assert b.primary == {"region": ["r_regionkey"]} and b.foreign == [("nation", "n_regionkey", "region", "r_regionkey")]
+    assert builder.build(b).joins[0]["to_col"] == "r_regionkey"
+    profile.freeze(b, str(tmp_path / "frozen"))
+    assert spark.read.parquet(str(tmp_path / "frozen")).count() == 5
+
+
+def test_path_claims_match_whole_joins(spark):
+    b = src.from_parquet(spark, SF, src.STAR)
+    g = graph.JoinGraph([f for f in src.FOREIGN if f[0] in src.STAR])
+    for t, p in [("nation", x) for x in g.paths("nation", 3)][:12]:
+        r = claims.run_paths(b, [(t, p)]).first()
+        df = graph.along({k: v.select(*[F.col(c).alias(c) for c in v.columns]) for k, v in b.tables.items()}, t, p)
+        assert r["rows_joined"] == df.count() and r["rows_base"] == 25
+
+
+def test_value_claims_catch_a_wrong_storage(spark):
+    b = src.SourceBundle({"t": spark.createDataFrame([("1", "x"), ("2", None)], "a string, b string")})
+    got = {r["attribute"]: (r["n_values"], r["passed"]) for r in claims.run_values(b, [("t", "a", "a", "integer"), ("t", "b", "b", "integer"), ("t", "c", "b", "string")]).collect()}
+    assert got == {"a": (2, True), "b": (1, False), "c": (1, True)}
+
+
+def test_catalog_schema_finds_faults():
+    c = model.Catalog(entities=[model.Entity("a", "t", ["k"], "verified", "{k}", [model.Attribute("k", "t", ["k"], "number", ["Key"], "K"), model.Attribute("k", "t", ["k"], "string", ["Categorical"], "K")])] * 2, joins=[{"from_table": "t"}])
+    faults = " ".join(model.validate(dump(c)))
+    for x in ("unknown storage number", "unknown role Key", "k twice", "two entities of t", "joins[0].from_col"):
+        assert x in faults
