@@ -448,3 +448,34 @@ def abl_sampled_overlap_misses(spark, sf):
     full, part = domains.pair_overlap(d, ids), domains.sampled_overlap(d, ids)
     return full.select("source", "target", F.col("n_common").alias("full_common")).join(part.select("source", "target", F.col("n_common").alias("sampled_common")), ["source", "target"], "left").na.fill(0, ["sampled_common"])
 
+
+
+@query(_named(STAR)[1:-1])
+def fn_pandas_judge(spark, sf):
+    """The lexical judge as a vectorised function over all pairs of a column and another table's key."""
+    from semcat.functions.shipping import ship
+    from semcat.functions.user import judge_column
+
+    ship(spark)
+    st = arms.state(spark, sf, "stripped", STAR)
+    pairs = [(f"{t}.{c}", k) for t, c in st.evidence for k in st.keys if k.split(".")[0] != t]
+    return spark.createDataFrame(pairs, "source string, target string").withColumn("score", judge_column()("source", "target"))
+
+
+@query("SELECT c_mktsegment, max(c_acctbal) - min(c_acctbal) AS spread FROM customer GROUP BY 1")
+def fn_spread_aggregate(spark, sf):
+    from semcat.functions.shipping import ship
+    from semcat.functions.user import spread_aggregate
+
+    ship(spark)
+    return from_parquet(spark, sf, ["customer"])["customer"].groupBy("c_mktsegment").agg(spread_aggregate()("c_acctbal").alias("spread"))
+
+
+@query("SELECT * FROM (VALUES ('l_extendedprice', 0, 'extended'), ('l_extendedprice', 1, 'price'), ('n_chars', 0, 'n'), ('n_chars', 1, 'chars'), ('ts', 0, 'ts')) v(column_name, place, word)")
+def fn_name_words(spark, sf):
+    from semcat.functions.shipping import ship
+    from semcat.functions.user import words_function
+
+    ship(spark)
+    spark.udtf.register("name_words", words_function())
+    return spark.sql("SELECT c AS column_name, place, word FROM VALUES ('l_extendedprice'), ('n_chars'), ('ts') AS v(c), LATERAL name_words(c)")
