@@ -465,6 +465,25 @@ def test_pipeline_matches_its_rules(spark):
     assert set(pieces.columns) >= {"doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"} and pieces.count() > 0
 
 
+def test_pipeline_stages_take_odd_rows(spark, odd):
+    """Nulls, empty and long texts, repeated rows, null ids, extra and clashing columns, and empty tables, stage by stage."""
+    import corpus_pipeline as p
+
+    docs = odd.select("doc_id", "text", "lang", F.lit("s").alias("source"), F.lit(1).cast("long").alias("n_chars"), "id", "score", "label", "rank")
+    letters = [(i, t) for i, t in ODD if t and re.search(r"[^\W\d_]", t)]
+    key = lambda rows: sorted((str(i), t or "") for i, t in rows)
+    kept = p.language_id(spark, docs, SF)
+    assert kept.columns == p.COLUMNS and key((r["doc_id"], r["text"]) for r in kept.collect()) == key(letters)
+    clean = p.toxicity(spark, docs, SF)
+    assert clean.columns == p.COLUMNS and clean.count() <= len(ODD)
+    alone = [(r["doc_id"], r["text"]) for r in p.near_duplicates(spark, docs, SF).collect()]
+    assert key(alone) == key({(i, t) for i, t in ODD if i != 5})  # 5 repeats 4 but for its case; rows of one id become one
+    pieces = p.packing(spark, docs, SF).collect()
+    assert len({r["doc_id"] for r in pieces}) == len({i for i, _ in ODD})
+    for name, stage in p.STAGES:
+        assert stage(spark, docs.limit(0), SF).count() == 0, name
+
+
 def test_every_query_is_registered():
     names = queries.queries()
     assert sorted({int(re.match(r"op(\d+)_", n)[1]) for n in names}) == list(range(1, 11)) and len(names) == 10
