@@ -8,6 +8,10 @@ All but the last return the columns of ``documents``. Each stage decides about w
 * near_duplicates keeps, of each group linked by a Jaccard similarity of 0.8 on five-word shingles, the smallest doc_id;
   documents without words are unlinked and stay; rows that repeat a kept doc_id are reduced to one;
 * packing returns the pieces of all remaining documents with their sequences.
+
+Rows without doc_id go through every stage like others (they are in no group and pack under a null id); repeated rows stay
+repeated until near_duplicates makes one of them; columns beyond those of ``documents`` are dropped; empty tables give empty
+results at every stage.
 """
 
 from __future__ import annotations
