@@ -50,6 +50,32 @@ def pair_overlap(domain: DataFrame, targets: list[str]) -> DataFrame:
     return counted.where(other).withColumnRenamed("n", "n_common").join(sizes, "source").select("source", "target", "n_common", "n_source")
 
 
+#: Columns that one mask of a value's columns holds.
+MASK = 63
+
+
+def overlap_by_masks(bundle: SourceBundle, columns: list[tuple[str, str]], targets: list[str]) -> DataFrame:
+    """The rows of ``pair_overlap`` from one shuffle: a value goes through it with masks of the columns that hold it, which are combined
+    before, so copies stay in their task; values of equal masks are then counted at once, and pairs made of the few masks."""
+    names, words = [f"{t}.{c}" for t, c in columns], range((len(columns) + MASK - 1) // MASK)
+    by: dict[str, list[int]] = {}
+    for i, (t, _) in enumerate(columns):
+        by.setdefault(t, []).append(i)
+    parts = []
+    for t, at in by.items():
+        cells = F.explode(F.array(*[F.struct(F.col(columns[i][1]).cast("string").alias("value"), *[F.lit(1 << i % MASK if i // MASK == w else 0).cast("long").alias(f"m{w}") for w in words]) for i in at]))
+        parts.append(bundle[t].select(cells.alias("r")).select("r.*").where("value is not null"))
+    by_value = union_all(parts).groupBy("value").agg(*[F.bit_or(f"m{w}").alias(f"m{w}") for w in words])
+    masks = by_value.groupBy(*[f"m{w}" for w in words]).agg(F.count("*").alias("k"))
+    held = F.filter(F.array(*[F.when(F.col(f"m{i // MASK}").bitwiseAND(F.lit(1 << i % MASK).cast("long")) != 0, F.lit(n)) for i, n in enumerate(names)]), lambda c: c.isNotNull())
+    sides = masks.select(held.alias("cols"), "k").select(F.explode("cols").alias("source"), F.filter("cols", lambda c: c.isin(targets)).alias("keys"), "k")
+    pairs = sides.select("source", F.explode(F.array_append("keys", F.lit(None).cast("string"))).alias("target"), "k")
+    counted = pairs.groupBy("source", "target").agg(F.sum("k").alias("n"))
+    sizes = counted.where("target is null").select("source", F.col("n").alias("n_source"))
+    other = F.split("source", r"\.")[0] != F.split("target", r"\.")[0]
+    return counted.where(other).withColumnRenamed("n", "n_common").join(F.broadcast(sizes), "source").select("source", "target", "n_common", "n_source")  # a row a column
+
+
 def pair_overlap_naive(domain: DataFrame, pairs: list[tuple[str, str]]) -> DataFrame:
     """One semi join for each pair: the plain baseline."""
     out = []

@@ -143,7 +143,7 @@ def as_table(spark, decisions: list[tuple[Overlap, float, str]]) -> DataFrame:
 
 
 def overlaps(bundle: SourceBundle, keys: list[str], columns: list[tuple[str, str]] | None = None) -> DataFrame:
-    return domains.pair_overlap(domains.build(bundle, columns or domains.integer_columns(bundle)), keys)
+    return domains.overlap_by_masks(bundle, columns or domains.integer_columns(bundle), keys)
 
 
 def multiplicity(bundle: SourceBundle, joins: list[tuple[str, str, str, str]]) -> DataFrame:

@@ -27,7 +27,7 @@ def verify_many(df: DataFrame, candidates: list[list[str]]) -> DataFrame:
             whole = whole & F.col(c).isNotNull()
         a, b = F.xxhash64(*cols), F.xxhash64(F.lit(_SECOND), *cols)
         cells.append(F.struct(F.lit(i).alias("at"), F.when(whole, a).alias("a"), F.when(whole, b).alias("b")))
-    rows = df.select(F.explode(F.array(*cells)).alias("r")).select("r.*")
+    rows = df.select((F.explode(F.array(*cells)) if len(cells) > 1 else cells[0]).alias("r")).select("r.*")
     per = rows.groupBy("at", "a", "b").agg(F.count("*").alias("m"))
     out = per.groupBy("at").agg(F.sum("m").alias("n"), F.sum(F.when(F.col("a").isNotNull(), F.col("m")).otherwise(0)).alias("n_nonnull"), F.count("a").alias("n_distinct"))
     name = F.element_at(F.array(*[F.lit("|".join(c)) for c in candidates]), F.col("at") + 1)
@@ -101,18 +101,45 @@ def search_all(tables: dict[str, DataFrame], plans: dict[str, KeySearch], refute
 BATCH, COMPOSITES = 32, 256
 
 
+#: Rows that one share of a table should hold, and the most shares, when copies are looked for in one share before all rows are.
+SHARE_ROWS, SHARES = 100_000, 64
+
+
+def refuted_by_share(df: DataFrame, candidates: list[list[str]], p: KeySearch) -> set[str]:
+    """Candidates of which one share of the rows shows a copy. The share is drawn by the hash of a candidate's most varied column, so
+    equal keys fall into it together and a copy in it is one among all rows. It refutes and never confirms."""
+    shares = min(SHARES, p.rows // SHARE_ROWS)
+    if shares < 2 or not candidates:
+        return set()
+    lead = [max(c, key=lambda x: p.distinct.get(x, 0)) for c in candidates]
+    drawn = {c: F.pmod(F.xxhash64(F.col(c)), F.lit(shares)) == 0 for c in dict.fromkeys(lead)}
+    cells = []
+    for i, (cols, first) in enumerate(zip(candidates, lead, strict=True)):
+        live = reduce(lambda x, y: x & y, [F.col(c).isNotNull() for c in cols], drawn[first])
+        cells.append(F.when(live, F.struct(F.lit(i).alias("at"), F.xxhash64(*cols).alias("a"), F.xxhash64(F.lit(_SECOND), *cols).alias("b"))))
+    rows = df.where(reduce(lambda x, y: x | y, drawn.values())).select(F.explode(F.array(*cells)).alias("r")).where("r is not null").select("r.*")
+    copies = rows.groupBy("at", "a", "b").agg(F.count("*").alias("m")).where("m > 1").select("at").distinct()
+    return {"|".join(candidates[r["at"]]) for r in copies.collect()}
+
+
 def first_composite(df: DataFrame, pool: list[str], p: KeySearch, max_width: int = 4) -> tuple[list[str] | None, bool]:
     """(the first of the smallest verified composites or None, whether candidates were left untried). Narrow ones come first, in
-    jobs of BATCH candidates; those whose distinct counts multiply to clearly less than the rows cannot be keys."""
+    jobs of BATCH candidates; those whose distinct counts multiply to clearly less than the rows cannot be keys. Of a large table
+    one share of the rows refutes most, and only what it leaves is proved on all rows."""
     left = COMPOSITES
     for width in range(2, max_width + 1):
         enough = [c for c in composite_candidates(pool, list(p.dates), width) if not p.distinct or 1.5 * math.prod(max(1, p.distinct.get(x, p.rows)) for x in c) >= p.rows]
         todo, left = enough[:left], left - len(enough)
         for i in range(0, len(todo), BATCH):
-            good = {r["cols"] for r in verify_many(df, todo[i : i + BATCH]).where("is_unique").collect()}
-            for c in todo[i : i + BATCH]:
-                if "|".join(c) in good:
-                    return c, False
+            batch = todo[i : i + BATCH]
+            gone = refuted_by_share(df, batch, p)
+            rest, most = [c for c in batch if "|".join(c) not in gone], 1 if p.rows >= 2 * SHARE_ROWS else BATCH
+            while rest:  # few are left of a large table, and mostly the first is a key
+                part, rest, most = rest[:most], rest[most:], 2 * most
+                good = {r["cols"] for r in verify_many(df, part).where("is_unique").collect()}
+                for c in part:
+                    if "|".join(c) in good:
+                        return c, False
         if left <= 0:
             return None, left < 0 or width < max_width
     return None, False

@@ -253,3 +253,34 @@ def test_catalog_schema_finds_faults():
     faults = " ".join(model.validate(dump(c)))
     for x in ("unknown storage number", "unknown role Key", "k twice", "two entities of t", "joins[0].from_col"):
         assert x in faults
+
+
+def test_masks_count_as_pair_overlap_does(spark):
+    """Over 63 columns take more than one mask; the pairs and counts stay those of the pair by pair way."""
+    n = 40
+    tables = {t: spark.range(30).select(*[F.when(F.col("id") % (i + 2) != 1, F.col("id") * (i % 3 + 1)).alias(f"c{i}") for i in range(n)]) for t in ("a", "b")}
+    b = src.SourceBundle(tables)
+    columns = [(t, f"c{i}") for t in tables for i in range(n)]
+    targets = ["a.c0", "b.c1", "b.c39"]
+    want = domains.pair_overlap(domains.build(b, columns), targets)
+    got = domains.overlap_by_masks(b, columns, targets)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.select(got.columns).collect()))
+
+
+def test_one_share_refutes_copies_and_keeps_keys(spark):
+    """Of a large table, one share of the rows shows the copies of a composite; a key is left to the proof, and is found."""
+    df = spark.range(400_000).select((F.col("id") % 2000).alias("a"), (F.col("id") / 2000).cast("long").alias("b"), (F.col("id") % 1900).alias("c"))
+    p = keys.KeySearch({}, ("a", "b", "c"), rows=400_000, distinct={"a": 2000, "b": 200, "c": 1900})
+    assert keys.refuted_by_share(df, [["b", "c"], ["a", "b"]], p) == {"b|c"}
+    assert keys.first_composite(df, ["b", "c", "a"], p) == (["b", "a"], False)
+
+
+def test_evidence_merges_tasks_and_batches(spark):
+    """Partial evidence of several tasks merges to that of the whole column; NaN is the greatest and a zero has no sign."""
+    df = spark.range(0, 5000, 1, 7).select(F.col("id"), F.concat(F.lit("v"), F.col("id") % 10).alias("v"), F.when(F.col("id") % 5 != 0, F.when(F.col("id") == 1, F.lit(float("nan"))).otherwise(F.lit(-0.0))).alias("x"), (F.col("id") % 2).cast("int").alias("f"), F.array("id").alias("l"))
+    got = evidence.gather(src.SourceBundle({"t": df}))
+    i, v, x, f, l = (got["t", c] for c in ("id", "v", "x", "f", "l"))
+    assert (i.n, i.least, i.greatest) == (5000, "0", "4999") and abs(i.about_distinct - 5000) < 300 and not i.no_key
+    assert (v.about_distinct, v.least, v.greatest, v.mean_length) == (10, "v0", "v9", 2.0)
+    assert (x.n_rows, x.n, x.least, x.greatest) == (5000, 4000, "0.0", "nan")
+    assert f.truth == ("0", "1") and f.classes["truth"] == 5000 and l.family == "opaque" and abs(l.about_distinct - 5000) < 300
