@@ -8,7 +8,7 @@ from pathlib import Path
 
 from pyspark.sql import functions as F
 
-from semcat.operators import claims, keys, profile, typing_rules
+from semcat.operators import claims, evidence, keys, profile, typing_rules
 from semcat.plans import builder, graph, lexicon
 from semcat.plans.model import Aggregable, Entity, dump, load
 from semcat.queries import arms
@@ -803,7 +803,10 @@ def abl_scope_curve(spark, sf):
 
 @query(each(STAR, lambda t, c: f"SELECT '{t}' AS table_name, '{c}' AS column_name, '{'Numeric' if _ISA[c] in ('integer', 'float') else 'Datetime' if _ISA[c] == 'datetime' else 'Categorical'}' AS role"))
 def abl_symbolic_only_roles(spark, sf):
-    return rows(spark, [(t, c, typing_rules.symbolic_role(k)) for t, c, k in profile.inventory(from_parquet(spark, sf, STAR))], "table_name string, column_name string, role string")
+    """Roles by storage alone, which is what all values of a column are; no name has a say."""
+    kind = {"integer": "int", "float": "double", "date": "date", "datetime": "timestamp"}
+    found = evidence.gather(from_parquet(spark, sf, STAR))
+    return rows(spark, [(t, c, typing_rules.symbolic_role(kind.get(e.isa, "string"))) for (t, c), e in found.items()], "table_name string, column_name string, role string")
 
 
 _STABLE = ("W1", "W2", "W3", "W6")
