@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from semcat.operators import evidence
 from semcat.plans import ask
 from semcat.plans.ask import NotLicensed, Question
 from semcat.plans.graph import JoinGraph
@@ -18,6 +19,11 @@ def _ask(spark, sf, q, value, tables=STAR):
     return ask.plan(q, from_parquet(spark, sf, tables).tables, _ROLES, GRAPH, value)
 
 
+def _found_roles(bundle):
+    """Roles by column name, from the evidence of all values."""
+    return {c: r for by in evidence.roles(evidence.gather(bundle)).values() for c, r in by.items()}
+
+
 _O = "orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
 
 
@@ -99,7 +105,8 @@ def ask_lane_buyer_seller(spark, sf):
 
 @query(f"SELECT entity, sum(CASE role WHEN 'Numeric' THEN 4 ELSE 1 END)::BIGINT AS n_questions FROM (SELECT table_name AS entity, role FROM {values(_ROLE_ROWS, ['table_name', 'column_name', 'role'])}) GROUP BY entity")
 def ask_enumerate_counts(spark, sf):
-    got = ask.enumerate_questions({t: COLUMNS[t] for t in STAR}, _ROLES)
+    b = from_parquet(spark, sf, STAR)
+    got = ask.enumerate_questions({t: b[t].columns for t in STAR}, _found_roles(b))
     return rows(spark, got, "entity string, question string").groupBy("entity").agg(F.count("*").alias("n_questions"))
 
 
