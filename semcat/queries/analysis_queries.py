@@ -119,10 +119,12 @@ def ask_context_rollup(spark, sf):
 
 @query("SELECT * FROM (VALUES ('avg(c_nationkey)', true), ('sum(o_totalprice)', false), ('sum(o_orderdate)', true)) v(question, refused)")
 def ask_refused_operations(spark, sf):
-    out = []
+    """The roles are those that the values of both tables give; a question that is not refused is answered."""
+    b, out = from_parquet(spark, sf, ["customer", "orders"]), []
+    found = _found_roles(b)
     for t, op, c in (("customer", "avg", "c_nationkey"), ("orders", "sum", "o_totalprice"), ("orders", "sum", "o_orderdate")):
         try:
-            _ask(spark, sf, Question(t, op, c), "v")
+            ask.plan(Question(t, op, c), b.tables, found, GRAPH, "v").collect()
             out.append((f"{op}({c})", False))
         except NotLicensed:
             out.append((f"{op}({c})", True))
