@@ -34,6 +34,25 @@ def run_attributes(bundle: SourceBundle, attributes: list[tuple[str, str, str]])
     return [(t, a, t in bundle.tables and c in bundle[t].columns) for t, a, c in attributes]
 
 
+def run_retrieval(bundle: SourceBundle, attributes: list[tuple[str, str, str]]) -> DataFrame:
+    """(entity, attribute, n_values, passed) of attributes (entity, name, column): the declared table and column resolve, and the column
+    is read over all rows; one scan a table. A column without values still resolves."""
+    out, by = [], {}
+    schema = "entity string, attribute string, n_values long, passed boolean"
+    for t, a, ok in run_attributes(bundle, attributes):
+        by.setdefault(t, {})[a] = ok
+    cols = {(t, a): c for t, a, c in attributes}
+    for t, resolved in by.items():
+        good = [a for a, ok in resolved.items() if ok]
+        if good:
+            one = bundle[t].agg(*[F.count(F.col(f"`{cols[t, a]}`")).alias(f"n{i}") for i, a in enumerate(good)])
+            cells = [F.struct(F.lit(a).alias("attribute"), F.col(f"n{i}").alias("n_values"), F.col(f"n{i}").isNotNull().alias("passed")) for i, a in enumerate(good)]
+            out.append(one.select(F.lit(t).alias("entity"), F.explode(F.array(*cells)).alias("r")).select("entity", "r.*"))
+    lost = [(t, a, 0, False) for t, resolved in by.items() for a, ok in resolved.items() if not ok]
+    spark = next(iter(bundle.tables.values())).sparkSession
+    return union_all(out + ([spark.createDataFrame(lost, schema)] if lost or not out else []))
+
+
 def run_values(bundle: SourceBundle, attributes: list[tuple[str, str, str, str]]) -> DataFrame:
     """(entity, attribute, n_values, passed) of attributes (entity, name, column, storage): the column is retrieved, holds a value, and
     every value obeys the claimed storage; one scan a table."""

@@ -369,7 +369,7 @@ def claim_id_uniqueness(spark, sf):
 
 @query("SELECT tab AS entity, col AS attr, true AS passed FROM " + values([(t, c) for t in TABLES for c in COLUMNS[t]], ["tab", "col"]))
 def claim_attribute_mapping(spark, sf):
-    return rows(spark, claims.run_attributes(from_parquet(spark, sf), [(t, c, c) for t in TABLES for c in COLUMNS[t]]), "entity string, attr string, passed boolean")
+    return claims.run_retrieval(from_parquet(spark, sf), [(t, c, c) for t in TABLES for c in COLUMNS[t]]).select("entity", F.col("attribute").alias("attr"), "passed")
 
 
 _P2 = [p for t in ("customer", "orders", "nation") for p in [(t, x) for x in GRAPH.paths(t, 2)] if p[1][-1].far in ("nation", "region", "customer", "orders", "supplier") and "lineitem" not in {s.far for s in p[1]}]
