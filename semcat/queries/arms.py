@@ -23,6 +23,11 @@ def twin(spark: SparkSession, sf: str, arm: str) -> SourceBundle:
     return {"typed": lambda x: x, "stripped": stripped, "disjoint": disjoint}[arm](b)
 
 
+def fresh(spark: SparkSession, sf: str, arm: str, tables: list[str]) -> State:
+    """A scope of an arm, examined anew and without the tables outside it, whatever the session has kept."""
+    return examine(twin(spark, sf, arm).scope(tables))
+
+
 def state(spark: SparkSession, sf: str, arm: str, tables: list[str] | None = None) -> State:
     """What ``examine`` finds in an arm, cut to a scope. A folder is taken for a pinned snapshot: its evidence, which is a few rows
     a column, is kept for the session, and every scope and policy is decided on it without another scan."""

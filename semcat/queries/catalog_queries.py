@@ -323,7 +323,7 @@ _LENT = [(e, c) for e in STAR[:-1] for c in COLUMNS["lineitem"]]
 @query(f"SELECT entity, src_col, 'one_to_many' AS direction FROM {values(_LENT, ['entity', 'src_col'])}")
 def clarify_link_lends_columns(spark, sf):
     """With lineitem answered to be a junction, its columns surface at the ends within three hops of it."""
-    c = builder.assemble(arms.state(spark, sf, "meta", STAR), answers={"table:lineitem": "link"})
+    c = builder.assemble(arms.fresh(spark, sf, "meta", STAR), answers={"table:lineitem": "link"})
     assert c.links == ["lineitem"]
     got = {(e.table, g.src_cols[0], g.direction) for e in c.entities for g in e.aggregables if g.src_table == "lineitem"}
     return rows(spark, sorted(got), "entity string, src_col string, direction string")
