@@ -299,7 +299,7 @@ _ASKED = [("table:nation", "table role", "entity"), ("table:region", "table role
 
 @query(f"SELECT * FROM {values(_ASKED, ['qid', 'kind', 'default_answer'])}")
 def clarify_questions(spark, sf):
-    c = builder.assemble(arms.state(spark, sf, "meta", SCOPES["W2"]))
+    c = builder.assemble(arms.fresh(spark, sf, "meta", SCOPES["W2"]))
     return rows(spark, [(q["id"], q["kind"], q["answer"]) for q in c.questions], "qid string, kind string, default_answer string")
 
 
