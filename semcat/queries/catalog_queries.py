@@ -332,7 +332,7 @@ def clarify_link_lends_columns(spark, sf):
 @query("SELECT * FROM (VALUES ('l_linenumber','Numeric|Metric','user'),('l_orderkey','Categorical','none')) v(column_name, roles, answered_by)")
 def clarify_type_answer(spark, sf):
     """An answer about a type re-enters the checks: a line number may be called an amount, a key may not."""
-    c = builder.assemble(arms.state(spark, sf, "meta", SCOPES["W2"]), answers={"type:lineitem.l_linenumber": "Numeric", "type:lineitem.l_orderkey": "Numeric"})
+    c = builder.assemble(arms.fresh(spark, sf, "meta", SCOPES["W2"]), answers={"type:lineitem.l_linenumber": "Numeric", "type:lineitem.l_orderkey": "Numeric"})
     e = next(e for e in c.entities if e.table == "lineitem")
     by = {q["id"].split(".")[-1]: q["answered_by"] for q in c.questions}
     return rows(spark, [(a.src_cols[0], "|".join(a.roles), by.get(a.src_cols[0], "none")) for a in e.attributes if a.src_cols[0] in ("l_linenumber", "l_orderkey")], "column_name string, roles string, answered_by string")
