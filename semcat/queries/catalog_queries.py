@@ -543,7 +543,10 @@ def cov_derived_views(spark, sf):
 
 @query("SELECT * FROM (VALUES ('nation.n_regionkey','region.r_regionkey','closure'),('customer.c_nationkey','supplier.s_nationkey','closure'),('orders.o_custkey','part.p_partkey','none')) v(col_a, col_b, matched_by)")
 def cov_closure_equivalence(spark, sf):
-    same = rows(spark, GRAPH.equivalence(), "col_a string, col_b string").withColumn("m", F.lit("closure"))
+    """The closure over the joins of the star's catalog that all source values bear out."""
+    kept = [i.split("->") for k, i in _covered(arms.fresh(spark, sf, "meta", STAR)) if k == "relationship"]
+    joins = graph.JoinGraph([(*a.split(".", 1), *b.split(".", 1)) for a, b in sorted(kept)])
+    same = rows(spark, joins.equivalence(), "col_a string, col_b string").withColumn("m", F.lit("closure"))
     ask = rows(spark, [("nation.n_regionkey", "region.r_regionkey"), ("customer.c_nationkey", "supplier.s_nationkey"), ("orders.o_custkey", "part.p_partkey")], "col_a string, col_b string")
     return ask.join(same, ["col_a", "col_b"], "left").select("col_a", "col_b", F.coalesce("m", F.lit("none")).alias("matched_by"))
 
