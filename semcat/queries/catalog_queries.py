@@ -516,10 +516,12 @@ def _expected(tables):
     return out + [("aggregable", f"{e}<-{t}.{c}") for e in tables for _, t, c, *_ in g.reach(e, COLUMNS)]
 
 
-def _coverage(spark, sf, arm, scopes):
+def _coverage(spark, sf, arm, scopes, whole=None):
+    """``whole``: all tables of the arm as examined for this query alone; else what the session has kept."""
     kind = "scope string, kind string, item string"
+    at = whole.restrict if whole else lambda tables: arms.state(spark, sf, arm, tables)
     ref = rows(spark, [(s, *x) for s in scopes for x in _expected(REFERENCE["scopes"][s])], kind)
-    got = rows(spark, [(s, *x) for s in scopes for x in _covered(arms.state(spark, sf, arm, REFERENCE["scopes"][s]))], kind)
+    got = rows(spark, [(s, *x) for s in scopes for x in _covered(at(REFERENCE["scopes"][s]))], kind)
     return claims.coverage(ref, got, ["scope", "kind", "item"], ["scope", "kind"])
 
 
@@ -531,7 +533,7 @@ def cov_reference(spark, sf):
 
 @query(f"SELECT scope, n_hit, n_ref FROM ({_coverage_sql()}) WHERE n_ref > 0 AND kind = 'relationship'")
 def cov_relationships(spark, sf):
-    return _coverage(spark, sf, "meta", _COVERED).where("kind = 'relationship'").drop("kind")
+    return _coverage(spark, sf, "meta", _COVERED, arms.fresh(spark, sf, "meta", TABLES)).where("kind = 'relationship'").drop("kind")
 
 
 @query("SELECT * FROM (VALUES ('nation_month_sales','month|n_nationkey','verified'),('trade_lane','lane_id','verified'),('nation','n_nationkey','verified')) v(table_name, id_cols, status)")

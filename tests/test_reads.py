@@ -16,7 +16,7 @@ def read_bytes(spark):
     return {stages.apply(i).stageId(): stages.apply(i).inputBytes() for i in range(stages.size())}
 
 
-@pytest.mark.parametrize("name", ["abl_symbolic_only_roles", "ask_enumerate_counts", "ask_refused_operations", "claim_attribute_mapping", "clarify_link_lends_columns", "clarify_questions", "clarify_type_answer", "cov_closure_equivalence"])
+@pytest.mark.parametrize("name", ["abl_symbolic_only_roles", "ask_enumerate_counts", "ask_refused_operations", "claim_attribute_mapping", "clarify_link_lends_columns", "clarify_questions", "clarify_type_answer", "cov_closure_equivalence", "cov_relationships"])
 def test_reads_its_tables(name, spark):
     for _ in range(2):
         before = set(read_bytes(spark))
