@@ -9,6 +9,7 @@ so that varied forms of a word share a feature, and by a few proportions.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -79,9 +80,28 @@ def _sample(documents: DataFrame, ids: DataFrame, id_col: str, text_col: str, pr
         return pa.RecordBatch.from_arrays([pa.array(hs, pa.list_(pa.int64())), pa.array(ds, pa.list_(pa.float64()))], ["h", "d"])
 
     got = map_batches(picked, describe, "h array<long>, d array<double>").toArrow()
-    flat = got.column("h").combine_chunks() if got.num_rows else pa.array([], pa.list_(pa.int64()))
-    rows = sorted(((x.values.to_numpy().view(np.uint64), tuple(d)) for x, d in zip(flat, got.column("d").to_pylist(), strict=True)), key=lambda r: (r[1], r[0].tobytes()))
-    return [(h, np.array(d)) for h, d in rows]
+    # views of the chunks as they came: no second copy of the hashes on the driver, and a short digest in the sort
+    hashes = [x.values.to_numpy().view(np.uint64) for chunk in got.column("h").chunks for x in chunk]
+    dense = np.array(got.column("d").to_pylist(), float).reshape(len(hashes), DENSE)
+    order = sorted(range(len(hashes)), key=lambda i: (tuple(dense[i]), blake2b(hashes[i], digest_size=16).digest()))
+    return [(hashes[i], dense[i]) for i in order]
+
+
+def _counts(rows: list[tuple[np.ndarray, np.ndarray]], most: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct hashes, and how many rows hold each; hashes are joined and merged in runs of about ``most``."""
+    values, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    i = 0
+    while i < len(rows):
+        j, size = i, 0
+        while j < len(rows) and size < most:
+            size, j = size + len(rows[j][0]), j + 1
+        v, c = np.unique(np.concatenate([h for h, _ in rows[i:j]]), return_counts=True)
+        both = np.union1d(values, v)
+        total = np.zeros(len(both), np.int64)
+        total[np.searchsorted(both, values)] = counts
+        total[np.searchsorted(both, v)] += c
+        values, counts, i = both, total, j
+    return values, counts
 
 
 def non_negative_fit(x_pos, x_unl, width: int, dense_pos, dense_unl, prior: float, epochs: int = 1500, rate: float = 0.05, decay: float = 0.015, slack: float = 0.0):
@@ -133,7 +153,7 @@ def fit(documents: DataFrame, labels: DataFrame, label: str, learn, id_col: str
     flat[-1] = np.log(prior / (1 - prior))
     if not pos or not unl:
         return PuModel(np.zeros(0, np.uint64), np.zeros(0), flat, prior, prefix)
-    (hp, cp), (hu, cu) = (np.unique(np.concatenate([h for h, _ in x]), return_counts=True) for x in (pos, unl))
+    (hp, cp), (hu, cu) = _counts(pos), _counts(unl)
     both = np.union1d(hp, hu)
     fp, fu = np.zeros(len(both)), np.zeros(len(both))
     fp[np.searchsorted(both, hp)] = cp
@@ -150,11 +170,17 @@ def fit(documents: DataFrame, labels: DataFrame, label: str, learn, id_col: str
         for i, (h, _) in enumerate(rows):
             at = np.searchsorted(hashes, h)
             hit = at[(at < len(hashes)) & (hashes[np.minimum(at, len(hashes) - 1)] == h)] if len(hashes) else np.zeros(0, np.int64)
-            r.append(np.full(len(hit), i))
-            c.append(hit)
+            r.append(np.full(len(hit), i, np.int32))
+            c.append(hit.astype(np.int32))
         return np.concatenate(r), np.concatenate(c)
 
-    w, d = non_negative_fit(indexed(pos), indexed(unl), len(hashes), np.stack([x for _, x in pos]), np.stack([x for _, x in unl]), prior)
+    del both, fp, fu, rp, ru, pooled, z, hp, cp, hu, cu
+    dense_pos, dense_unl = (np.stack([x for _, x in rows]) for rows in (pos, unl))
+    x_pos, x_unl = indexed(pos), indexed(unl)
+    pos.clear()  # the raw hashes are not held while the weights are learned
+    unl.clear()
+    pa.default_memory_pool().release_unused()
+    w, d = non_negative_fit(x_pos, x_unl, len(hashes), dense_pos, dense_unl, prior)
     return PuModel(hashes, w, d, prior, prefix)
 
 

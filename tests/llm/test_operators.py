@@ -487,3 +487,16 @@ def test_pipeline_stages_take_odd_rows(spark, odd):
 def test_every_query_is_registered():
     names = queries.queries()
     assert sorted({int(re.match(r"op(\d+)_", n)[1]) for n in names}) == list(range(1, 11)) and len(names) == 10
+
+
+def test_hashes_are_counted_in_runs():
+    """Counts merged over runs of rows are those of all rows at once, also for rows without tokens."""
+    from semcat.llm.pu_learning import _counts
+
+    rng = np.random.default_rng(5)
+    rows = [(np.unique(rng.integers(0, 400, n)).astype(np.uint64), np.zeros(6)) for n in rng.integers(0, 60, 200)]
+    want = np.unique(np.concatenate([h for h, _ in rows]), return_counts=True)
+    for most in (1, 100, 1 << 20):
+        got = _counts(rows, most)
+        assert all(np.array_equal(a, b) for a, b in zip(got, want, strict=True))
+    assert [len(x) for x in _counts([])] == [0, 0]
