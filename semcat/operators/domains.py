@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from semcat.operators import hashed
 from semcat.operators.evidence import ColumnEvidence
 from semcat.operators.profile import union_all
 from semcat.sources.bundle import SourceBundle
@@ -55,18 +59,33 @@ MASK = 63
 
 
 def overlap_by_masks(bundle: SourceBundle, columns: list[tuple[str, str]], targets: list[str]) -> DataFrame:
-    """The rows of ``pair_overlap`` from one shuffle: a value goes through it with masks of the columns that hold it, which are combined
-    before, so copies stay in their task; values of equal masks are then counted at once, and pairs made of the few masks."""
+    """The rows of ``pair_overlap`` from one shuffle: a value goes through it as two hashes of its text, packed by column and bucket after
+    the copies of a batch are combined; a bucket then counts its values by masks of the columns that hold them, and pairs are
+    made of the few masks."""
     names, words = [f"{t}.{c}" for t, c in columns], range((len(columns) + MASK - 1) // MASK)
-    by: dict[str, list[int]] = {}
-    for i, (t, _) in enumerate(columns):
-        by.setdefault(t, []).append(i)
-    parts = []
-    for t, at in by.items():
-        cells = F.explode(F.array(*[F.struct(F.col(columns[i][1]).cast("string").alias("value"), *[F.lit(1 << i % MASK if i // MASK == w else 0).cast("long").alias(f"m{w}") for w in words]) for i in at]))
-        parts.append(bundle[t].select(cells.alias("r")).select("r.*").where("value is not null"))
-    by_value = union_all(parts).groupBy("value").agg(*[F.bit_or(f"m{w}").alias(f"m{w}") for w in words])
-    masks = by_value.groupBy(*[f"m{w}" for w in words]).agg(F.count("*").alias("k"))
+    by: dict[str, dict[int, list[str]]] = {}
+    for i, (t, c) in enumerate(columns):
+        by.setdefault(t, {})[i] = [c]
+    frames = {t: bundle[t].select(*[c for (c,) in at.values()]) for t, at in by.items()}
+    bits = hashed.bits_for(frames.values())
+    schema = ", ".join([*[f"m{w} long" for w in words], "k long"])
+
+    def count(part: pa.Table) -> pa.Table:
+        sides = [(i, *hashed.unpack(part.filter(pc.equal(part.column("at"), i)).column("d"))) for i in pc.unique(part.column("at")).to_pylist()]
+        a, b = (np.concatenate([x[k] for x in sides]) for k in (1, 2))
+        column = np.concatenate([np.full(len(x), i) for i, x, _ in sides])
+        if not len(a):
+            return pa.table({**{f"m{w}": pa.array([], pa.int64()) for w in words}, "k": pa.array([], pa.int64())})
+        order = np.lexsort((b, a))
+        a, b, column = a[order], b[order], column[order]
+        first = np.concatenate([[0], np.flatnonzero((a[1:] != a[:-1]) | (b[1:] != b[:-1])) + 1])
+        bit = np.int64(1) << (column % MASK).astype(np.int64)
+        masks = np.stack([np.bitwise_or.reduceat(np.where(column // MASK == w, bit, 0), first) for w in words])
+        found, k = np.unique(masks, axis=1, return_counts=True)
+        return pa.table({**{f"m{w}": pa.array(found[w], pa.int64()) for w in words}, "k": pa.array(k, pa.int64())})
+
+    packed = union_all([hashed.pack(frames[t], at, bits, text=True) for t, at in by.items()])
+    masks = packed.groupBy("bucket").applyInArrow(count, schema).groupBy(*[f"m{w}" for w in words]).agg(F.sum("k").alias("k"))
     held = F.filter(F.array(*[F.when(F.col(f"m{i // MASK}").bitwiseAND(F.lit(1 << i % MASK).cast("long")) != 0, F.lit(n)) for i, n in enumerate(names)]), lambda c: c.isNotNull())
     sides = masks.select(held.alias("cols"), "k").select(F.explode("cols").alias("source"), F.filter("cols", lambda c: c.isin(targets)).alias("keys"), "k")
     pairs = sides.select("source", F.explode(F.array_append("keys", F.lit(None).cast("string"))).alias("target"), "k")

@@ -303,10 +303,25 @@ def _partial(df: DataFrame, t: str) -> DataFrame:
     return df.selectExpr(*cells).mapInArrow(run, _PART)
 
 
-def gather(bundle: SourceBundle) -> dict[tuple[str, str], ColumnEvidence]:
+def shared(bundle: SourceBundle, known: list[tuple[SourceBundle, dict[tuple[str, str], ColumnEvidence]]]) -> dict[tuple[str, str], ColumnEvidence]:
+    """The columns that a bundle examined before reads in the same way from the same files, with what was found there."""
+    read = lambda df, c: df.select(f"`{c}`")._jdf.queryExecution().optimizedPlan()
+    out = {}
+    for before, found in known:
+        for t in (t for t in bundle.tables if t in before.tables):
+            for c in bundle[t].columns:
+                if (t, c) not in out and c in before[t].columns and read(bundle[t], c).sameResult(read(before[t], c)):
+                    out[t, c] = found[t, c]
+    return out
+
+
+def gather(bundle: SourceBundle, known: list[tuple[SourceBundle, dict[tuple[str, str], ColumnEvidence]]] | None = None) -> dict[tuple[str, str], ColumnEvidence]:
     """The evidence of all columns of a bundle, in Arrow batches: a value that many rows of a batch share is looked at once. A task sends
-    one row a column, these are merged by column, and one row a column reaches the driver."""
-    tables = {t: df for t, df in bundle.tables.items() if df.columns}
+    one row a column, these are merged by column, and one row a column reaches the driver. Columns that a bundle in ``known`` reads in
+    the same way are taken from there."""
+    have = shared(bundle, known or [])
+    tables = {t: df.select(*[f"`{c}`" for c in df.columns if (t, c) not in have]) for t, df in bundle.tables.items()}
+    tables = {t: df for t, df in tables.items() if df.columns}
     kinds = {(t, f.name): f.dataType.simpleString() for t, df in tables.items() for f in df.schema.fields}
 
     def merge(part: pa.Table) -> pa.Table:
@@ -327,7 +342,7 @@ def gather(bundle: SourceBundle) -> dict[tuple[str, str], ColumnEvidence]:
             least, greatest = (None if r[x] is None else str(r[x]) for x in ends)
             out[r["t"], r["c"]] = ColumnEvidence(r["t"], r["c"], kind, r["rows"], r["n"], r["length"] / max(1, r["n"]), least, greatest, _estimate(np.frombuffer(r["d"], np.uint8)), tuple(r["truth"]), dict(zip(CLASSES, r["k"], strict=True)) | {"truth": r["u"]})
     none = lambda t, c: ColumnEvidence(t, c, bundle[t].schema[c].dataType.simpleString(), 0, 0, 0.0, None, None)
-    return {(t, c): out.get((t, c)) or none(t, c) for t, df in bundle.tables.items() for c in df.columns}
+    return {(t, c): have.get((t, c)) or out.get((t, c)) or none(t, c) for t, df in bundle.tables.items() for c in df.columns}
 
 
 def roles(evidence: dict[tuple[str, str], ColumnEvidence]) -> dict[str, dict[str, str]]:

@@ -7,31 +7,43 @@ from dataclasses import dataclass, field
 from functools import reduce
 from itertools import combinations
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from semcat.operators import hashed
+from semcat.operators.profile import union_all
 from semcat.plans.lexicon import id_like, own_key
 from semcat.sources.bundle import SourceBundle
 
 
-def verify_many(df: DataFrame, candidates: list[list[str]]) -> DataFrame:
-    """(cols, n, n_nonnull, n_distinct, is_unique) for many candidate column sets of a table in one scan and one shuffle.
+def verify_tables(jobs: list[tuple[str, DataFrame, list[list[str]]]]) -> DataFrame:
+    """(table, cols, n, n_nonnull, n_distinct, is_unique) for candidate column sets of several tables in one scan of each and one shuffle.
     A key goes through the shuffle as two 64-bit hashes of its typed columns, whatever its width; copies are combined before. Two
     different keys agree in both with a chance of 2**-128, so a table of 10**13 rows counts one too few with a chance of 10**-13."""
+    jobs = [j for j in jobs if j[2]]
+    names = [(t, "|".join(c)) for t, _, cols in jobs for c in cols]
+    bits, packed, at = hashed.bits_for(df for _, df, _ in jobs), [], 0
+    for _, df, cols in jobs:
+        packed.append(hashed.pack(df, dict(enumerate(cols, at)), bits))
+        at += len(cols)
+
+    def count(part: pa.Table) -> pa.Table:
+        seen = {x: pc.sum(part.column(x)).as_py() for x in ("n", "n_nonnull")}
+        return pa.table({"at": part.column("at")[:1], **{x: pa.array([v], pa.int64()) for x, v in seen.items()}, "n_distinct": pa.array([len(hashed.unpack(part.column("d"))[0])], pa.int64())})
+
+    per = union_all(packed).groupBy("at", "bucket").applyInArrow(count, "at int, n long, n_nonnull long, n_distinct long")
+    out = per.groupBy("at").agg(F.sum("n").alias("n"), F.sum("n_nonnull").alias("n_nonnull"), F.sum("n_distinct").alias("n_distinct"))
+    name = lambda k: F.element_at(F.array(*[F.lit(x[k]) for x in names]), F.col("at") + 1)
+    return out.select(name(0).alias("table"), name(1).alias("cols"), "n", "n_nonnull", "n_distinct").withColumn("is_unique", (F.col("n") == F.col("n_nonnull")) & (F.col("n") == F.col("n_distinct")) & (F.col("n") > 0))
+
+
+def verify_many(df: DataFrame, candidates: list[list[str]]) -> DataFrame:
+    """(cols, n, n_nonnull, n_distinct, is_unique): the same for one table."""
     if not candidates:
         return df.sparkSession.createDataFrame([], "cols string, n long, n_nonnull long, n_distinct long, is_unique boolean")
-    cells = []
-    for i, cols in enumerate(candidates):
-        whole = F.lit(True)
-        for c in cols:
-            whole = whole & F.col(c).isNotNull()
-        a, b = F.xxhash64(*cols), F.xxhash64(F.lit(_SECOND), *cols)
-        cells.append(F.struct(F.lit(i).alias("at"), F.when(whole, a).alias("a"), F.when(whole, b).alias("b")))
-    rows = df.select((F.explode(F.array(*cells)) if len(cells) > 1 else cells[0]).alias("r")).select("r.*")
-    per = rows.groupBy("at", "a", "b").agg(F.count("*").alias("m"))
-    out = per.groupBy("at").agg(F.sum("m").alias("n"), F.sum(F.when(F.col("a").isNotNull(), F.col("m")).otherwise(0)).alias("n_nonnull"), F.count("a").alias("n_distinct"))
-    name = F.element_at(F.array(*[F.lit("|".join(c)) for c in candidates]), F.col("at") + 1)
-    return out.select(name.alias("cols"), "n", "n_nonnull", "n_distinct").withColumn("is_unique", (F.col("n") == F.col("n_nonnull")) & (F.col("n") == F.col("n_distinct")) & (F.col("n") > 0))
+    return verify_tables([("", df, candidates)]).drop("table")
 
 
 def verify_one_by_one(df: DataFrame, candidates: list[list[str]]) -> list[tuple[str, bool]]:
@@ -39,9 +51,6 @@ def verify_one_by_one(df: DataFrame, candidates: list[list[str]]) -> list[tuple[
     return [("|".join(c), df.count() == df.dropna(subset=c).select(*c).distinct().count()) for c in candidates]
 
 
-_SECOND = 0x5BD1E995
-
-
 def prescreen(df: DataFrame, columns: list[str], slack: float = 0.8) -> list[str]:
     """Columns that a sketch cannot refute as keys: an estimate far below the row count refutes, nothing else does."""
     r = df.agg(F.count("*").alias("__n"), *[F.approx_count_distinct(c, 0.02).alias(c) for c in columns]).first()
@@ -75,8 +84,8 @@ def search_all(tables: dict[str, DataFrame], plans: dict[str, KeySearch], refute
     columns of all tables are proved in one job; ``refuted`` are (table, column) that evidence has ruled out already."""
     every = {t: order_candidates(tables[t].columns, p.roles, t, p.foreign) for t, p in plans.items()}
     live = {t: [[c] for c in cols[:budget] if (t, c) not in refuted] for t, cols in every.items()}
-    jobs = [verify_many(tables[t], cols).select(F.lit(t).alias("t"), "cols", "is_unique") for t, cols in live.items() if cols]
-    found = {(r["t"], r["cols"]) for r in reduce(DataFrame.unionByName, jobs).where("is_unique").collect()} if jobs else set()
+    jobs = [(t, tables[t], cols) for t, cols in live.items() if cols]
+    found = {(r["table"], r["cols"]) for r in verify_tables(jobs).where("is_unique").collect()} if jobs else set()
     out = {}
     for t, p in plans.items():
         singles = every[t][:budget]
@@ -116,7 +125,7 @@ def refuted_by_share(df: DataFrame, candidates: list[list[str]], p: KeySearch) -
     cells = []
     for i, (cols, first) in enumerate(zip(candidates, lead, strict=True)):
         live = reduce(lambda x, y: x & y, [F.col(c).isNotNull() for c in cols], drawn[first])
-        cells.append(F.when(live, F.struct(F.lit(i).alias("at"), F.xxhash64(*cols).alias("a"), F.xxhash64(F.lit(_SECOND), *cols).alias("b"))))
+        cells.append(F.when(live, F.struct(F.lit(i).alias("at"), F.xxhash64(*cols).alias("a"), F.xxhash64(F.lit(hashed.SECOND), *cols).alias("b"))))
     rows = df.where(reduce(lambda x, y: x | y, drawn.values())).select(F.explode(F.array(*cells)).alias("r")).where("r is not null").select("r.*")
     copies = rows.groupBy("at", "a", "b").agg(F.count("*").alias("m")).where("m > 1").select("at").distinct()
     return {"|".join(candidates[r["at"]]) for r in copies.collect()}

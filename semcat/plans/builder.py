@@ -249,10 +249,10 @@ class State:
         return joins.decide(self.overlap, self.keys, self.measures, policy) + none
 
 
-def examine(bundle: SourceBundle, description: str | None = None, proposer=None) -> State:
+def examine(bundle: SourceBundle, description: str | None = None, proposer=None, known: list | None = None) -> State:
     """All jobs on the data. Tables that the proposal leaves out are swept afterwards, round by round, until none is left; a swept
-    table gets an identifier too, so that others can refer to it."""
-    rows, found = inventory(bundle), evidence.gather(bundle)
+    table gets an identifier too, so that others can refer to it. ``known`` holds bundles and their evidence from the same snapshot."""
+    rows, found = inventory(bundle), evidence.gather(bundle, known)
     own = evidence.roles(found)
     proposal, open_ = ground((proposer or LexicalProposer()).propose(description, rows, own), rows, found)
     proposal, rejected = reject_unknown(proposal, rows)

@@ -8,6 +8,7 @@ from semcat.plans.builder import State, examine
 from semcat.sources.bundle import TABLES, SourceBundle, disjoint, from_parquet, nation_month_sales, permuted, stripped, trade_lane
 
 _STATES: dict[tuple[str, str, str], State] = {}
+_TWINS: dict[tuple[str, str, str], SourceBundle] = {}
 
 
 def twin(spark: SparkSession, sf: str, arm: str) -> SourceBundle:
@@ -30,8 +31,11 @@ def fresh(spark: SparkSession, sf: str, arm: str, tables: list[str]) -> State:
 
 def state(spark: SparkSession, sf: str, arm: str, tables: list[str] | None = None) -> State:
     """What ``examine`` finds in an arm, cut to a scope. A folder is taken for a pinned snapshot: its evidence, which is a few rows
-    a column, is kept for the session, and every scope and policy is decided on it without another scan."""
+    a column, is kept for the session, and every scope and policy is decided on it without another scan. A column that another arm
+    of the folder reads in the same way is not examined again."""
     key = (spark.sparkContext.applicationId, sf, arm)
     if key not in _STATES:
-        _STATES[key] = examine(twin(spark, sf, arm))
+        known = [(_TWINS[k], s.evidence) for k, s in _STATES.items() if k[:2] == key[:2]]
+        _TWINS[key] = twin(spark, sf, arm)
+        _STATES[key] = examine(_TWINS[key], known=known)
     return _STATES[key].restrict(tables or (TABLES if arm != "views" else list(_STATES[key].tables)))

@@ -284,3 +284,33 @@ def test_evidence_merges_tasks_and_batches(spark):
     assert (v.about_distinct, v.least, v.greatest, v.mean_length) == (10, "v0", "v9", 2.0)
     assert (x.n_rows, x.n, x.least, x.greatest) == (5000, 4000, "0.0", "nan")
     assert f.truth == ("0", "1") and f.classes["truth"] == 5000 and l.family == "opaque" and abs(l.about_distinct - 5000) < 300
+
+
+def test_keys_of_several_tables_are_proved_at_once(spark):
+    a = spark.createDataFrame([(i, i % 7 or None, "x") for i in range(100)], "k long, part long, same string").repartition(3)
+    b = spark.createDataFrame([("p", 1), ("p", 2), ("q", 1)], "u string, v int").repartition(2)
+    got = {(r["table"], r["cols"]): (r["n"], r["n_nonnull"], r["n_distinct"], r["is_unique"]) for r in keys.verify_tables([("a", a, [["k"], ["part"], ["same"]]), ("none", a, []), ("b", b, [["u"], ["u", "v"]])]).collect()}
+    assert got == {("a", "k"): (100, 100, 100, True), ("a", "part"): (100, 85, 6, False), ("a", "same"): (100, 100, 1, False), ("b", "u"): (3, 3, 2, False), ("b", "u|v"): (3, 3, 3, True)}
+
+
+def test_distinct_pairs_need_both_hashes():
+    import numpy as np
+
+    from semcat.operators import hashed
+
+    a, b = (np.array(x, np.uint64) for x in ([5, 5, 5, 2, 5, 2, 2**63], [1, 1, 2, 9, 1, 9, 0]))
+    assert [x.tolist() for x in hashed.distinct(a, b)] == [[2, 5, 5, 2**63], [9, 1, 2, 0]]
+    assert [len(x) for x in hashed.distinct(a[:0], b[:0])] == [0, 0]
+
+
+def test_arms_share_the_evidence_of_equal_columns(spark, monkeypatch):
+    """A column that another arm reads in the same way is not examined again; one that differs in value, type or place is."""
+    b = src.from_parquet(spark, SF, ["customer", "nation"])
+    bare, own = src.stripped(b), src.disjoint(src.from_parquet(spark, SF, ["customer", "nation"]))
+    found, seen, part = evidence.gather(bare), [], evidence._partial
+    monkeypatch.setattr(evidence, "_partial", lambda df, t: seen.extend((t, c) for c in df.columns) or part(df, t))
+    shared = evidence.gather(own, [(bare, found)])
+    assert set(seen) == {("customer", "c_custkey"), ("customer", "c_nationkey"), ("nation", "n_nationkey"), ("nation", "n_regionkey")}
+    assert shared == evidence.gather(own) and list(shared) == [(t, c) for t in own.tables for c in own[t].columns]
+    assert evidence.shared(b, [(bare, found)]).keys() == {("customer", "c_name"), ("customer", "c_mktsegment"), ("nation", "n_name")}
+    assert not evidence.shared(src.SourceBundle({"nation": bare["nation"].limit(5)}), [(bare, found)])
