@@ -86,15 +86,22 @@ def overlap_by_masks(bundle: SourceBundle, columns: list[tuple[str, str]], targe
 
     packed = union_all([hashed.pack(frames[t], at, bits, text=True) for t, at in by.items()])
     masks = packed.groupBy("bucket").applyInArrow(count, schema).groupBy(*[f"m{w}" for w in words]).agg(F.sum("k").alias("k"))
-    held = F.filter(F.array(*[F.when(F.col(f"m{i // MASK}").bitwiseAND(F.lit(1 << i % MASK).cast("long")) != 0, F.lit(n)) for i, n in enumerate(names)]), lambda c: c.isNotNull())
-    sides = masks.select(held.alias("cols"), "k").select(F.explode("cols").alias("source"), F.filter("cols", lambda c: c.isin(targets)).alias("keys"), "k")
-    pairs = sides.select("source", F.explode(F.array_append("keys", F.lit(None).cast("string"))).alias("target"), "k")
-    counted = pairs.groupBy("source", "target").agg(F.sum("k").alias("n"))
+    counted = count_pairs(masks, [list(enumerate(names))], targets)
     sizes = counted.where("target is null").select("source", F.col("n").alias("n_source"))
     other = F.split("source", r"\.")[0] != F.split("target", r"\.")[0]
     return counted.where(other).withColumnRenamed("n", "n_common").join(F.broadcast(sizes), "source").select("source", "target", "n_common", "n_source")  # a row a column
 
 
+def count_pairs(masks: DataFrame, groups: list[list[tuple[int, str]]], targets: list[str]) -> DataFrame:
+    """(source, target, n) from counted masks (m0, m1, ..., k), within each group of columns (place in the mask, name): values of a column
+    that a key has too, and all its values where the target is null."""
+    bit = lambda i: F.col(f"m{i // MASK}").bitwiseAND(F.lit(1 << i % MASK).cast("long")) != 0
+    held = [F.filter(F.array(*[F.when(bit(i), F.lit(n)) for i, n in names]), lambda c: c.isNotNull()) for names in groups if names]
+    sides = masks.select(F.explode(F.array(*held)).alias("cols"), "k").select(F.explode("cols").alias("source"), F.filter("cols", lambda c: c.isin(targets)).alias("keys"), "k")
+    pairs = sides.select("source", F.explode(F.array_append("keys", F.lit(None).cast("string"))).alias("target"), "k")
+    return pairs.groupBy("source", "target").agg(F.sum("k").alias("n"))
+
+
 def pair_overlap_naive(domain: DataFrame, pairs: list[tuple[str, str]]) -> DataFrame:
     """One semi join for each pair: the plain baseline."""
     out = []

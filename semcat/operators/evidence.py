@@ -239,6 +239,11 @@ class _Column:
             return
         found = pc.value_counts(col.combine_chunks().cast(pa.large_string()))
         v, w = found.field(0), found.field(1).to_numpy()
+        self.texts(v, w)
+        _sketch(_text_hashes(v), self.registers)
+
+    def texts(self, v: pa.Array, w: np.ndarray) -> None:
+        """Distinct texts and their counts."""
         size = pc.utf8_length(v).to_numpy()
         self.length += int((size * w).sum())
         self._range(*(x[:64] for x in pc.min_max(v).as_py().values()))
@@ -248,7 +253,6 @@ class _Column:
         self.u += int(w[short][word].sum())
         self.truth |= set(lower.filter(pa.array(word)).to_pylist())
         self.k = [a + b for a, b in zip(self.k, _classify(v, w, self.kind), strict=True)]
-        _sketch(_text_hashes(v), self.registers)
 
     def _range(self, least, greatest) -> None:
         order = (lambda x: x.encode()) if self.mode == "text" else (lambda x: (x != x, x))  # texts by their bytes, NaN last

@@ -77,15 +77,36 @@ class KeySearch:
     distinct: dict[str, int] = field(default_factory=dict)
 
 
-def search_all(tables: dict[str, DataFrame], plans: dict[str, KeySearch], refuted: set[tuple[str, str]], budget: int = 12, max_width: int = 4) -> dict[str, tuple[list[str], str]]:
+@dataclass
+class Facts:
+    """What is proved of column sets of a snapshot, for several readings of it. It holds for columns whose values all readings tell
+    apart alike; of sets with another column only copies are kept that the values as they are show, as equal values are equal
+    texts."""
+
+    alike: set[tuple[str, str]] = field(default_factory=set)
+    unique: dict[tuple[str, ...], bool] = field(default_factory=dict)
+    as_is: bool = False
+
+    def get(self, table: str, cols: list[str]) -> bool | None:
+        return self.unique.get((table, *cols))
+
+    def put(self, table: str, cols: list[str], unique: bool) -> None:
+        if self.as_is and not unique or all((table, c) in self.alike for c in cols):
+            self.unique[(table, *cols)] = unique
+
+
+def search_all(tables: dict[str, DataFrame], plans: dict[str, KeySearch], refuted: set[tuple[str, str]], budget: int = 12, max_width: int = 4, facts: Facts | None = None) -> dict[str, tuple[list[str], str]]:
     """(columns, status) of each table: the first verified single column in order, else the smallest verified composite of foreign
     keys and dates, else of these and ordinals, else the best candidate flagged ``fallback``. The budget counts candidates, so
     runs are repeatable; candidates beyond it that were never tried make the status ``fallback, budget spent``. The single
-    columns of all tables are proved in one job; ``refuted`` are (table, column) that evidence has ruled out already."""
+    columns of all tables are proved in one job; ``refuted`` are (table, column) that evidence has ruled out already; ``facts`` are
+    not proved again, and grow by what is proved."""
+    facts = facts or Facts()
     every = {t: order_candidates(tables[t].columns, p.roles, t, p.foreign) for t, p in plans.items()}
     live = {t: [[c] for c in cols[:budget] if (t, c) not in refuted] for t, cols in every.items()}
-    jobs = [(t, tables[t], cols) for t, cols in live.items() if cols]
-    found = {(r["table"], r["cols"]) for r in verify_tables(jobs).where("is_unique").collect()} if jobs else set()
+    found = {(t, c) for t, cols in live.items() for (c,) in cols if facts.get(t, [c])}
+    jobs = [(t, tables[t], todo) for t, cols in live.items() if (todo := [c for c in cols if facts.get(t, c) is None])]
+    found |= {(r["table"], r["cols"]) for r in verify_tables(jobs).where("is_unique").collect()} if jobs else set()
     out = {}
     for t, p in plans.items():
         singles = every[t][:budget]
@@ -96,7 +117,7 @@ def search_all(tables: dict[str, DataFrame], plans: dict[str, KeySearch], refute
             continue
         spent = len(every[t]) > budget
         for pool in pools:
-            cols, cut = first_composite(tables[t], pool, p, max_width)
+            cols, cut = first_composite(tables[t], pool, p, max_width, facts, t)
             spent |= cut
             if cols:
                 out[t] = (cols, "verified")
@@ -131,23 +152,29 @@ def refuted_by_share(df: DataFrame, candidates: list[list[str]], p: KeySearch) -
     return {"|".join(candidates[r["at"]]) for r in copies.collect()}
 
 
-def first_composite(df: DataFrame, pool: list[str], p: KeySearch, max_width: int = 4) -> tuple[list[str] | None, bool]:
+def first_composite(df: DataFrame, pool: list[str], p: KeySearch, max_width: int = 4, facts: Facts | None = None, table: str = "") -> tuple[list[str] | None, bool]:
     """(the first of the smallest verified composites or None, whether candidates were left untried). Narrow ones come first, in
     jobs of BATCH candidates; those whose distinct counts multiply to clearly less than the rows cannot be keys. Of a large table
     one share of the rows refutes most, and only what it leaves is proved on all rows."""
-    left = COMPOSITES
+    left, facts = COMPOSITES, facts or Facts()
     for width in range(2, max_width + 1):
         enough = [c for c in composite_candidates(pool, list(p.dates), width) if not p.distinct or 1.5 * math.prod(max(1, p.distinct.get(x, p.rows)) for x in c) >= p.rows]
         todo, left = enough[:left], left - len(enough)
         for i in range(0, len(todo), BATCH):
             batch = todo[i : i + BATCH]
-            gone = refuted_by_share(df, batch, p)
-            rest, most = [c for c in batch if "|".join(c) not in gone], 1 if p.rows >= 2 * SHARE_ROWS else BATCH
+            gone = refuted_by_share(df, [c for c in batch if facts.get(table, c) is None], p)
+            for c in batch:
+                if "|".join(c) in gone:
+                    facts.put(table, c, False)
+            rest, most = [c for c in batch if "|".join(c) not in gone and facts.get(table, c) is not False], 1 if p.rows >= 2 * SHARE_ROWS else BATCH
             while rest:  # few are left of a large table, and mostly the first is a key
                 part, rest, most = rest[:most], rest[most:], 2 * most
-                good = {r["cols"] for r in verify_many(df, part).where("is_unique").collect()}
+                open_ = [c for c in part if facts.get(table, c) is None]
+                good = {r["cols"] for r in verify_many(df, open_).where("is_unique").collect()} if open_ else set()
+                for c in open_:
+                    facts.put(table, c, "|".join(c) in good)
                 for c in part:
-                    if "|".join(c) in good:
+                    if "|".join(c) in good or facts.get(table, c):
                         return c, False
         if left <= 0:
             return None, left < 0 or width < max_width
@@ -190,7 +217,7 @@ def is_weak(status: str) -> bool:
     return status.startswith("fallback")
 
 
-def choose_all(bundle: SourceBundle, roles: dict[str, dict[str, str]], ordinals: dict[str, tuple[str, ...]], found: dict) -> dict[str, tuple[list[str], str]]:
+def choose_all(bundle: SourceBundle, roles: dict[str, dict[str, str]], ordinals: dict[str, tuple[str, ...]], found: dict, facts: Facts | None = None) -> dict[str, tuple[list[str], str]]:
     """Identifier of each table: a declared one is taken (and proved again by the claims), else searched. ``found`` is the evidence by
     (table, column)."""
     plans = {}
@@ -199,5 +226,5 @@ def choose_all(bundle: SourceBundle, roles: dict[str, dict[str, str]], ordinals:
             declared = [f[1] for f in bundle.foreign if f[0] == t]
             pool = tuple(c for c in df.columns if (c in declared or id_like(c, t)) and roles[t].get(c) != "Opaque")
             plans[t] = KeySearch(roles[t], pool, tuple(c for c in df.columns if roles[t].get(c) == "Datetime"), ordinals.get(t, ()), max((found[t, c].n_rows for c in df.columns), default=0), {c: found[t, c].about_distinct for c in df.columns})
-    ids = search_all(bundle.tables, plans, {k for k, e in found.items() if e.no_key})
+    ids = search_all(bundle.tables, plans, {k for k, e in found.items() if e.no_key}, facts=facts)
     return {t: (bundle.primary[t], "declared") if t in bundle.primary else ids[t] for t in bundle.tables}

@@ -12,7 +12,7 @@ import re
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from semcat.operators import domains, evidence, joins, keys
+from semcat.operators import domains, evidence, joins, keys, together
 from semcat.operators.evidence import ColumnEvidence
 from semcat.operators.profile import inventory
 from semcat.operators.typing_rules import LICENCES, symbolic_role
@@ -171,12 +171,12 @@ def ground(p: Proposal, rows: list[tuple[str, str, str]], found: dict[tuple[str,
     return Proposal([(e, put(t)) for e, t in p.entities], attributes, p.joins), open_
 
 
-def choose_identifiers(bundle: SourceBundle, found: dict[tuple[str, str], ColumnEvidence] | None = None, roles: dict[str, dict[str, str]] | None = None) -> dict[str, tuple[list[str], str]]:
+def choose_identifiers(bundle: SourceBundle, found: dict[tuple[str, str], ColumnEvidence] | None = None, roles: dict[str, dict[str, str]] | None = None, facts: keys.Facts | None = None) -> dict[str, tuple[list[str], str]]:
     """Identifier and status of each table; whole numbers whose role the values leave open may order the rows of a composite."""
     found = found or evidence.gather(bundle)
     roles = roles or evidence.roles(found)
     ordinals = {t: tuple(c for c in df.columns if found[t, c].unclear and roles[t][c] == "Categorical") for t, df in bundle.tables.items()}
-    return keys.choose_all(bundle, roles, ordinals, found)
+    return keys.choose_all(bundle, roles, ordinals, found, facts)
 
 
 def triage(table: str, n_rows: int, columns: list[str], key: tuple[list[str], str], outgoing: int, inbound: int) -> tuple[str, str]:
@@ -252,7 +252,39 @@ class State:
 def examine(bundle: SourceBundle, description: str | None = None, proposer=None, known: list | None = None) -> State:
     """All jobs on the data. Tables that the proposal leaves out are swept afterwards, round by round, until none is left; a swept
     table gets an identifier too, so that others can refer to it. ``known`` holds bundles and their evidence from the same snapshot."""
-    rows, found = inventory(bundle), evidence.gather(bundle, known)
+    state = _identify(bundle, evidence.gather(bundle, known), description, proposer)
+    if len(bundle.tables) > 1 and state.keys:
+        met = joins.overlaps(bundle, state.keys, domains.joinable(state.evidence)).collect()
+        _meet(state, [(r["source"], r["target"], r["n_common"], r["n_source"]) for r in met])
+    return state
+
+
+def examine_together(base: SourceBundle, readings: list[together.Reading]) -> list[State]:
+    """``examine`` for several readings of the same tables, from the distinct values of these."""
+    if not together.fits(base):
+        return [examine(r.bundle) for r in readings]
+    values = together.Together(base, readings)
+    try:
+        states = []
+        for r, found in zip(readings, values.gather(), strict=True):
+            values.facts.as_is = not r.text
+            states.append(_identify(r.bundle, found, facts=values.facts))
+        wanted = [(domains.joinable(s.evidence), s.keys) if len(s.tables) > 1 and s.keys else ([], []) for s in states]
+        for state, met in zip(states, values.overlaps(wanted), strict=True):
+            _meet(state, met)
+    finally:
+        values.close()
+    return states
+
+
+def _meet(state: State, met: list[tuple[str, str, int, int]]) -> None:
+    at = lambda q: state.evidence[tuple(q.split(".", 1))]
+    state.overlap = [joins.Overlap(*r, at(r[0]), at(r[1])) for r in met]
+
+
+def _identify(bundle: SourceBundle, found: dict[tuple[str, str], ColumnEvidence], description: str | None = None, proposer=None, facts: keys.Facts | None = None) -> State:
+    """The state of a bundle by its evidence, with identifiers and without overlaps."""
+    rows = inventory(bundle)
     own = evidence.roles(found)
     proposal, open_ = ground((proposer or LexicalProposer()).propose(description, rows, own), rows, found)
     proposal, rejected = reject_unknown(proposal, rows)
@@ -268,7 +300,7 @@ def examine(bundle: SourceBundle, description: str | None = None, proposer=None,
     todo = [t for t, _, _ in named] or list(bundle.tables)
     while todo:
         part = bundle.scope(todo)
-        ids |= choose_identifiers(part, found, by_table)
+        ids |= choose_identifiers(part, found, by_table, facts)
         rounds.append(todo)
         todo = [t for t in bundle.tables if t not in ids]
     ids = {t: ids[t] for t in bundle.tables}
@@ -276,10 +308,6 @@ def examine(bundle: SourceBundle, description: str | None = None, proposer=None,
     state.warnings += [f"{t}: {s}" for t, (_, s) in ids.items() if s == "fallback, budget spent"]
     for t, name, merged in named:
         state.names[t] = name if len(merged) > 1 else rename_to_row_meaning(merged[0], t, not keys.is_weak(ids[t][1]))[0]
-    if len(bundle.tables) > 1 and state.keys:
-        met = joins.overlaps(bundle, state.keys, domains.joinable(found)).collect()
-        at = lambda q: found[tuple(q.split(".", 1))]
-        state.overlap = [joins.Overlap(r["source"], r["target"], r["n_common"], r["n_source"], at(r["source"]), at(r["target"])) for r in met]
     return state
 
 

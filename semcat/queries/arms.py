@@ -4,19 +4,21 @@ from __future__ import annotations
 
 from pyspark.sql import SparkSession
 
-from semcat.plans.builder import State, examine
-from semcat.sources.bundle import TABLES, SourceBundle, disjoint, from_parquet, nation_month_sales, permuted, stripped, trade_lane
+from semcat.operators.together import Reading
+from semcat.plans.builder import State, examine, examine_together
+from semcat.sources.bundle import FOREIGN, PREFIX, PRIMARY, TABLES, SourceBundle, disjoint, from_parquet, nation_month_sales, permuted, stripped, trade_lane
 
 _STATES: dict[tuple[str, str, str], State] = {}
 _TWINS: dict[tuple[str, str, str], SourceBundle] = {}
 
 
-def twin(spark: SparkSession, sf: str, arm: str) -> SourceBundle:
+def twin(spark: SparkSession, sf: str, arm: str, typed: SourceBundle | None = None) -> SourceBundle:
     """meta: typed tables with declared keys; typed: without them; stripped: all text; disjoint: all text with a key space for each
-    entity; run1 to run3: the disjoint twin with tables, columns and partitions in another order; views: derived tables."""
+    entity; run1 to run3: the disjoint twin with tables, columns and partitions in another order; views: derived tables.
+    ``typed`` are the folder's tables, where they have been opened."""
+    b = typed or from_parquet(spark, sf)
     if arm == "meta":
-        return from_parquet(spark, sf, declared=True)
-    b = from_parquet(spark, sf)
+        return SourceBundle(b.tables, PRIMARY, FOREIGN).scope(list(b.tables))
     if arm == "views":
         return stripped(SourceBundle({"nation": b["nation"], "nation_month_sales": nation_month_sales(b), "trade_lane": trade_lane(b)}))
     if arm.startswith("run"):
@@ -39,3 +41,15 @@ def state(spark: SparkSession, sf: str, arm: str, tables: list[str] | None = Non
         _TWINS[key] = twin(spark, sf, arm)
         _STATES[key] = examine(_TWINS[key], known=known)
     return _STATES[key].restrict(tables or (TABLES if arm != "views" else list(_STATES[key].tables)))
+
+
+def together(spark: SparkSession, sf: str, names: list[str]) -> None:
+    """Examine those of some arms (meta, typed, stripped, disjoint) that the session has not examined yet in one go."""
+    key = lambda arm: (spark.sparkContext.applicationId, sf, arm)
+    todo = [a for a in names if key(a) not in _STATES]
+    if len(todo) < 2:
+        return
+    typed = from_parquet(spark, sf)
+    _TWINS.update({key(a): twin(spark, sf, a, typed) for a in todo})
+    readings = [Reading(_TWINS[key(a)], a in ("stripped", "disjoint"), PREFIX if a == "disjoint" else {}) for a in todo]
+    _STATES.update(zip(map(key, todo), examine_together(typed, readings), strict=True))

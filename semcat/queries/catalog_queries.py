@@ -777,6 +777,8 @@ def _arm_sql(tables, arm):
 
 @query(" UNION ALL ".join(f"SELECT '{s}' AS scope, '{a}' AS arm, (SELECT count(*) FROM {_arm_sql(SCOPES[s], a)} JOIN {_TRUE} USING (source, target)) AS recovered, CAST({len(_fks(SCOPES[s]))} AS BIGINT) AS declared" for s, a in _ARMS))
 def abl_fk_recovery(spark, sf):
+    """Foreign keys recovered in three arms, whose tables are examined together."""
+    arms.together(spark, sf, list(dict.fromkeys(a for _, a in _ARMS)))
     return rows(spark, [(s, a, len(_joins(spark, sf, SCOPES[s], a) & _REFERS), len(_fks(SCOPES[s]))) for s, a in _ARMS], "scope string, arm string, recovered long, declared long")
 
 

@@ -314,3 +314,44 @@ def test_arms_share_the_evidence_of_equal_columns(spark, monkeypatch):
     assert shared == evidence.gather(own) and list(shared) == [(t, c) for t in own.tables for c in own[t].columns]
     assert evidence.shared(b, [(bare, found)]).keys() == {("customer", "c_name"), ("customer", "c_mktsegment"), ("nation", "n_name")}
     assert not evidence.shared(src.SourceBundle({"nation": bare["nation"].limit(5)}), [(bare, found)])
+
+
+def test_readings_examined_together_are_those_examined_alone(spark, tmp_path, monkeypatch):
+    """Types, nulls, long texts, nested values and prefixes: evidence, identifiers and overlaps of each reading are those of its own run,
+    while each column is brought to its distinct values once and no key is proved twice."""
+    from semcat.operators import together
+
+    odd = [(i, i // 3, None if i % 7 == 0 else i % 5, "K" + str(i % 9), ("{" + "x" * (60 + i % 9) + "}") if i % 2 else "y" * (i % 130), [-0.0, 0.0, float("nan"), 1e9, 0.1][i % 5], i % 2 == 0, [i, None]) for i in range(300)]
+    t = spark.createDataFrame(odd, "a_id long, b_id int, part int, code string, note string, x double, flag boolean, l array<int>").withColumn("day", F.expr("date_add(DATE'2020-01-31', b_id)")).withColumn("at", F.expr("timestamp_seconds(a_id * 43200)"))
+    u = spark.createDataFrame([(i, f"K{i}", i * 1.5) for i in range(9)], "k_id long, code_id string, price float")
+    b = src.SourceBundle({"t": t, "u": u, "nation": src.from_parquet(spark, SF, ["nation"])["nation"]})
+    prefix = {"k_id": "K", "b_id": "K", "code_id": "C", "n_nationkey": "N", "n_regionkey": "R"}
+    text = src.stripped(b)
+    own = src.SourceBundle({n: df.select(*[(F.concat(F.lit(prefix[c]), F.col(c)) if c in prefix else F.col(c)).alias(c) for c in df.columns]) for n, df in text.tables.items()})
+    readings = [together.Reading(b), together.Reading(text, True), together.Reading(own, True, prefix)]
+    alone = [builder.examine(r.bundle) for r in readings]
+    proved, prove = [], keys.verify_tables
+    monkeypatch.setattr(keys, "verify_tables", lambda jobs: proved.extend((n, tuple(c)) for n, _, cols in jobs for c in cols) or prove(jobs))
+    monkeypatch.setattr(together.domains, "MASK", 5)  # more than one mask
+    for got, want in zip(builder.examine_together(b, readings), alone, strict=True):
+        assert got.ids == want.ids and got.roles == want.roles and list(got.evidence) == list(want.evidence)
+        for k, e in want.evidence.items():
+            g = got.evidence[k]
+            assert (g.n_rows, g.n, g.least, g.greatest, g.truth, g.declared, g.family, g.isa) == (e.n_rows, e.n, e.least, e.greatest, e.truth, e.declared, e.family, e.isa), (k, g, e)
+            assert abs(g.mean_length - e.mean_length) < 1e-9 and {c for c in g.classes.items() if c[1]} == {c for c in e.classes.items() if c[1]} and abs(g.about_distinct - e.about_distinct) <= 0.05 * e.about_distinct + 1
+        shown = lambda s: sorted((o.source, o.target, o.n_common, o.n_source) for o in s.overlap)
+        assert shown(got) == shown(want)
+    assert ("t.code", "u.k_id", 9, 9) in shown(builder.examine_together(b, readings)[2])  # K1 is K and 1
+    assert len(proved) == len(set(proved))
+
+
+def test_arms_of_one_query_are_examined_together(spark, tmp_path, monkeypatch):
+    """The query examines its three arms in one go, on a folder that the session has not seen."""
+    from semcat.queries import arms
+    from semcat.queries import catalog_queries as q
+
+    for n in src.TABLES:
+        (tmp_path / f"{n}.parquet").symlink_to(f"{SF}/{n}.parquet")
+    monkeypatch.setattr(arms, "examine", lambda *a, **k: pytest.fail("an arm was examined alone"))
+    got = {(r["scope"], r["arm"]): r["recovered"] for r in q.abl_fk_recovery(spark, str(tmp_path)).collect()}
+    assert len(got) == 9 and got["W3", "meta"] == 8
