@@ -20,12 +20,18 @@ from semcat.operators.profile import union_all
 from semcat.sources.bundle import SourceBundle
 
 WHOLE, REAL = ("tinyint", "smallint", "int", "bigint"), ("float", "double")
+#: Types whose values are brought together as packed 64-bit integers.
+PACKED = (*WHOLE, *REAL, "date", "timestamp")
 #: Types whose text tells the same values apart as they do.
 SAME = (*WHOLE, "string", "boolean", "date")
 #: A longer text is kept as its head, its length and two hashes; a worker examines so many values at a time; values of a bucket of the overlap.
 LONG, ROWS, BUCKET = 64, 1 << 18, 1 << 19
 
 
+def _quoted(c: str) -> str:
+    return "`" + c.replace("`", "``") + "`"
+
+
 @dataclass
 class Reading:
     """A way to read the tables: as they are or as text, and the prefixes that text columns get. ``bundle`` holds the tables read so."""
@@ -94,14 +100,14 @@ class Together:
         self.kinds = {(t, f.name): f.dataType.simpleString() for t, df in base.tables.items() for f in df.schema.fields}
         self.flat = [k for k, kind in self.kinds.items() if evidence._mode(kind) != "deep"]
         self.at = {k: i for i, k in enumerate(self.flat)}
-        self.whole = self._distinct([k for k in self.flat if self.kinds[k] in WHOLE], self._whole)
-        by: dict[str, list[tuple[str, str]]] = {}
-        for k in self.flat:
-            if self.kinds[k] not in WHOLE:
-                by.setdefault(self.kinds[k], []).append(k)
-        others = [self._distinct(cols, self._text if kind == "string" else self._typed) for kind, cols in by.items()]
-        self.other = union_all(others) if others else None
-        self.kept = [x.persist(StorageLevel.MEMORY_AND_DISK) for x in (self.whole, self.other) if x is not None]
+        packed, rows = self._packed([k for k in self.flat if self.kinds[k] in PACKED]), self._rows([k for k in self.flat if self.kinds[k] not in PACKED])
+        self.kept = [x.persist(StorageLevel.MEMORY_AND_DISK) for x in (packed, *rows.values()) if x is not None]
+        whole, others = [], []
+        for kind in dict.fromkeys(self.kinds[k] for k in self.flat):
+            found = packed.where(F.col("at").isin([self.at[k] for k in self.flat if self.kinds[k] == kind])) if kind in PACKED else rows[kind]
+            (whole if kind in WHOLE else others).append(found.selectExpr("at", "n", *self._finish(kind)))
+        #: (at, n, v) of whole numbers, and (at, n, real, v, size, json, a, b) of other columns.
+        self.values = [union_all(x) for x in (whole, others) if x]
         self.n_values = 0
         self.facts = keys.Facts({k for k in self.flat if self.kinds[k] in SAME})
 
@@ -109,33 +115,43 @@ class Together:
         for x in self.kept:
             x.unpersist()
 
-    def _distinct(self, cols: list[tuple[str, str]], cells) -> DataFrame | None:
-        """The distinct values of columns of one type and how often each occurs, nulls included, from one shuffle."""
-        if not cols:
-            return None
-        parts, finish = [], []
+    def _packed(self, cols: list[tuple[str, str]]) -> DataFrame | None:
+        """(at, n, v, x): the distinct values of columns of 64 bits and how often each occurs, nulls included, from one scan of each table
+        and one shuffle of packed integers."""
+        cut = {"date": "CAST(unix_date({}) AS LONG)", "timestamp": "unix_micros({})", **dict.fromkeys(WHOLE, "CAST({} AS LONG)"), **dict.fromkeys(REAL, "CAST({} AS DOUBLE)")}
+        by: dict[str, list[str]] = {}
         for t, c in cols:
-            cut, finish = cells(t, c, "`" + c.replace("`", "``") + "`")
-            parts.append(self.base[t].selectExpr(f"{self.at[t, c]} AS at", *cut))
-        every = union_all(parts)
-        return every.groupBy(*every.columns).agg(F.count("*").alias("n")).selectExpr("at", "n", *finish)
-
-    def _whole(self, t: str, c: str, q: str):
-        return [f"CAST({q} AS LONG) AS v"], ["v"]
+            by.setdefault(t, []).append(c)
+        frames = {t: self.base[t].selectExpr(*[cut[self.kinds[t, c]].format(_quoted(c)) + f" AS c{self.at[t, c]}" for c in of]) for t, of in by.items()}
+        if not by:
+            return None
+        bits = hashed.bits_for(frames.values())
+        return hashed.merge_counts(union_all([hashed.pack_counts(frames[t], [self.at[t, c] for c in of], bits) for t, of in by.items()]), [self.at[k] for k in cols if self.kinds[k] in REAL])
 
-    def _typed(self, t: str, c: str, q: str):
-        """A value of another type, with its text made once for all equal ones; a negative zero is a text of its own."""
-        rest = ["CAST(NULL AS INT) AS size", "CAST(NULL AS BOOLEAN) AS json", "CAST(NULL AS LONG) AS a", "CAST(NULL AS LONG) AS b"]
-        if self.kinds[t, c] not in REAL:
-            return [f"{q} AS v"], ["CAST(NULL AS DOUBLE) AS real", "CAST(v AS STRING) AS v", *rest]
-        minus = f"{q} = 0 AND startswith(CAST({q} AS STRING), '-') AS minus"
-        return [f"{q} AS v", minus], ["CAST(v AS DOUBLE) AS real", "IF(minus, '-0.0', CAST(v AS STRING)) AS v", *rest]
+    def _rows(self, cols: list[tuple[str, str]]) -> dict[str, DataFrame]:
+        """The same for columns of other types, by type, from one shuffle of values."""
+        by: dict[str, list[DataFrame]] = {}
+        for t, c in cols:
+            cut = self._text(c) if self.kinds[t, c] == "string" else [f"{_quoted(c)} AS v"]
+            by.setdefault(self.kinds[t, c], []).append(self.base[t].selectExpr(f"{self.at[t, c]} AS at", *cut))
+        return {kind: (every := union_all(parts)).groupBy(*every.columns).agg(F.count("*").alias("n")) for kind, parts in by.items()}
 
-    def _text(self, t: str, c: str, q: str):
+    def _text(self, c: str) -> list[str]:
+        q = _quoted(c)
         long = "false" if any(r.of(c) for r in self.readings) else f"length({q}) > {LONG}"
         json = f"(startswith({q}, '{{') AND endswith({q}, '}}') OR startswith({q}, '[') AND endswith({q}, ']'))"
         whole = {"size": f"length({q})", "json": json, "a": f"xxhash64({q})", "b": f"xxhash64({hashed.SECOND}, {q})"}
-        return [f"IF({long}, substring({q}, 1, {LONG}), {q}) AS v", *[f"IF({long}, {e}, NULL) AS {x}" for x, e in whole.items()]], ["CAST(NULL AS DOUBLE) AS real", "v", *whole]
+        return [f"IF({long}, substring({q}, 1, {LONG}), {q}) AS v", *[f"IF({long}, {e}, NULL) AS {x}" for x, e in whole.items()]]
+
+    def _finish(self, kind: str) -> list[str]:
+        """A kept value, with its text made once for all equal ones; a negative zero is a value of its own."""
+        if kind in WHOLE:
+            return ["v"]
+        if kind == "string":
+            return ["CAST(NULL AS DOUBLE) AS real", "v", "size", "json", "a", "b"]
+        given = {"date": "date_from_unix_date(CAST(v AS INT))", "timestamp": "timestamp_micros(v)", **{k: f"CAST(x AS {k})" for k in REAL}}.get(kind, "v")
+        rest = ["CAST(NULL AS INT) AS size", "CAST(NULL AS BOOLEAN) AS json", "CAST(NULL AS LONG) AS a", "CAST(NULL AS LONG) AS b"]
+        return [f"{'x' if kind in REAL else 'CAST(NULL AS DOUBLE)'} AS real", f"CAST({given} AS STRING) AS v", *rest]
 
     def _wanted(self) -> dict[int, list[tuple[str | None, str]]]:
         """(prefix or None, type) of the ways in which the readings see each column."""
@@ -183,7 +199,7 @@ class Together:
 
         merged: dict[tuple[str, str], _Values] = {}
         ship(next(iter(self.base.tables.values())).sparkSession)
-        for r in union_all([x.mapInArrow(examine, evidence._PART) for x in self.kept]).collect():
+        for r in union_all([x.mapInArrow(examine, evidence._PART) for x in self.values]).collect():
             merged.setdefault((r["t"], r["c"]), _Values(r["c"].split("|")[0])).merge(r.asDict())
         self.n_values = sum({t: x.distinct for (t, _), x in merged.items()}.values())
         out, known = [], []
@@ -218,7 +234,7 @@ class Together:
         slots = ", ".join("array(" + ", ".join(f"named_struct('p', {quoted(p)}, 'i', {i})" for p, i in ways[at]) + ")" if at in ways else "NULL" for at in range(len(self.flat)))
         masks = [f"m{w}" for w in range((len(places) + domains.MASK - 1) // domains.MASK)]
         frames = []
-        for x in self.kept:
+        for x in self.values:
             held = x.where("v IS NOT NULL").where(F.col("at").isin(*ways)).selectExpr("*", f"explode(element_at(array({slots}), at + 1)) AS way").selectExpr("*", "way.i AS i", "concat(way.p, CAST(v AS STRING)) AS t")
             pair = {"a": "xxhash64(t)", "b": f"xxhash64({hashed.SECOND}, t)"}
             bits = [f"IF(i DIV {domains.MASK} = {w}, shiftleft(1L, i % {domains.MASK}), 0L) AS {m}" for w, m in enumerate(masks)]

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 from pyspark.sql import SparkSession
 
 from semcat.operators.together import Reading
@@ -36,13 +38,32 @@ def state(spark: SparkSession, sf: str, arm: str, tables: list[str] | None = Non
     a column, is kept for the session, and every scope and policy is decided on it without another scan. A column that another arm
     of the folder reads in the same way is not examined again."""
     key = (spark.sparkContext.applicationId, sf, arm)
+    if arm.startswith("run"):
+        apart(spark, sf, [arm])
     if key not in _STATES:
-        known = [(_TWINS[k], s.evidence) for k, s in _STATES.items() if k[:2] == key[:2]]
+        known = [(_TWINS[k], s.evidence) for k, s in _STATES.items() if k[:2] == key[:2] and k in _TWINS]
         _TWINS[key] = twin(spark, sf, arm)
         _STATES[key] = examine(_TWINS[key], known=known)
     return _STATES[key].restrict(tables or (TABLES if arm != "views" else list(_STATES[key].tables)))
 
 
+def _run(typed: SourceBundle, arm: str) -> State:
+    """A permuted run, examined on its own rows, which are dealt out before they become text, and by nothing that another run has found."""
+    dealt = permuted(typed, int(arm[3:]))
+    return examine_together(dealt, [Reading(disjoint(dealt), True, PREFIX)])[0]
+
+
+def apart(spark: SparkSession, sf: str, names: list[str]) -> None:
+    """Examine those of some permuted runs that the session has not examined yet, each on its own, side by side: while the jobs of one
+    wait for the driver or end in few tasks, the others have the cores."""
+    key = lambda arm: (spark.sparkContext.applicationId, sf, arm)
+    todo = [a for a in names if key(a) not in _STATES]
+    if todo:
+        typed = from_parquet(spark, sf)
+        with ThreadPoolExecutor(len(todo)) as pool:
+            _STATES.update(zip(map(key, todo), pool.map(lambda a: _run(typed, a), todo), strict=True))
+
+
 def together(spark: SparkSession, sf: str, names: list[str]) -> None:
     """Examine those of some arms (meta, typed, stripped, disjoint) that the session has not examined yet in one go."""
     key = lambda arm: (spark.sparkContext.applicationId, sf, arm)

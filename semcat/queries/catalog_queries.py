@@ -822,7 +822,8 @@ _PAIRS = [("run1", "run2"), ("run1", "run3"), ("run2", "run3")]
 
 def _runs(spark, sf):
     """The catalogs of four scopes from three permuted runs: {scope: {run: catalog}}."""
-    return {s: {r: builder.assemble(arms.state(spark, sf, r, SCOPES[s])) for r in ("run1", "run2", "run3")} for s in _STABLE}
+    arms.apart(spark, sf, names := ["run1", "run2", "run3"])
+    return {s: {r: builder.assemble(arms.state(spark, sf, r, SCOPES[s])) for r in names} for s in _STABLE}
 
 
 def _alike(a, b):

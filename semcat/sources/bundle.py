@@ -95,10 +95,21 @@ def disjoint(bundle: SourceBundle) -> SourceBundle:
     return SourceBundle({n: df.select(*[(F.concat(F.lit(PREFIX[c]), F.col(c)) if c in PREFIX else F.col(c)).alias(c) for c in df.columns]) for n, df in text.tables.items()})
 
 
+#: Bytes of a table's files for each further partition of its permuted rows.
+DEALT = 1 << 24
+
+
 def permuted(bundle: SourceBundle, seed: int) -> SourceBundle:
-    """The same rows with tables, columns and partitions in another order."""
+    """The same rows with tables, columns and partitions in another order. A row's partition is drawn by its place in the table's files,
+    whose order does not change, so nothing is sorted; larger tables get more partitions."""
     key = lambda s: hash_text(f"{seed}:{s}")
-    return SourceBundle({n: bundle[n].select(*sorted(bundle[n].columns, key=key)).repartition(3 + seed % 5) for n in sorted(bundle.tables, key=key)}, bundle.primary, bundle.foreign)
+
+    def dealt(df: DataFrame) -> DataFrame:
+        size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+        parts = 3 + seed % 5 + (size // DEALT if size < 1 << 60 else 0)
+        return df.select(*sorted(df.columns, key=key)).repartition(parts, F.xxhash64(F.lit(seed), F.monotonically_increasing_id()))
+
+    return SourceBundle({n: dealt(bundle[n]) for n in sorted(bundle.tables, key=key)}, bundle.primary, bundle.foreign)
 
 
 def hash_text(s: str) -> int:

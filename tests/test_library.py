@@ -355,3 +355,49 @@ def test_arms_of_one_query_are_examined_together(spark, tmp_path, monkeypatch):
     monkeypatch.setattr(arms, "examine", lambda *a, **k: pytest.fail("an arm was examined alone"))
     got = {(r["scope"], r["arm"]): r["recovered"] for r in q.abl_fk_recovery(spark, str(tmp_path)).collect()}
     assert len(got) == 9 and got["W3", "meta"] == 8
+
+
+def test_packed_counts_are_exact(spark, monkeypatch):
+    """Nulls, both zeros, NaN and the ends of the range come back from packed integers with their counts, whatever batch or task held
+    them, and also where a task sends values before its end."""
+    from semcat.operators import hashed
+
+    df = spark.range(0, 3000, 1, 5).select(F.when(F.col("id") % 7 != 0, F.when(F.col("id") % 2 == 0, -(2**63)).otherwise(F.col("id") % 11)).alias("v"), F.expr("element_at(array(-0.0D, 0.0D, double('nan'), 1e300D), CAST(id % 4 AS INT) + 1)").alias("x"), F.col("id"))
+    want = {(at, str(r[0])): r[1] for at, c in ((4, "v"), (9, "x")) for r in df.groupBy(F.col(c).cast("string")).count().collect()}
+    for rows, held in ((hashed.ROWS, hashed.HELD), (100, 10)):
+        monkeypatch.setattr(hashed, "ROWS", rows)
+        monkeypatch.setattr(hashed, "HELD", held)
+        got = hashed.merge_counts(hashed.pack_counts(df, [4, 9, 2], 5), [9]).selectExpr("at", "CAST(IF(at = 9, CAST(x AS STRING), CAST(v AS STRING)) AS STRING) AS t", "n").collect()
+        assert {(r["at"], str(r["t"])): r["n"] for r in got if r["at"] != 2} == want
+        assert sum(r["at"] == 2 and r["n"] == 1 for r in got) == 3000
+
+
+def test_permuted_rows_are_dealt_without_a_sort(spark):
+    """Each run has the same rows in partitions of its own; they are dealt out unsorted, and larger tables into more partitions."""
+    b = src.from_parquet(spark, SF, ["lineitem", "nation"])
+    runs = [src.permuted(b, k) for k in (1, 2, 3)]
+    cols = b["lineitem"].columns
+    assert all(sorted(map(str, r["lineitem"].select(cols).collect())) == sorted(map(str, b["lineitem"].collect())) for r in runs)
+    spread = [{tuple(x[:-1]): x[-1] for x in r["lineitem"].select(*cols, F.spark_partition_id()).collect()} for r in runs]
+    assert all(sum(one[k] != two[k] for k in one) > len(one) / 2 for one, two in ((spread[0], spread[1]), (spread[1], spread[2]), (spread[0], spread[2])))
+    assert all(any(x.rdd.getNumPartitions() == 3 + k for x in (r["nation"],)) for k, r in enumerate(runs, 1))
+    assert "Sort" not in runs[0]["lineitem"]._jdf.queryExecution().executedPlan().toString() and spark.conf.get("spark.sql.execution.sortBeforeRepartition") == "true"
+    big = src.SourceBundle({"t": spark.range(1 << 23)})
+    assert src.permuted(big, 1)["t"].rdd.getNumPartitions() == 4 + (8 << 23) // src.DEALT
+
+
+def test_permuted_runs_are_examined_side_by_side(spark, tmp_path, monkeypatch):
+    """Each run reads its own rows and takes nothing from another; what it finds is what examining its twin alone finds."""
+    import threading
+
+    from semcat.queries import arms
+
+    for n in src.TABLES:
+        (tmp_path / f"{n}.parquet").symlink_to(f"{SF}/{n}.parquet")
+    seen, gate, run = [], threading.Barrier(3, timeout=60), arms._run
+    monkeypatch.setattr(arms, "_run", lambda typed, arm: (gate.wait(), seen.append(arm), run(typed, arm))[2])  # all three are under way at once
+    arms.apart(spark, str(tmp_path), ["run1", "run2", "run3"])
+    got, want = arms.state(spark, str(tmp_path), "run2"), builder.examine(arms.twin(spark, SF, "run2"))
+    assert sorted(seen) == ["run1", "run2", "run3"] and got.ids == want.restrict(src.TABLES).ids and got.roles == want.restrict(src.TABLES).roles
+    shown = lambda s: sorted((o.source, o.target, o.n_common, o.n_source) for o in s.overlap)
+    assert shown(got) == shown(want)
